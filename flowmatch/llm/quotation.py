@@ -98,7 +98,7 @@ def conversations(messages: DataFrame) -> DataFrame:
     zero = lambda c: F.coalesce(c, F.lit(0)).cast("long").alias(c)
     placed = k.select(*_ID, "role", zero("n_passages"), zero("n_linked"), zero("quote_depth"), F.col("up.conv_id").alias("parent_conv"), F.col("up.turn").alias("parent_turn"), F.coalesce("root.conv_id", "conv_id").alias("thread_id"), zero("hops"), "body")
     n = max(1, int(rows.sparkSession.conf.get("spark.sql.shuffle.partitions")))
-    key = ["thread_id", *_ID, "role", "body"]
+    key = ["thread_id", *_ID, "role", "body", "n_passages", "n_linked", "quote_depth"]
     ordered = placed.repartitionByRange(n, *key).sortWithinPartitions(*key).withColumn("mark", F.monotonically_increasing_id())
     ordered = written(ordered.withColumns({"part": F.shiftright("mark", 33), "nth": F.col("mark").bitwiseAND(F.lit((1 << 33) - 1))}).drop("mark"), "ordered")
     before = Window.partitionBy(F.lit(0)).orderBy("part").rowsBetween(Window.unboundedPreceding, -1)
@@ -149,6 +149,6 @@ chain as (
 roots as (select conv_id, turn, max(hops) as hops, arg_max(up_conv, hops) as root_conv from chain group by all)
 select b.conv_id, b.turn, b.role, coalesce(n_passages, 0)::bigint as n_passages, coalesce(n_linked, 0)::bigint as n_linked, coalesce(quote_depth, 0)::bigint as quote_depth,
        a.up_conv as parent_conv, a.up_turn as parent_turn, coalesce(root_conv, b.conv_id) as thread_id, coalesce(hops, 0)::bigint as hops,
-       row_number() over (partition by coalesce(root_conv, b.conv_id) order by b.conv_id nulls first, b.turn nulls first, b.role nulls first, b.body) - 1 as position, b.body
+       row_number() over (partition by coalesce(root_conv, b.conv_id) order by b.conv_id nulls first, b.turn nulls first, b.role nulls first, b.body, coalesce(n_passages, 0), coalesce(n_linked, 0), coalesce(quote_depth, 0)) - 1 as position, b.body
 from bodies b left join counts c on c.rid = b.rid left join answered a on a.conv_id = b.conv_id and a.turn = b.turn
      left join roots r on r.conv_id = b.conv_id and r.turn = b.turn"""
