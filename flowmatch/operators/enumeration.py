@@ -141,7 +141,7 @@ def delta(all_edges: DataFrame, is_new: Column, plan: Plan, semantics: Semantics
     order = plan.starts()
     barred = batch_masks(order, orientation)
     found = []
-    for start in starts or order:
+    for start in starts if starts is not None else order:
         chain = Chain(plan.pattern, semantics)
         for name in start_order(plan, start):
             side_ = of[name] if of else all_edges.where(rule(plan.pattern.edge(name), plan.pattern))
@@ -166,6 +166,15 @@ def newest(edges: DataFrame, pattern: Pattern, semantics: Semantics, batch: Colu
     return rows.withColumn("snapshot_id", F.greatest(*names) if len(names) > 1 else F.col(names[0])).drop(*names)
 
 
+def live_delta(masked: DataFrame, is_new: Column, plan: Plan, semantics: Semantics, orientation: str = "earlier_old") -> DataFrame:
+    """:func:`delta` on edges with ``local_mask``, read once per query edge by its bit; starts for which the batch has no edge are left out."""
+    names = [e.name for e in plan.pattern.edges]
+    hit = masked.where(is_new).agg(F.coalesce(F.bit_or("local_mask"), F.lit(0)).alias("m")).first().m
+    starts = [s for s in plan.starts() if hit >> names.index(s) & 1] or plan.starts()[:1]
+    of = {n: masked.where(F.getbit("local_mask", F.lit(i)) == 1) for i, n in enumerate(names)}
+    return delta(masked, is_new, plan, semantics, orientation=orientation, of=of, starts=starts)
+
+
 def apply_delta(current: DataFrame, gained: DataFrame, lost: DataFrame) -> DataFrame:
     """The fold: what was there and is not lost, and what is gained and not lost at once."""
     keys = [c for c in current.columns if c.startswith("e_")]

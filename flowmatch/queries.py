@@ -9,12 +9,13 @@ from pyspark.sql import DataFrame, SparkSession, functions as F
 from flowmatch import metrics as M, oracle as O
 from flowmatch.functions.rules import local_masks
 from flowmatch.operators import baselines as B, index as ix
-from flowmatch.operators.enumeration import Semantics, alternatives, delta, enumerate_all, homomorphism, isomorphism, newest, temporal
+from flowmatch.operators.enumeration import Semantics, alternatives, delta, enumerate_all, homomorphism, isomorphism, live_delta, newest, temporal
 from flowmatch.operators.semantics import dual_simulation, parallel_collapsed, strong_simulation
 from flowmatch.plans.pattern import Pattern, symmetry_breaking
 from flowmatch.plans.planner import compile_plan, degree_requirements, temporal_pairs
 from flowmatch.sources import views as V
 from flowmatch.sources.snapshots import DAY, MINUTE, StreamConfig, counts_by_snapshot, insert_delete_events, sliding_deltas
+from flowmatch.sources.storage import stored
 from flowmatch.workloads import PATTERNS as P
 
 Query = Callable[[SparkSession, str], DataFrame]
@@ -149,13 +150,13 @@ add("duplicates_avoided_v1", _avoided, O.embeddings(P["triangle"], "v1", False,
 
 def _tail(spark: SparkSession, d: str, key: str) -> DataFrame:
     """Insert and delete stream on the commerce view in one batch: what it gains and loses, net."""
-    ev = insert_delete_events(V.commerce(spark, d))
     p = P[key]
     plan = compile_plan(p)
-    gone = ev.where("op < 0").select("edge_id")
-    graph = ev.where("op >= 0").join(gone.withColumn("dies", F.lit(True)), "edge_id", "left").withColumn("dies", F.coalesce("dies", F.lit(False)))
-    gained = _named(delta(graph.where(~F.col("dies")), F.col("op") > 0, plan, ISO), p).withColumn("sign", F.lit(1))
-    lost = _named(delta(graph.where("op = 0"), F.col("dies"), plan, ISO), p).withColumn("sign", F.lit(-1))
+    ev = stored(local_masks(insert_delete_events(V.commerce(spark, d)), p).where("local_mask <> 0"), "candidates")
+    gone = ev.where("op < 0").select("edge_id", F.lit(True).alias("dies"))
+    graph = stored(ev.where("op >= 0").join(gone, "edge_id", "left").withColumn("dies", F.coalesce("dies", F.lit(False))), "graph")
+    gained = _named(live_delta(graph.where(~F.col("dies")), F.col("op") > 0, plan, ISO), p).withColumn("sign", F.lit(1))
+    lost = _named(live_delta(graph.where("op = 0"), F.col("dies"), plan, ISO), p).withColumn("sign", F.lit(-1))
     return gained.unionByName(lost)
 
 
@@ -178,7 +179,7 @@ add("delta_pos_neg_t6_prefix_v3", lambda spark, d: _tail(spark, d, "t6_prefix"),
 def _fold(spark: SparkSession, d: str) -> DataFrame:
     from flowmatch.operators.enumeration import apply_delta
 
-    ev = insert_delete_events(V.commerce(spark, d))
+    ev = stored(insert_delete_events(V.commerce(spark, d)).where("op = 0"), "before")
     before = _named(enumerate_all(ev.where("op = 0"), P["t6_trade"], ISO), P["t6_trade"])
     change = _tail(spark, d, "t6_trade")
     return apply_delta(before, change.where("sign > 0"), change.where("sign < 0"))
@@ -192,7 +193,8 @@ add("local_mask_counts_v1", lambda spark, d: local_masks(V.handoff(spark, d), P[
 
 def _index(spark: SparkSession, d: str, key: str = "trade2", v: str = "v3", root: str | None = "o", **options) -> ix.Index:
     p = P[key]
-    return ix.build_index(V.VIEWS[v](spark, d), compile_plan(p, root=root), **options)
+    edges = stored(local_masks(V.VIEWS[v](spark, d), p).where("local_mask <> 0"), "edges")
+    return ix.build_index(edges, compile_plan(p, root=root), keep=stored, **options)
 
 
 _PA, _HA, _FA = ("g.label = 'PLACED_1-URGENT_F'", "g.label = 'HAS_RF'", "g.label = 'FROM_AF'")
@@ -231,12 +233,12 @@ add(
 # --- relations -------------------------------------------------------------------------------------------------------
 add(
     "dual_sim_tree_v3",
-    lambda spark, d: dual_simulation(V.commerce(spark, d), P["trade2"]),
+    lambda spark, d: dual_simulation(V.commerce(spark, d), P["trade2"], keep=stored),
     f"""{_FULL} select 'o' as qvertex, o as vid from o union all select distinct 'c', src from g where {_PA} and dst in (select o from o)
       union all select distinct 'a', dst from g where {_HA} and src in (select o from o) union all select distinct 's', dst from g where {_FA} and src in (select o from o)""",
 )
-add("dual_sim_triangle_v1", lambda spark, d: dual_simulation(V.handoff(spark, d), P["triangle"]), None)
-add("strong_sim_v3", lambda spark, d: strong_simulation(V.commerce(spark, d).where("label in ('PLACED_1-URGENT_F', 'HAS_RF', 'FROM_AF')"), P["trade2"]), None)
+add("dual_sim_triangle_v1", lambda spark, d: dual_simulation(V.handoff(spark, d), P["triangle"], keep=stored), None)
+add("strong_sim_v3", lambda spark, d: strong_simulation(V.commerce(spark, d).where("label in ('PLACED_1-URGENT_F', 'HAS_RF', 'FROM_AF')"), P["trade2"], keep=stored), None)
 
 # --- baselines -------------------------------------------------------------------------------------------------------
 add("brute_t3_count_v1", lambda spark, d: B.brute_force(V.handoff(spark, d), P["t3_path"], ISO).agg(F.count("*").alias("n")), O.embeddings(P["t3_path"], "v1", select="count(*) as n"))
@@ -259,7 +261,7 @@ add("match_matrix_v3", lambda spark, d: B.match_matrix(V.commerce(spark, d), com
 
 def _pairs(spark: SparkSession, d: str) -> DataFrame:
     top = V.read(spark, d, "events").agg(F.max("event_id")).first()[0]
-    return B.pair_state(V.handoff(spark, d), compile_plan(P["triangle"], profile="existence"), F.col("edge_id") >= int(top * 0.9), HOMO).select("v_a", "v_b", "v_c", F.col("pair_multiplicity").cast("long").alias("pair_multiplicity"))
+    return B.pair_state(V.handoff(spark, d), compile_plan(P["triangle"], profile="existence"), F.col("edge_id") >= int(top * 0.9), HOMO, keep=stored).select("v_a", "v_b", "v_c", F.col("pair_multiplicity").cast("long").alias("pair_multiplicity"))
 
 
 _tri_pairs = f"""with g as materialized ({O.SQL['v1']}), p as (select src, dst, label, count(*) as m, min(edge_id) >= {_cut} as fresh from g group by all)

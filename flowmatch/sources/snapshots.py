@@ -10,6 +10,7 @@ from pyspark.sql import Column, DataFrame, Window, functions as F
 from flowmatch.operators.enumeration import Semantics, enumerate_all
 from flowmatch.plans.pattern import Pattern
 from flowmatch.plans.planner import Plan
+from flowmatch.sources.storage import stored
 
 MINUTE = 60_000_000
 HOUR, DAY = 60 * MINUTE, 1440 * MINUTE
@@ -56,26 +57,27 @@ class StreamConfig:
         return F.ceil((F.col(ts) + self.window) / self.stride).cast("bigint")
 
 
-def numbered(edges: DataFrame, *order: str, ranges: int | None = None) -> DataFrame:
-    """Adds ``seq`` from 1 in the given order, without a window over all rows.
+def numbered(edges: DataFrame) -> DataFrame:
+    """Adds ``seq`` from 1 in the order of (ts, edge_id), without a window over all rows.
 
-    Range-partitioned sort; a partition's rows are numbered within it, and start after the rows of those before it.  Ties
-    in the order must not matter to the caller.
+    Counts by (day, time, id range) give prefix sums within days, days among each other; rows are numbered only within a
+    time and id range.  Nothing depends on how rows are partitioned.
     """
-    n = ranges or int(edges.sparkSession.conf.get("spark.sql.shuffle.partitions"))
-    rows = edges.repartitionByRange(n, *order).withColumn("part", F.spark_partition_id())
-    counts = rows.groupBy("part").count()
-    starts = counts.select("part", (F.sum("count").over(Window.orderBy("part")) - F.col("count")).alias("start"))  # a row per partition
-    own = F.row_number().over(Window.partitionBy("part").orderBy(*order))
-    return rows.withColumn("nth", own).join(F.broadcast(starts), "part").withColumn("seq", (F.col("start") + F.col("nth")).cast("bigint")).drop("part", "start", "nth")
+    rows = edges.withColumn("day", F.floor(F.col("ts") / DAY)).withColumn("span", F.floor(F.col("edge_id") / 65_536))
+    counts = rows.groupBy("day", "ts", "span").agg(F.count("*").alias("c"))
+    within = counts.withColumn("before", F.sum("c").over(Window.partitionBy("day").orderBy("ts", "span")) - F.col("c")).drop("c")
+    days = counts.groupBy("day").agg(F.sum("c").alias("c"))
+    days = days.select("day", (F.sum("c").over(Window.orderBy("day")) - F.col("c")).alias("start"))  # one row per day
+    nth = F.row_number().over(Window.partitionBy("day", "ts", "span").orderBy("edge_id"))
+    return rows.withColumn("nth", nth).join(within, ["day", "ts", "span"]).join(days, "day").withColumn("seq", (F.col("start") + F.col("before") + F.col("nth")).cast("bigint")).drop("day", "span", "nth", "before", "start")
 
 
-def insert_delete_events(edges: DataFrame, prefix: float = 0.9, every: int = 10, *order: str) -> DataFrame:
+def insert_delete_events(edges: DataFrame, prefix: float = 0.9, every: int = 10) -> DataFrame:
     """The insert-and-delete stream: the first rows are the initial graph; of the later ones every tenth deletes a prefix edge, picked by arithmetic, and does not enter itself.
 
     Columns of the edges and seq, op (+1, -1; 0 for the initial graph).
     """
-    rows = numbered(edges, *(order or ("ts", "edge_id")))
+    rows = stored(numbered(edges), "stream")
     n = rows.agg(F.max("seq")).first()[0] or 0
     p = int(n * prefix)
     kinds = rows.withColumn("op", F.when(F.col("seq") <= p, 0).when(F.col("seq") % every == 0, -1).otherwise(1))
