@@ -25,7 +25,7 @@ from pyspark.sql import DataFrame, functions as F, types as T
 from flowmatch.llm.common import text_bytes
 
 MAX_VOCABULARY = 1 << 20
-MEMO = 600_000
+MEMO = 250_000
 
 # The split pattern of the vocabulary; the same split for texts with no character of OTHER, in the syntax
 # of the faster re module (there, letters are what \w has besides digits and '_', and \s agrees on what is left).

@@ -11,7 +11,8 @@ Bands of ``ROWS`` coordinates are joined.  With 30 bands of 5 a pair of similari
 
 Groups: in a band's bucket every member is tested against the least one, not against all.  What these links connect
 needs no further test; in buckets that still hold different classes, pairs of *different* classes are tested, all of
-them.  So no link that the bands offer is lost, and a large group of near copies costs its size, not its square.
+them: in small buckets as rows, in large ones within tasks that hold two tiles of the bucket and return links only.  So
+no link that the bands offer is lost, and no pair of a large group becomes a row.
 """
 
 from __future__ import annotations
@@ -21,10 +22,11 @@ import hashlib
 import numpy as np
 from pyspark.sql import DataFrame, functions as F, types as T
 
-from flowmatch.llm.common import text_bytes, written
+from flowmatch.llm.common import by_ids, text_bytes, written
 from flowmatch.llm.components import components
 
 SHINGLE, SIMILAR, BANDS, ROWS = 5, 0.8, 30, 5
+SMALL, TILE, TILE_BYTES = 16, 1024, 24 << 20  # members of a bucket compared as pairs; rows of a tile; bytes of a tile's bits
 K = BANDS * ROWS
 _U = np.uint64
 _STEP = 0x5851F42D4C957F2D | 1
@@ -180,6 +182,70 @@ def confirmed(pairs: DataFrame, texts: DataFrame, similar: float = SIMILAR) -> D
     return full.mapInArrow(run, schema)
 
 
+def tile_links(table, similar: float = SIMILAR):
+    """Links across classes within one tile of a bucket, or between two: the shingle sets as bits over the shingles that two texts share.
+
+    A pair is left to the first band that both share.  Classes that a link joins count as one from there on, so at most
+    one link less than there are classes comes back.
+    """
+    import pyarrow as pa
+
+    table = table.sort_by("rep")
+    rep, label, side = (table.column(c).to_numpy() for c in ("rep", "k", "side"))
+    bands_ = table.column("bands").combine_chunks().flatten().to_numpy().reshape(len(rep), -1)
+    at = int(np.flatnonzero(bands_[0] == table.column("key")[0].as_py())[0])
+    shingler, label = Shingler(), label.copy()
+    sets = [shingler.set(raw) for raw in text_bytes(table.column("t").combine_chunks())]
+    size = np.array([len(x) for x in sets])
+    name, where, often = np.unique(np.concatenate(sets), return_inverse=True, return_counts=True)
+    number = np.cumsum(often > 1) - 1
+    width = -(-int((often > 1).sum()) // 8)
+    packed = None
+    if width * len(sets) <= TILE_BYTES:
+        packed, starts = np.zeros((len(sets), width), dtype=np.uint8), np.cumsum(size) - size
+        for i in range(len(sets)):
+            own = where[starts[i] : starts[i] + size[i]]
+            row = np.zeros(width * 8, dtype=bool)
+            row[number[own[often[own] > 1]]] = True
+            packed[i] = np.packbits(row)
+    found = []
+    for i in range(len(sets)):
+        open_ = (label != label[i]) & (np.minimum(size, size[i]) >= similar * np.maximum(size, size[i]))
+        if side[i] == 2:
+            open_[: i + 1] = False
+        else:
+            open_ &= (side != side[i]) & (side[i] == 0)
+        js = np.flatnonzero(open_)
+        js = js[~(bands_[js, :at] == bands_[i, :at]).any(axis=1)]
+        if not len(js):
+            continue
+        if packed is not None:
+            both = np.bitwise_count(packed[js] & packed[i]).sum(axis=1, dtype=np.int64)
+        else:
+            both = np.array([len(np.intersect1d(sets[i], sets[j], assume_unique=True)) for j in js])
+        for j in js[both >= similar * (size[js] + size[i] - both)]:
+            if label[j] != label[i]:
+                found.append((min(rep[i], rep[j]), max(rep[i], rep[j])))
+                label[label == label[j]] = label[i]
+    a, b = zip(*found) if found else ((), ())
+    kind = table.schema.field("rep").type
+    return pa.table([pa.array(a, kind), pa.array(b, kind)], names=["a", "b"])
+
+
+def tiled(large: DataFrame, reps: DataFrame, texts: DataFrame, similar: float) -> DataFrame:
+    """Links across classes in large buckets; large: (key, rep, k, tiles).  A task holds two tiles, however large the bucket is."""
+    dealt = large.withColumn("tile", F.pmod(F.xxhash64("rep"), F.col("tiles")).cast("int")).withColumn("other", F.explode(F.sequence(F.lit(0), F.col("tiles") - 1)))
+    side = F.when(F.col("tile") == F.col("other"), 2).when(F.col("tile") < F.col("other"), 0).otherwise(1)
+    rows = dealt.select("key", F.least("tile", "other").alias("lo"), F.greatest("tile", "other").alias("hi"), side.alias("side"), "rep", "k")
+    rows = rows.join(reps.select("rep", "bands"), "rep").join(texts.withColumnRenamed("id", "rep"), "rep")
+    schema = T.StructType([T.StructField(c, reps.schema["rep"].dataType) for c in ("a", "b")])
+
+    def run(table):
+        return tile_links(table, similar)
+
+    return rows.select("key", "lo", "hi", "side", "rep", "k", "bands", "t").groupBy("key", "lo", "hi").applyInArrow(run, schema)
+
+
 def classes(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", similar: float = SIMILAR) -> DataFrame:
     """Per row of ``docs``: the id, n_shingles, component_id (least id of its class) and kept (whether that is its own id).
 
@@ -193,18 +259,20 @@ def classes(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", sim
     shared = rows.groupBy("key").agg(F.min("rep").alias("pivot"), F.count("*").alias("c")).where("c > 1")
     members = written(rows.join(shared.select("key", "pivot"), "key"), "buckets")
     texts = docs.select(F.col(id_col).alias("id"), F.col(text_col).alias("t"))
-    texts = texts.join(members.select(F.col("rep").alias("id")).distinct(), "id", "left_semi").dropDuplicates(["id"])
-    texts = written(texts, "candidates")
+    wanted = written(members.select(F.col("rep").alias("wanted")).distinct(), "candidate-ids")
+    texts = written(by_ids(texts, wanted, F.col("id") == F.col("wanted"), "left_semi").dropDuplicates(["id"]), "candidates")
     first = written(members.where("pivot <> rep").select(F.col("pivot").alias("a"), F.col("rep").alias("b")).distinct(), "pairs")
     links = written(confirmed(first, texts, similar), "confirmed")
     label = components(links)
-    # Buckets with members of more than one class, and in them the pairs across classes.
-    marked = members.select("key", "rep").join(label.withColumnRenamed("id", "rep"), "rep", "left").select("key", "rep", F.coalesce("component", "rep").alias("k"))
-    mixed = marked.groupBy("key").agg(F.min("k").alias("x"), F.max("k").alias("y"), F.count("*").alias("c")).where("x <> y and c > 2").select("key")
-    left = marked.join(mixed, "key", "left_semi")
+    # Buckets with members of more than one class.  Small ones: the pairs across classes.  Large ones: compared in tiles.
+    marked = written(members.select("key", "rep").join(label.withColumnRenamed("id", "rep"), "rep", "left").select("key", "rep", F.coalesce("component", "rep").alias("k")), "buckets")
+    mixed = marked.groupBy("key").agg(F.min("k").alias("x"), F.max("k").alias("y"), F.count("*").alias("c")).where("x <> y and c > 2").select("key", "c")
+    left = marked.join(mixed.where(F.col("c") <= SMALL).select("key"), "key", "left_semi")
     right = left.select("key", F.col("rep").alias("b"), F.col("k").alias("kb"))
     across = left.select("key", F.col("rep").alias("a"), F.col("k").alias("ka")).join(right, "key").where("a < b and ka <> kb").select("a", "b").distinct()
-    rest = written(confirmed(across.join(first, ["a", "b"], "left_anti"), texts, similar), "confirmed")
+    rest = confirmed(across.join(first, ["a", "b"], "left_anti"), texts, similar)
+    large = marked.join(mixed.where(F.col("c") > SMALL).withColumn("tiles", F.ceil(F.col("c") / TILE).cast("int")).drop("c"), "key")
+    rest = written(rest.unionByName(tiled(large, reps, texts, similar)), "confirmed")
     if rest.isEmpty():
         final = label
     else:
@@ -216,8 +284,8 @@ def classes(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", sim
 
 def deduplicated(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """One row of each class, all its columns; of rows that repeat an id, one."""
-    keep = classes(docs, id_col, text_col).where("kept").groupBy(F.col(id_col).alias("near_dup_id")).agg(F.count("*").alias("near_dup_rows"))
-    keep = written(keep, "kept")
-    again = keep.where("near_dup_rows > 1 and near_dup_id is not null")
-    rows = docs.join(keep.select("near_dup_id"), F.col(id_col).eqNullSafe(F.col("near_dup_id")), "left_semi")
+    found = written(classes(docs, id_col, text_col).select(F.col(id_col).alias("near_dup_id"), "kept"), "classes")
+    gone = written(found.where("not kept").select("near_dup_id").distinct(), "duplicate-ids")
+    rows = by_ids(docs, gone, F.col(id_col) == F.col("near_dup_id"), "left_anti")
+    again = found.where("near_dup_id is not null").groupBy("near_dup_id").count().where("count > 1")
     return rows if again.isEmpty() else rows.where(F.col(id_col).isNull()).unionByName(rows.where(F.col(id_col).isNotNull()).dropDuplicates([id_col]))
