@@ -94,8 +94,8 @@ def neighbours(spark: SparkSession, sf_dir: str, k: int = 10, block: int = 2048)
     v = read(spark, sf_dir, "embeddings").select("vec_id", F.col("embedding").cast("array<double>").alias("v"), F.col("label").cast("string").alias("label"))
     n = max(1, -(-v.count() // block))
     part = F.pmod(F.xxhash64("vec_id"), F.lit(n))
-    left = v.select(part.alias("a"), F.explode(F.sequence(F.lit(0).cast("bigint"), F.lit(n - 1).cast("bigint"))).alias("b"), "vec_id", "v")
-    right = v.select(part.alias("b"), F.explode(F.sequence(F.lit(0).cast("bigint"), F.lit(n - 1).cast("bigint"))).alias("a"), "vec_id", "v", "label")
+    left = v.select(part.alias("a"), F.explode(F.sequence(F.lit(0).cast("bigint"), F.lit(n - 1).cast("bigint"))).alias("b"), F.col("vec_id").alias("src"), F.col("v").alias("x"))
+    right = v.select(part.alias("b"), F.explode(F.sequence(F.lit(0).cast("bigint"), F.lit(n - 1).cast("bigint"))).alias("a"), F.col("vec_id").alias("dst"), F.col("v").alias("x"), F.col("label").alias("name"))
 
     def best(x, y):
         import numpy as np
@@ -103,8 +103,8 @@ def neighbours(spark: SparkSession, sf_dir: str, k: int = 10, block: int = 2048)
 
         if not x.num_rows or not y.num_rows:
             return pa.table({"src": pa.array([], pa.int64()), "dst": pa.array([], pa.int64()), "label": pa.array([], pa.string()), "cos": pa.array([], pa.float64())})
-        unit = lambda t: (m := np.array(t.column("v").to_pylist())) / np.linalg.norm(m, axis=1, keepdims=True)
-        src, dst, names = x.column("vec_id").to_numpy(), y.column("vec_id").to_numpy(), y.column("label").to_pylist()
+        unit = lambda t: (m := np.array(t.column("x").to_pylist())) / np.linalg.norm(m, axis=1, keepdims=True)
+        src, dst, names = x.column("src").to_numpy(), y.column("dst").to_numpy(), y.column("name").to_pylist()
         s = np.round(unit(x) @ unit(y).T, 4)
         s[src[:, None] == dst[None, :]] = -2
         order = np.lexsort((np.broadcast_to(dst, s.shape), -s), axis=1)[:, :k]
