@@ -69,9 +69,9 @@ def test_bits_by_rebuild(spark):
 
 def test_bits_by_maintenance(spark):
     plan = compile_plan(R.pattern(), root="u0")
-    keep = lambda df: spark.createDataFrame(df.collect(), df.schema)
-    index = build_index(frame(spark, R.G), plan)
-    for state, ins, out in (("t1", R.T1, None), ("t2in", R.T2_IN, None), ("t2", None, R.T2_OUT)):
+    keep = lambda df: spark.createDataFrame(df.toPandas(), df.schema)
+    index = build_index(frame(spark, R.G), plan, keep=keep)
+    for state, ins, out in (("t1", R.T1, None), ("t2", R.T2_IN, R.T2_OUT)):
         index = maintain(index, frame(spark, ins) if ins else None, frame(spark, out) if out else None, keep=keep)
         assert bits(index) == LIVE[state][0], state
 
