@@ -3,19 +3,18 @@
 Tokens are the words of the text with A-Z lower-cased, then one end.  They are known by 64-bit hashes, made for whole
 blocks of text at once.
 
-*Counts.*  Every training token is counted, by hash, in one narrow pass that sums blocks before the shuffle.  Words of a
-share of at least ``COMMON`` of all tokens are the common ones: there are at most 1/COMMON of them, so their table is of
-a proven size and travels with the functions.  A second pass counts the bigrams of common words.
+*Counts.*  Every training token is counted, by hash, in one narrow pass that sums blocks before the shuffle; a second pass
+counts every bigram of training tokens.  Nothing is left out by a least count.
 
-*The filter.*  Bigrams of a share of at least ``STORED`` enter the filter with their counts quantised to the lower of the
-edges 1, 1.41, 2, 2.83, ... times the least count: a bigram of level n is entered as (bigram, 0) to (bigram, n), and its
-count is read back by probing levels until one is missing.  At most 1/(STORED (1 - 2^-0.5)) entries of ``BITS`` bits can
-arise, whatever the corpus: the broadcast is bounded by the definition of what is stored, and what is left out is, at
-every size, evidence under the same share.  The filter is built in blocks, each in a task of its own.
+*The filter.*  Bigrams enter the filter with their counts quantised to the lower of the edges 1, 1.41, 2, 2.83, ...: a
+bigram of level n is entered as (bigram, 0) to (bigram, n), and its count is read back by probing levels until one is
+missing.  All entries of a bigram lie in the block that its hash names, and each block is built in a task of its own.
+A filter of up to ``BROADCAST_BLOCKS`` blocks travels with the functions.  A larger one stays a table of blocks: each
+chunk of texts asks for its distinct bigrams, once each, and these are routed to their blocks and answered there.  There
+are then as many blocks as chunks at least, so neither the entries nor the questions of a block grow with the corpus.
 
-*Probabilities.*  P1 is the smoothed unigram share of the base score, from exact counts.  After a common word h the next
-word is common with the share seen after h; a rarer one then has its P1 within the rarer words.  Common ones have their
-filtered count after h, and what the filter lacks of h's count is dealt out by P1.  After other words P1 stands.
+*Probabilities.*  P1 is the smoothed unigram share of the base score, from exact counts.  After a word h the next one has
+its filtered count after h, and what the filter lacks of h's count is dealt out by P1; after unseen words P1 stands.
 
 *Exact counts for every token* of every text are too many to send to all workers, so texts and the counts they need
 meet by chunk: texts are dealt into chunks of ``CHUNK`` bytes by hash of the row, each chunk asks for the counts of its
@@ -31,8 +30,8 @@ from pyspark.sql import DataFrame, functions as F, types as T
 
 from flowmatch.llm.common import written
 
-COMMON, STORED, BITS, PROBES, BLOCK_BITS = 2.0**-16, 2.0**-24, 10, 6, 1 << 23
-CHUNK, BATCH, FLUSH, PRIOR = 16 << 20, 1 << 20, 4_000_000, 4.0
+BITS, PROBES, BLOCK_BITS, BROADCAST_BLOCKS = 10, 6, 1 << 23, 64
+CHUNK, BATCH, FLUSH, SLICE, PRIOR = 16 << 20, 1 << 20, 4_000_000, 1 << 18, 4.0
 _U = np.uint64
 
 
@@ -139,6 +138,11 @@ def _neighbours(hashes: np.ndarray, sizes: np.ndarray) -> np.ndarray:
     return inner
 
 
+def block_of(keys: np.ndarray, n: int) -> np.ndarray:
+    """The block, of ``n``, that holds a key's entries."""
+    return (_mix(keys.view(np.uint64) ^ _U(0xA0761D6478BD642F)) % _U(n)).astype(np.int64)
+
+
 class Bloom:
     """A blocked Bloom filter of (key, level) entries."""
 
@@ -147,49 +151,41 @@ class Bloom:
         self.bits = np.frombuffer(b"".join(blocks), dtype=np.uint8)
 
     @staticmethod
-    def places(keys: np.ndarray, levels: np.ndarray, n: int) -> tuple[np.ndarray, np.ndarray]:
-        """The block of each entry, and its bits in it."""
-        h = _mix(keys.view(np.uint64) + levels.astype(np.uint64) * _U(0xD1B54A32D192ED03))
-        g = _mix(h)
+    def places(keys: np.ndarray, levels: np.ndarray) -> np.ndarray:
+        """The bits of each entry in its block."""
+        g = _mix(_mix(keys.view(np.uint64) + levels.astype(np.uint64) * _U(0xD1B54A32D192ED03)))
         step = (g >> _U(32)) | _U(1)
         bits = ((g & _U(0xFFFFFFFF))[:, None] + step[:, None] * np.arange(PROBES, dtype=np.uint64)) % _U(BLOCK_BITS)
-        return (h % _U(n)).astype(np.int64), bits.astype(np.int64)
-
-    def has(self, keys: np.ndarray, level: int) -> np.ndarray:
-        block, bits = self.places(keys, np.full(len(keys), level), self.n)
-        found = np.ones(len(keys), dtype=bool)
-        for p in range(PROBES):
-            at = np.flatnonzero(found)
-            if not len(at):
-                break
-            b = bits[at, p]
-            found[at] = self.bits[block[at] * (BLOCK_BITS // 8) + (b >> 3)] >> (b & 7) & 1
-        return found
+        return bits.astype(np.int64)
 
-    def level(self, keys: np.ndarray) -> np.ndarray:
-        """The highest level up to which all are present, -1 if not even the first is."""
+    def _level(self, keys: np.ndarray) -> np.ndarray:
         out = np.full(len(keys), -1)
+        at = block_of(keys, self.n) * (BLOCK_BITS // 8)
         live, k = np.arange(len(keys)), 0
-        while len(live) and self.n:
-            live = live[self.has(keys[live], k)]
+        while len(live):
+            bits = self.places(keys[live], np.full(len(live), k))
+            for p in range(PROBES):
+                b = bits[:, p]
+                found = (self.bits[at[live] + (b >> 3)] >> (b & 7) & 1).astype(bool)
+                live, bits = live[found], bits[found]
             out[live] = k
             k += 1
         return out
 
-
-def levels(n, least: float):
-    """The level of a count of at least ``least``: the number of steps of a factor 2^0.5 above it."""
-    return np.floor(2 * np.log2(np.asarray(n, dtype=float) / least) + 1e-9).astype(int)
+    def level(self, keys: np.ndarray) -> np.ndarray:
+        """The highest level up to which all are present, -1 if not even the first is."""
+        if not self.n or not len(keys):
+            return np.full(len(keys), -1)
+        return np.concatenate([self._level(keys[k : k + SLICE]) for k in range(0, len(keys), SLICE)])
 
 
-def edge(level, least: float):
+def edge(level):
     """The least whole count of a level."""
-    return np.ceil(least * 2.0 ** (np.asarray(level) / 2) - 1e-6)
+    return np.ceil(2.0 ** (np.asarray(level) / 2) - 1e-6)
 
 
-def build_filter(entries: DataFrame, n_entries: int) -> list[bytes]:
-    """From (key, level) rows: the blocks, each the union of what its tasks' entries set."""
-    n = max(1, math.ceil(n_entries * BITS / BLOCK_BITS))
+def build_filter(entries: DataFrame, n: int) -> DataFrame:
+    """From (key, level) rows, level the highest: (block, bits), the blocks that have entries, of ``n``."""
     schema = T.StructType([T.StructField("block", T.LongType()), T.StructField("key", T.LongType()), T.StructField("level", T.IntegerType())])
     done = T.StructType([T.StructField("block", T.LongType()), T.StructField("bits", T.BinaryType())])
 
@@ -197,102 +193,78 @@ def build_filter(entries: DataFrame, n_entries: int) -> list[bytes]:
         import pyarrow as pa
 
         for b in batches:
-            block, _ = Bloom.places(b.column(0).to_numpy(), b.column(1).to_numpy(), n)
-            yield pa.RecordBatch.from_arrays([pa.array(block), *b.columns], names=schema.names)
+            yield pa.RecordBatch.from_arrays([pa.array(block_of(b.column(0).to_numpy(), n)), *b.columns], names=schema.names)
 
     def fill(table):
         import pyarrow as pa
 
-        _, bits = Bloom.places(table.column("key").to_numpy(), table.column("level").to_numpy(), n)
-        out = np.zeros(BLOCK_BITS // 8, dtype=np.uint8)
-        flat = bits.ravel()
-        np.bitwise_or.at(out, flat >> 3, (1 << (flat & 7)).astype(np.uint8))
-        return pa.table([table.column("block")[:1], pa.array([out.tobytes()], pa.binary())], names=done.names)
+        keys, top = table.column("key").to_numpy(), table.column("level").to_numpy()
+        out = np.zeros(BLOCK_BITS, dtype=bool)
+        live, k = np.arange(len(keys)), 0
+        while len(live):
+            for start in range(0, len(live), SLICE):
+                part = live[start : start + SLICE]
+                out[Bloom.places(keys[part], np.full(len(part), k)).ravel()] = True
+            k += 1
+            live = live[top[live] >= k]
+        return pa.table([table.column("block")[:1], pa.array([np.packbits(out, bitorder="little").tobytes()], pa.binary())], names=done.names)
 
-    made = {r.block: r.bits for r in entries.select("key", "level").mapInArrow(route, schema).groupBy("block").applyInArrow(fill, done).collect()}
-    return [bytes(made.get(k, bytes(BLOCK_BITS // 8))) for k in range(n)]
+    return entries.select("key", "level").mapInArrow(route, schema).groupBy("block").applyInArrow(fill, done)
 
 
 class Model:
-    """What scoring needs besides exact counts: sums, the common words' table, the filter."""
+    """What scoring needs besides exact counts: sums, and the filter, either its blocks or the table of them."""
 
-    def __init__(self, total: int, distinct: int, common: list, blocks: list[bytes], least: float):
-        self.total, self.distinct, self.least = total, distinct, least
-        table = np.array(sorted(common), dtype=np.int64).reshape(-1, 4)
-        self.word, self.count, self.kept, self.stored = table.T.copy()
-        self.blocks = blocks
+    def __init__(self, total: int, distinct: int, n_blocks: int, blocks: list[bytes] | None):
+        self.total, self.distinct, self.n_blocks, self.blocks = total, distinct, n_blocks, blocks
         self.bloom: Bloom | None = None
-        self.p_common = float(self.p1(self.count).sum()) if len(table) else 0.0
 
     def p1(self, c: np.ndarray) -> np.ndarray:
         return (c + 0.5) / (self.total + 0.5 * (self.distinct + 1))
 
-    def common_at(self, h: np.ndarray) -> np.ndarray:
-        """Row of each hash in the common words' table, or -1."""
-        if not len(self.word):
-            return np.full(len(h), -1)
-        at = np.minimum(np.searchsorted(self.word, h), len(self.word) - 1)
-        return np.where(self.word[at] == h, at, -1)
+    def level(self, keys: np.ndarray) -> np.ndarray:
+        self.bloom = self.bloom or Bloom(self.blocks)
+        return self.bloom.level(keys)
 
-    def log10(self, h: np.ndarray, c: np.ndarray, inner: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-        """Base and model log10 probabilities of tokens, given their counts and whether another token precedes in the text."""
+    def log10(self, h: np.ndarray, c: np.ndarray, stored: np.ndarray, inner: np.ndarray, level_of) -> tuple[np.ndarray, np.ndarray]:
+        """Base and model log10 probabilities of tokens, given their counts, the sums of what the filter stores after them, and whether another token precedes in the text."""
         p1 = self.p1(c)
         p = p1.copy()
-        at = self.common_at(h)
-        before = np.r_[-1, at[:-1]]
-        before[~inner] = -1
-        after = np.flatnonzero(before >= 0)
+        after = np.flatnonzero(inner)
         if len(after):
-            row = before[after]
-            seen, kept, stored = self.count[row].astype(float), self.kept[row].astype(float), self.stored[row].astype(float)
-            # The share of common words after h, smoothed by their share anywhere.
-            share = (kept + PRIOR * self.p_common) / (seen + PRIOR)
-            is_common = at[after] >= 0
-            rare = 1 - self.p_common
-            p[after[~is_common]] = ((1 - share) * p1[after] / max(rare, 1e-12))[~is_common]
-            own = after[is_common]
-            if len(own):
-                self.bloom = self.bloom or Bloom(self.blocks)
-                keys, back = np.unique(pair(h[own - 1], h[own]), return_inverse=True)
-                level = self.bloom.level(keys)[back]
-                q = np.where(level >= 0, edge(np.maximum(level, 0), self.least), 0)
-                k, s = kept[is_common], stored[is_common]
-                p[own] = share[is_common] * (np.minimum(q, k) + (k - s + PRIOR) * p1[own] / self.p_common) / (k + PRIOR)
+            # In training every word is followed by a token of its text, so it is as often a first word as it occurs.
+            k, s = c[after - 1].astype(float), stored[after - 1].astype(float)
+            keys, back = np.unique(pair(h[after - 1], h[after]), return_inverse=True)
+            level = level_of(keys)[back]
+            q = np.minimum(np.where(level >= 0, edge(np.maximum(level, 0)), 0), np.minimum(k, c[after]))
+            p[after] = (q + (k - s + PRIOR) * p1[after]) / (k + PRIOR)
         return np.log10(p1), np.log10(np.minimum(p, 1.0))
 
     def __getstate__(self):
         return self.__dict__ | {"bloom": None}
 
 
-def fit(docs: DataFrame) -> tuple[Model, DataFrame]:
-    """From the training rows' texts (column t, null as empty): the model, and the exact counts (h, n) of all tokens."""
+def fit(docs: DataFrame, chunks: int = 1) -> tuple[Model, DataFrame, DataFrame | None]:
+    """From the training rows' texts (column t, null as empty), to score ``chunks`` chunks: the model; of all tokens (h, n: exact count, stored: what
+    the filter has after it); and the filter's blocks, where they are too many to travel with the model."""
     counts = written(_summed(docs, lambda h, size: h, "h"), "token-counts")
     sums = counts.agg(F.coalesce(F.sum("n"), F.lit(0)).alias("n"), F.count("*").alias("v")).first()
-    common = [(r.h, r.n) for r in counts.where(F.col("n") >= max(1.0, sums.n * COMMON)).limit(math.ceil(1 / COMMON)).collect()]
-    words = np.sort(np.array([h for h, _ in common], dtype=np.int64))
-
-    def pairs(h, size):
-        at = np.minimum(np.searchsorted(words, h), max(0, len(words) - 1)) if len(words) else None
-        is_common = words[at] == h if at is not None else np.zeros(len(h), dtype=bool)
-        both = _neighbours(h, size)
-        both[1:] &= is_common[1:] & is_common[:-1]
-        second = np.flatnonzero(both)
-        return np.stack([h[second - 1], h[second]])
-
-    pair_counts = written(_bigrams(docs, pairs), "bigram-counts")
-    least = max(1.0, math.ceil(sums.n * STORED))
-    level = F.floor(2 * F.log2(F.col("n") / F.lit(least)) + 1e-9).cast("int")
-    stored = pair_counts.withColumn("level", F.when(F.col("n") >= least, level))
-    value = F.coalesce(F.ceil(F.lit(least) * F.pow(F.lit(2.0), F.col("level") / 2) - 1e-6), F.lit(0))
-    by_first = {r.a: (r.kept, r.stored) for r in stored.groupBy("a").agg(F.sum("n").alias("kept"), F.sum(value).cast("long").alias("stored")).collect()}
-    entries = stored.where("level is not null").select("key", F.explode(F.sequence(F.lit(0), F.col("level"))).alias("level"))
-    n_entries = stored.agg(F.coalesce(F.sum(F.col("level") + 1), F.lit(0)).alias("n")).first().n
-    blocks = build_filter(entries, n_entries)
-    return Model(sums.n, sums.v, [(h, n, *by_first.get(h, (0, 0))) for h, n in common], blocks, least), counts
-
-
-def _bigrams(docs: DataFrame, pairs) -> DataFrame:
-    """Counts of bigrams: (key, a: hash of the first word, n)."""
+    level = F.floor(2 * F.log2("n") + 1e-9).cast("int")
+    pairs = written(_bigrams(docs).select("key", "a", level.alias("level")), "bigram-levels")
+    value = F.ceil(F.pow(F.lit(2.0), F.col("level") / 2) - 1e-6).cast("long")
+    after = pairs.groupBy("a").agg(F.sum(value).alias("stored"))
+    words = written(counts.join(after, F.col("h") == F.col("a"), "left").select("h", "n", F.coalesce("stored", F.lit(0)).alias("stored")), "words")
+    entries = pairs.agg(F.coalesce(F.sum(F.col("level") + 1), F.lit(0)).alias("n")).first().n
+    n = max(1, math.ceil(entries * BITS / BLOCK_BITS))
+    if n > BROADCAST_BLOCKS:
+        n = max(n, chunks)
+        return Model(sums.n, sums.v, n, None), words, written(build_filter(pairs, n), "filter")
+    made = {r.block: r.bits for r in build_filter(pairs, n).collect()}
+    return Model(sums.n, sums.v, n, [bytes(made.get(k, bytes(BLOCK_BITS // 8))) for k in range(n)]), words, None
+
+
+def _bigrams(docs: DataFrame) -> DataFrame:
+    """Counts of all bigrams: (key, a: hash of the first word, n)."""
     schema = T.StructType([T.StructField("key", T.LongType()), T.StructField("a", T.LongType()), T.StructField("n", T.LongType())])
 
     def run(batches):
@@ -307,9 +279,10 @@ def _bigrams(docs: DataFrame, pairs) -> DataFrame:
 
         for batch in batches:
             for texts in batched(_binary(batch.column(0))):
-                got = pairs(*tokens.of(texts))
-                held.append(got)
-                size += got.shape[1]
+                h, sizes = tokens.of(texts)
+                second = np.flatnonzero(_neighbours(h, sizes))
+                held.append(np.stack([h[second - 1], h[second]]))
+                size += len(second)
                 if size > FLUSH:
                     yield flush()
                     held, size = [], 0
@@ -319,26 +292,65 @@ def _bigrams(docs: DataFrame, pairs) -> DataFrame:
     return docs.select("t").mapInArrow(run, schema).groupBy("key").agg(F.min("a").alias("a"), F.sum("n").alias("n"))
 
 
-def score(rows: DataFrame, model: Model, counts: DataFrame) -> DataFrame:
+def _found(keys: np.ndarray, known: np.ndarray, values: np.ndarray, absent: int) -> np.ndarray:
+    """The value of each key among the sorted known ones."""
+    if not len(known):
+        return np.full(len(keys), absent)
+    at = np.minimum(np.searchsorted(known, keys), len(known) - 1)
+    return np.where(known[at] == keys, values[at], absent)
+
+
+def _probed(asks: DataFrame, blocks: DataFrame, schema: T.StructType) -> DataFrame:
+    """Levels of the (chunk, block, key) asked for, as (chunk, h: key, n: level, stored: -1); absent keys get no row."""
+
+    def probe(ask, block):
+        import pyarrow as pa
+
+        if not ask.num_rows or not block.num_rows:
+            return pa.table([pa.array([], pa.int64())] * 4, names=schema.names)
+        chunk, keys = ask.column("chunk").to_numpy(), ask.column("key").to_numpy()
+        level = Bloom([block.column("bits")[0].as_py()]).level(keys)
+        has = level >= 0
+        return pa.table([pa.array(chunk[has]), pa.array(keys[has]), pa.array(level[has]), pa.array(np.full(int(has.sum()), -1))], names=schema.names)
+
+    return asks.groupBy("block").cogroup(blocks.groupBy("block")).applyInArrow(probe, schema)
+
+
+def chunks_of(rows: DataFrame) -> int:
+    return max(1, math.ceil(rows.agg(F.coalesce(F.sum(F.octet_length("t")), F.lit(0)).alias("n")).first().n / CHUNK))
+
+
+def score(rows: DataFrame, model: Model, words: DataFrame, blocks: DataFrame | None, chunks: int) -> DataFrame:
     """From (id, t, ...): id, n_tokens, n_known, base_score, score of every row."""
     spark = rows.sparkSession
-    size = rows.agg(F.coalesce(F.sum(F.octet_length("t")), F.lit(0)).alias("n")).first().n
-    chunks = max(1, math.ceil(size / CHUNK))
     dealt = rows.select(F.pmod(F.xxhash64("id", F.crc32(F.encode("t", "UTF-8"))), F.lit(chunks)).alias("chunk"), "id", "t")
     dealt = dealt.repartition(max(chunks, int(spark.conf.get("spark.sql.shuffle.partitions"))), "chunk")
-    asked = T.StructType([T.StructField("chunk", T.LongType()), T.StructField("h", T.LongType())])
+    long = lambda *names: T.StructType([T.StructField(x, T.LongType()) for x in names])
+    n_blocks = model.n_blocks
+
+    def distinct(table, keys) -> np.ndarray:
+        tokens = Tokens()
+        return np.unique(np.concatenate([np.unique(keys(*tokens.of(texts))) for texts in batched(_binary(table.column("t").combine_chunks()))]))
 
     def ask(table):
         import pyarrow as pa
 
-        tokens, seen = Tokens(), []
-        for texts in batched(_binary(table.column("t").combine_chunks())):
-            seen.append(np.unique(tokens.of(texts)[0]))
-        found = np.unique(np.concatenate(seen))
-        return pa.table([pa.array(np.full(len(found), table.column("chunk")[0].as_py(), dtype=np.int64)), pa.array(found)], names=asked.names)
+        found = distinct(table, lambda h, size: h)
+        return pa.table([pa.array(np.full(len(found), table.column("chunk")[0].as_py(), dtype=np.int64)), pa.array(found)], names=["chunk", "h"])
+
+    def ask_pairs(table):
+        import pyarrow as pa
+
+        def keys(h, size):
+            second = np.flatnonzero(_neighbours(h, size))
+            return pair(h[second - 1], h[second])
+
+        found = distinct(table, keys)
+        return pa.table([pa.array(np.full(len(found), table.column("chunk")[0].as_py(), dtype=np.int64)), pa.array(block_of(found, n_blocks)), pa.array(found)], names=["chunk", "block", "key"])
 
-    wanted = dealt.groupBy("chunk").applyInArrow(ask, asked)
-    answers = wanted.join(counts, "h").select("chunk", "h", "n")
+    answers = dealt.groupBy("chunk").applyInArrow(ask, long("chunk", "h")).join(words, "h").select("chunk", "h", "n", "stored")
+    if blocks is not None:
+        answers = answers.unionByName(_probed(dealt.groupBy("chunk").applyInArrow(ask_pairs, long("chunk", "block", "key")), blocks, long("chunk", "h", "n", "stored")))
     shared = spark.sparkContext.broadcast(model)
     out = T.StructType([rows.schema["id"], T.StructField("n_tokens", T.LongType()), T.StructField("n_known", T.LongType()), T.StructField("base_score", T.DoubleType()), T.StructField("score", T.DoubleType())])
 
@@ -347,15 +359,17 @@ def score(rows: DataFrame, model: Model, counts: DataFrame) -> DataFrame:
 
         if not texts_of.num_rows:
             return pa.table([pa.array([], f) for f in (texts_of.schema.field("id").type, pa.int64(), pa.int64(), pa.float64(), pa.float64())], names=out.names)
-        known, n = answer.column("h").to_numpy(), answer.column("n").to_numpy()
-        order = np.argsort(known)
-        known, n = known[order], n[order]
+        key, n, stored = (answer.column(x).to_numpy() for x in ("h", "n", "stored"))
+        order = np.argsort(key)
+        key, n, stored = key[order], n[order], stored[order]
+        word = stored >= 0
         tokens, model, parts = Tokens(), shared.value, []
+        level_of = model.level if model.blocks is not None else lambda keys: _found(keys, key[~word], n[~word], -1)
+        known, n_of, stored_of = key[word], n[word], stored[word]
         for texts in batched(_binary(texts_of.column("t").combine_chunks())):
             h, size = tokens.of(texts)
-            at = np.minimum(np.searchsorted(known, h), max(0, len(known) - 1))
-            c = np.where(known[at] == h, n[at], 0) if len(known) else np.zeros(len(h), dtype=np.int64)
-            base, own = model.log10(h, c, _neighbours(h, size))
+            c = _found(h, known, n_of, 0)
+            base, own = model.log10(h, c, _found(h, known, stored_of, 0), _neighbours(h, size), level_of)
             first = np.cumsum(size) - size
             parts.append((size, np.add.reduceat((c > 0).astype(np.int64), first), np.add.reduceat(base, first), np.add.reduceat(own, first)))
         return pa.table([texts_of.column("id"), *(pa.array(np.concatenate(x)) for x in zip(*parts))], names=out.names)
@@ -369,5 +383,6 @@ def scored(docs: DataFrame, training, id_col: str = "doc_id", text_col: str = "t
     A null text is the empty one: a single end.  Without training rows every probability is that of a token never seen.
     """
     rows = docs.select(F.col(id_col).alias("id"), F.coalesce(F.col(text_col), F.lit("")).alias("t"), training.alias("train"))
-    model, counts = fit(rows.where("train"))
-    return score(rows.drop("train"), model, counts).select(F.col("id").alias(id_col), "n_tokens", "n_known", F.lit(model.total).cast("long").alias("train_tokens"), "base_score", "score")
+    chunks = chunks_of(rows)
+    model, words, blocks = fit(rows.where("train"), chunks)
+    return score(rows.drop("train"), model, words, blocks, chunks).select(F.col("id").alias(id_col), "n_tokens", "n_known", F.lit(model.total).cast("long").alias("train_tokens"), "base_score", "score")

@@ -172,6 +172,31 @@ def test_language_model(docs):
     assert out[4].score > out[4].base_score
 
 
+@pytest.mark.parametrize("travels", [64, 0])
+def test_language_model_counts_rare_bigrams_of_a_large_corpus(spark, monkeypatch, travels):
+    monkeypatch.setattr(lm_scoring, "BROADCAST_BLOCKS", travels, raising=False)
+    # 400,000 tokens, of which a word of 3 has less than a 65,536th: it takes part in bigrams all the same.
+    rows = [(k, "common " * 4000) for k in range(100)] + [(200 + k, "rare couple") for k in range(3)] + [(300, "rare couple"), (301, "couple rare")]
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    got = {r.doc_id: r for r in lm_scoring.scored(docs, F.col("doc_id") < 300).collect()}
+    texts = [t.split() + [None] for i, t in rows if i < 300]
+    one, two = Counter(w for t in texts for w in t), Counter(p for t in texts for p in zip(t, t[1:]))
+    n, v = sum(one.values()), len(one)
+    edge = lambda c: math.ceil(2 ** (math.floor(2 * math.log2(c) + 1e-9) / 2) - 1e-6) if c else 0
+    share = lambda w: (one[w] + 0.5) / (n + 0.5 * (v + 1))
+
+    def want(text):
+        t = text.split() + [None]
+        out = math.log10(share(t[0]))
+        for a, b in zip(t, t[1:]):
+            kept = sum(edge(c) for (x, _), c in two.items() if x == a)
+            out += math.log10((edge(two[a, b]) + (one[a] - kept + lm_scoring.PRIOR) * share(b)) / (one[a] + lm_scoring.PRIOR))
+        return out
+
+    assert all(got[i].score == pytest.approx(want(t), rel=1e-9) for i, t in rows)
+    assert got[300].score > got[300].base_score + 3
+
+
 def test_quotations(spark):
     rows = [(1, 0, "u", "Hello there\nsecond"), (1, 1, "a", "> hello  there\n> second\nreply"), (1, 2, "u", ">> hello there\n>> second\n> Reply\nthird"), (2, 0, "u", "> third\nforeign"), (3, 0, None, None), (None, 1, "u", "> x"), (1, 1, "a", "> hello  there\n> second\nreply")]
     out = [r for r in quotation.conversations(spark.createDataFrame(rows, "conv_id long, turn long, role string, text string")).collect()]
