@@ -2,7 +2,8 @@
 
 A line that begins with '>' marks is quoted, as deep as it has marks.  Runs of lines of one depth are passages; their
 normalised text (lower case, white space squeezed) is hashed.  Messages offer the hashes of their own words: the whole
-body, its paragraphs, its lines.  A passage links to the earliest earlier message that offers its hash, in its own
+body, its paragraphs, its lines, the runs between its own quotes, and every series of consecutive lines or paragraphs that
+is as long as a passage that begins with the same two.  A passage links to the earliest earlier message that offers its hash, in its own
 conversation if there is one, else in any; "earlier" is by (conv_id, turn), so links have no cycles.  A message answers
 the message that its longest passage of depth 1 links to.  A conversation then holds the messages whose chain of
 answers begins in it, in the order of (conv_id, turn): every answer comes after what it answers.
@@ -19,6 +20,8 @@ from pyspark.sql import Column, DataFrame, Window, functions as F
 from flowmatch.llm.common import written
 
 MARK = r"^((?:>[ \t]?)+)"
+BLANK = r"\n[\x20\x09-\x0D]*\n"
+QUOTED = r"(?md)^>[^\n]*(?:\n|\z)"
 _ID = ["conv_id", "turn"]
 
 
@@ -36,27 +39,58 @@ def body(text: Column) -> Column:
     return F.regexp_replace(F.array_join(kept, "\n"), r"^[\x20\x09-\x0D]+|[\x20\x09-\x0D]+$", "")
 
 
+def units(parts: Column) -> Column:
+    """The normalised parts that have words."""
+    return F.filter(F.transform(parts, normal), lambda x: x != "")
+
+
+def pairs(own: Column, kind: int) -> Column:
+    """(kind, key, i) for each two units that follow one another, i that of the first; keys may clash, as series are compared by their text."""
+    at = lambda i: F.struct(F.lit(kind).alias("kind"), F.xxhash64(F.get(own, i), F.get(own, i + 1)).alias("key"), i.alias("i"))
+    return F.transform(F.when(F.size(own) > 1, F.sequence(F.lit(0), F.size(own) - 2)).otherwise(F.array().cast("array<int>")), at)
+
+
 def passages(messages: DataFrame) -> DataFrame:
-    """(conv_id, turn, row, first, depth, hash, size): the quoted passages that have words."""
+    """(conv_id, turn, row, first, depth, hash, size, starts): the quoted passages that have words; starts are (kind, key, n), the first two of its n lines or paragraphs."""
     quoted = messages.where(F.col("text").rlike(r"(?m)^>")).dropDuplicates([*_ID, "row"]).select(*_ID, "row", F.posexplode(F.split("text", "\n")).alias("at", "line"))
     lines = quoted.select(*_ID, "row", "at", depth(F.col("line")).alias("depth"), F.regexp_replace("line", MARK, "").alias("line"))
     order = Window.partitionBy(*_ID, "row").orderBy("at")
     runs = lines.withColumn("run", F.sum((F.col("depth") != F.lag("depth", 1, -1).over(order)).cast("int")).over(order)).where("depth > 0")
     whole = runs.groupBy(*_ID, "row", "run").agg(F.min("at").alias("first"), F.min("depth").alias("depth"), F.array_sort(F.collect_list(F.struct("at", "line"))).alias("l"))
     said = whole.withColumn("said", normal(F.array_join(F.col("l.line"), " "))).where("said <> ''")
-    return said.select(*_ID, "row", "first", "depth", F.md5(F.col("said").cast("binary")).alias("hash"), F.length("said").alias("size"))
+    said = said.withColumns({"lines": units(F.col("l.line")), "paragraphs": units(F.split(F.array_join("l.line", "\n"), BLANK))})
+    start = lambda c, kind: F.transform(F.slice(pairs(F.col(c), kind), 1, 1), lambda x: F.struct(x.kind.alias("kind"), x.key.alias("key"), F.size(c).alias("n")))
+    return said.select(*_ID, "row", "first", "depth", F.md5(F.col("said").cast("binary")).alias("hash"), F.length("said").alias("size"), F.concat(start("lines", 0), start("paragraphs", 1)).alias("starts"))
 
 
-def offers(messages: DataFrame) -> DataFrame:
-    """(conv_id, turn, hash): what messages say themselves, as a whole, by paragraph, by line."""
-    parts = F.concat(F.array("body"), F.split("body", r"\n[\x20\x09-\x0D]*\n"), F.split("body", "\n"))
-    return messages.where("conv_id is not null and turn is not null").select(*_ID, F.explode(F.array_distinct(F.transform(parts, normal))).alias("said")).where("said <> ''").select(*_ID, F.md5(F.col("said").cast("binary")).alias("hash"))
+def offers(messages: DataFrame, found: DataFrame) -> DataFrame:
+    """(conv_id, turn, hash): what messages say themselves, as a whole, by paragraph, by line, by run between quotes, and by series that passages may be."""
+    messages = messages.where("conv_id is not null and turn is not null")
+    parts = F.concat(F.array("body"), F.split("body", BLANK), F.split("body", "\n"), F.split("text", QUOTED))
+    said = messages.select(*_ID, F.explode(F.array_distinct(units(parts))).alias("said"))
+    return said.unionByName(series(messages, found)).select(*_ID, F.md5(F.col("said").cast("binary")).alias("hash"))
+
+
+def series(messages: DataFrame, found: DataFrame) -> DataFrame:
+    """(conv_id, turn, said): series of a message's lines or paragraphs, quotes left out, that begin as a passage of as many does.
+
+    Rows are the places where a passage's first two units are, times the lengths of passages that begin so: never messages times passages.
+    """
+    asked = found.select(F.explode("starts").alias("s")).groupBy("s.kind", "s.key").agg(F.collect_set("s.n").alias("lengths"))
+    paragraphs = F.flatten(F.transform(F.split("text", QUOTED), lambda run: F.split(run, BLANK)))
+    own = messages.dropDuplicates([*_ID, "row"]).select(*_ID, "row", units(F.split("body", "\n")).alias("lines"), units(paragraphs).alias("paragraphs"))
+    places = own.select(*_ID, "row", F.explode(F.concat(pairs(F.col("lines"), 0), pairs(F.col("paragraphs"), 1))).alias("u")).select(*_ID, "row", "u.*")
+    hit = places.join(asked, ["kind", "key"]).select(*_ID, "row", "kind", "i", F.explode("lengths").alias("n"))
+    cuts = hit.groupBy(*_ID, "row").agg(F.collect_set(F.struct("kind", "i", "n")).alias("cuts"))
+    of = lambda c: F.when(c.kind == 0, F.col("lines")).otherwise(F.col("paragraphs"))
+    whole = F.filter("cuts", lambda c: c.i + c.n <= F.size(of(c)))
+    return cuts.join(own, [*_ID, "row"]).select(*_ID, F.explode(F.array_distinct(F.transform(whole, lambda c: F.array_join(F.slice(of(c), c.i + 1, c.n), " ")))).alias("said"))
 
 
 def links(messages: DataFrame) -> DataFrame:
     """Per passage: its columns, and parent (conv_id, turn) or null."""
-    found = passages(messages)
-    offered = offers(messages).join(found.select("hash").distinct(), "hash", "left_semi")
+    found = written(passages(messages), "passages")
+    offered = offers(messages, found).join(found.select("hash").distinct(), "hash", "left_semi")
     near = offered.groupBy("conv_id", "hash").agg(F.min("turn").alias("near"))
     far = offered.groupBy("hash").agg(F.min(F.struct(*_ID)).alias("far"))
     both = found.join(near, ["conv_id", "hash"], "left").join(far, "hash", "left")

@@ -203,3 +203,35 @@ def test_quotations(spark):
     got = {(r.conv_id, r.turn): r for r in out}
     assert len(out) == len(rows) and (got[1, 1].parent_turn, got[1, 2].parent_turn, got[2, 0].parent_conv, got[2, 0].thread_id, got[2, 0].hops) == (0, 1, 1, 1, 3)
     assert got[1, 2].body == "third" and got[1, 2].n_linked == 2 and got[1, 2].quote_depth == 2 and sorted(r.position for r in out if r.thread_id == 1) == [0, 1, 2, 3, 4]
+
+
+def test_quotations_of_parts(spark):
+    squeezed = lambda x: " ".join(x.lower().split())
+    rows = [
+        (1, 0, "u", "one\ntwo\nThree\nfour\n\nfive\nsix\n\nseven"),
+        (1, 1, "a", "> two\n> three\nlines of a paragraph, said at length"),
+        (1, 2, "u", "> one two\n> three four\n>\n> five\n> six\nparagraphs, wrapped anew"),
+        (1, 3, "a", "> lines of a paragraph, said at length\nA1\nA2\n\n> paragraphs, wrapped anew\nB1\nB2"),
+        (1, 4, "u", "> A1\n> A2\nyes\n> B1 B2\nno"),
+        (1, 5, "u", "> two\n> four\nnot consecutive"),
+        (1, 6, "u", "> two\n> three\n> four\n>\n> five\n> eight\nends otherwise"),
+        (2, 0, "u", "> Six\n>\n> seven\nfrom afar"),
+    ]
+    out = {(r.conv_id, r.turn): r for r in quotation.conversations(spark.createDataFrame(rows, "conv_id long, turn long, role string, text string")).collect()}
+    said = {(c, t): squeezed(" ".join(x for x in text.split("\n") if not x.startswith(">"))) for c, t, _, text in rows}
+
+    def parent(c, t, text):
+        """The earliest message in its own conversation, else of all, whose words hold those of the first passage."""
+        quote = []
+        for line in text.split("\n"):
+            if line.startswith(">"):
+                quote.append(line[1:])
+            elif quote:
+                break
+        quote = f" {squeezed(' '.join(quote))} "
+        near = [k for k in sorted(said) if k < (c, t) and quote in f" {said[k]} "]
+        return next((k for k in near if k[0] == c), near[0] if near else (None, None))
+
+    for c, t, _, text in rows[1:]:
+        assert (out[c, t].parent_conv, out[c, t].parent_turn) == parent(c, t, text), (c, t)
+    assert out[1, 4].n_passages == out[1, 4].n_linked == 2 and out[1, 4].parent_turn == 3 and out[2, 0].parent_conv == 1 and out[1, 5].n_linked == out[1, 6].n_linked == 0
