@@ -6,23 +6,23 @@ mapped by their kernels with a few landmark texts, whitened by the landmarks' ow
 ridge regression is then a small linear solve, with targets 0 and 1.  Scoring a batch is two matrix products: presence
 of the landmarks' grams by the landmark matrix, then the weights.
 
-Characters are those of the lower-cased text, the ``ALPHABET`` most frequent letters of the sample and one symbol for
-any run of anything else; so a gram is a number below (ALPHABET + 1)^3 and nothing is hashed.  What is learnt from is bounded: at
-most ``PER_CLASS`` texts of each of at most ``CLASSES`` languages (the most frequent), ``LANDMARKS`` of them landmarks.
+Characters are those of the lower-cased text: every letter is itself, and any run of anything else is one symbol; so a gram
+is a number of three code points of 21 bits, and nothing is hashed or left out.  Every language is learnt.  What is learnt from is bounded:
+``PER_CLASS`` texts of each language, fewer where more than ``SAMPLE`` texts would come together, but one at least;
+``LANDMARKS`` of them, and one of each language at least, are landmarks.
 """
 
 from __future__ import annotations
 
-from collections import Counter
+from functools import cache
 
 import numpy as np
 from pyspark.sql import DataFrame, Window, functions as F, types as T
 
 from flowmatch.llm.common import first_by_hash
 
-ALPHABET, PER_CLASS, CLASSES, LANDMARKS, RIDGE, SALTS = 127, 320, 64, 256, 1e-2, 16
-BASE = ALPHABET + 1
-GRAMS = BASE + BASE**2 + BASE**3
+PER_CLASS, SAMPLE, LANDMARKS, RIDGE, SALTS = 320, 20_480, 256, 1e-2, 16
+POINT, OTHER = 21, 1  # bits of a code point; the symbol of what is no letter, itself the code point of none
 UNKNOWN = "und"
 
 
@@ -30,74 +30,61 @@ def has_letter(text: str | None) -> bool:
     return bool(text) and (any(map(str.isalpha, text[:200])) or any(map(str.isalpha, text)))
 
 
-class StringKernel:
-    """Turns a text into the sorted numbers of the grams present in it."""
-
-    def __init__(self, texts: list[str]):
-        seen = Counter()
-        for t in texts:
-            seen.update(t.lower())
-        letters = [c for c, _ in sorted(((c, n) for c, n in seen.items() if c.isalpha()), key=lambda x: (-x[1], x[0]))[:ALPHABET]]
-        self.table = np.full(0x110000, 0, dtype=np.uint8)
-        self.table[[ord(c) for c in letters]] = np.arange(1, len(letters) + 1, dtype=np.uint8)
-
-    def grams(self, text: str) -> np.ndarray:
-        points = np.frombuffer(text.lower().encode("utf-32-le", "surrogatepass"), dtype=np.uint32)
-        x = self.table[points]
-        keep = np.ones(len(x), dtype=bool)
-        keep[1:] = (x[1:] != 0) | (x[:-1] != 0)
-        x = x[keep].astype(np.int32)
-        found = [np.unique(x)]
-        if len(x) > 1:
-            two = x[:-1] * BASE + x[1:]
-            present = np.zeros(BASE * BASE, dtype=bool)
-            present[two] = True
-            found.append(np.flatnonzero(present) + BASE)
-            if len(x) > 2:
-                found.append(np.unique(two[:-1] * BASE + x[2:]) + (BASE + BASE * BASE))
-        return np.concatenate(found)
+@cache
+def _symbols() -> np.ndarray:
+    """Of every code point: itself if it is a letter's, else ``OTHER``."""
+    return np.array([k if chr(k).isalpha() else OTHER for k in range(0x110000)], dtype=np.int32)
+
+
+def grams(text: str) -> np.ndarray:
+    """The sorted numbers of the grams present in a text."""
+    x = _symbols()[np.frombuffer(text.lower().encode("utf-32-le", "surrogatepass"), dtype=np.uint32)]
+    keep = np.ones(len(x), dtype=bool)
+    keep[1:] = (x[1:] != OTHER) | (x[:-1] != OTHER)
+    x = x[keep].astype(np.int64)
+    two = x[:-1] << POINT | x[1:]
+    return np.concatenate([np.unique(x), np.unique(two), np.unique(two[:-1] << POINT | x[2:])])  # no symbol is 0, so longer grams are larger
 
 
 class Nystroem:
     def __init__(self, texts: list[str], langs: list[str]):
         self.langs = sorted(set(langs))
-        self.kernel = StringKernel(texts)
         if not texts:
             return
-        grams = [self.kernel.grams(t) for t in texts]
+        found = [grams(t) for t in texts]
         # Landmarks go round the languages, the richest texts first, so that each language has its share.
         rank: dict[str, int] = {}
         order = []
-        for i in sorted(range(len(texts)), key=lambda i: -len(grams[i])):
+        for i in sorted(range(len(texts)), key=lambda i: -len(found[i])):
             rank[langs[i]] = rank.get(langs[i], 0) + 1
             order.append((rank[langs[i]], langs[i], i))
-        marks = [i for *_, i in sorted(order)][:LANDMARKS]
-        vocabulary = np.unique(np.concatenate([grams[i] for i in marks]))
-        self.column = np.full(GRAMS, -1, dtype=np.int32)
-        self.column[vocabulary] = np.arange(len(vocabulary), dtype=np.int32)
-        self.marks = np.zeros((len(vocabulary), len(marks)), dtype=np.float32)
-        for k, i in enumerate(marks):
-            self.marks[self.column[grams[i]], k] = 1 / np.sqrt(max(1, len(grams[i])))
-        values, vectors = np.linalg.eigh(self._kernel([grams[i] for i in marks]).astype(np.float64))
+        marks = [i for *_, i in sorted(order)][: max(LANDMARKS, len(self.langs))]
+        # Of each gram of the landmarks, in order: which landmarks have it.
+        have = np.concatenate([found[i] for i in marks])
+        owner = np.repeat(np.arange(len(marks), dtype=np.int32), [len(found[i]) for i in marks])
+        order = np.argsort(have, kind="stable")
+        self.vocabulary, first = np.unique(have[order], return_index=True)
+        self.owner, self.first = owner[order], np.r_[first, len(have)]
+        self.norm = np.sqrt([max(1, len(found[i])) for i in marks])
+        values, vectors = np.linalg.eigh(self._kernel([found[i] for i in marks]))
         good = values > 1e-6 * values.max()
         whiten = vectors[:, good] / np.sqrt(values[good])
-        mapped = self._kernel(grams) @ whiten
+        mapped = self._kernel(found) @ whiten
         y = (np.array(langs)[:, None] == np.array(self.langs)[None, :]).astype(np.float64)
         # Languages weigh alike, whatever their share of the sample.
         weight = (y / y.sum(axis=0)).sum(axis=1) * len(y) / len(self.langs)
         left = (mapped * weight[:, None]).T @ mapped + RIDGE * len(y) / 100 * np.eye(mapped.shape[1])
-        self.weights = (whiten @ np.linalg.solve(left, (mapped * weight[:, None]).T @ y)).astype(np.float32)
-
-    def _kernel(self, grams: list[np.ndarray]) -> np.ndarray:
-        """Kernels of the texts with the landmarks: the landmark rows of each text's grams, summed as one product per block."""
-        out = np.empty((len(grams), self.marks.shape[1]), dtype=np.float32)
-        for start in range(0, len(grams), 64):
-            block = grams[start : start + 64]
-            present = np.zeros((len(block), len(self.marks)), dtype=np.float32)
-            for k, g in enumerate(block):
-                at = self.column[g]
-                present[k, at[at >= 0]] = 1 / np.sqrt(max(1, len(g)))
-            out[start : start + 64] = present @ self.marks
+        self.weights = (whiten @ np.linalg.solve(left, (mapped * weight[:, None]).T @ y))
+
+    def _kernel(self, found: list[np.ndarray]) -> np.ndarray:
+        """Kernels of the texts, given by their grams, with the landmarks."""
+        out = np.empty((len(found), len(self.norm)))
+        for k, g in enumerate(found):
+            at = np.minimum(np.searchsorted(self.vocabulary, g), len(self.vocabulary) - 1)
+            at = at[self.vocabulary[at] == g] if len(self.vocabulary) else at[:0]
+            n = self.first[at + 1] - self.first[at]
+            owners = self.owner[np.repeat(self.first[at] - np.cumsum(n) + n, n) + np.arange(n.sum())]
+            out[k] = np.bincount(owners, minlength=len(self.norm)) / (self.norm * np.sqrt(max(1, len(g))))
         return out
 
     def predict(self, texts: list[str | None]) -> tuple[list[str], np.ndarray]:
@@ -106,7 +93,7 @@ class Nystroem:
         some = [i for i, t in enumerate(texts) if has_letter(t)] if self.langs else []
         for start in range(0, len(some), 64):
             part = some[start : start + 64]
-            values = self._kernel([self.kernel.grams(texts[i]) for i in part]) @ self.weights
+            values = self._kernel([grams(texts[i]) for i in part]) @ self.weights
             best = values.argmax(axis=1)
             for i, k, v in zip(part, best.tolist(), values.max(axis=1).tolist()):
                 names[i], scores[i] = self.langs[k], min(1.0, max(0.0, v))
@@ -120,14 +107,16 @@ def fit(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", lang_co
     language's rows together, however many they are.
     """
     rows = docs.select(F.col(id_col).alias("id"), F.col(text_col).alias("t"), F.col(lang_col).cast("string").alias("l")).where("t is not null and l is not null")
-    common = [r.l for r in rows.groupBy("l").count().orderBy(F.desc("count"), "l").limit(CLASSES).collect()]
+    n = max(1, rows.select("l").distinct().count())
+    each = max(1, min(PER_CLASS, SAMPLE // n))
     salt = F.pmod(F.xxhash64("id", F.lit(3)), F.lit(SALTS))
-    order = Window.partitionBy("l", "s").orderBy("h", "id")
+    order, again = (Window.partitionBy(*by).orderBy("h", "id") for by in (("l", "s"), ("l",)))
     picked = (
-        rows.select("id", "l", salt.alias("s"), F.xxhash64("id", F.lit(5)).alias("h")).where(F.col("l").isin(common))
-        .withColumn("k", F.row_number().over(order)).where(F.col("k") <= PER_CLASS // SALTS).select("id", "l")
+        rows.select("id", "l", salt.alias("s"), F.xxhash64("id", F.lit(5)).alias("h"))
+        .withColumn("k", F.row_number().over(order)).where(F.col("k") <= max(1, each // SALTS))
+        .withColumn("k", F.row_number().over(again)).where(F.col("k") <= each).select("id", "l")
     )
-    sample = rows.join(F.broadcast(picked.distinct()), ["id", "l"]).orderBy(F.xxhash64("id"), "t").limit(PER_CLASS * max(1, len(common))).collect()
+    sample = rows.join(F.broadcast(picked.distinct()), ["id", "l"]).groupBy("id", "l").agg(F.min("t").alias("t")).orderBy(F.xxhash64("id"), "t").collect()
     return Nystroem([r.t for r in sample], [r.l for r in sample])
 
 

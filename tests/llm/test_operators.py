@@ -235,3 +235,15 @@ def test_quotations_of_parts(spark):
     for c, t, _, text in rows[1:]:
         assert (out[c, t].parent_conv, out[c, t].parent_turn) == parent(c, t, text), (c, t)
     assert out[1, 4].n_passages == out[1, 4].n_linked == 2 and out[1, 4].parent_turn == 3 and out[2, 0].parent_conv == 1 and out[1, 5].n_linked == out[1, 6].n_linked == 0
+
+
+def test_every_language_and_letter_is_learnt(spark, monkeypatch):
+    monkeypatch.setattr(language_id, "LANDMARKS", 8)
+    # 70 languages of 20 letters each of one large script: more than 64 languages, 1,400 letters.
+    rng = np.random.default_rng(2)
+    text = lambda k: " ".join("".join(chr(0x4E00 + 20 * k + int(c)) for c in rng.integers(0, 20, 6)) for _ in range(12))
+    rows = [(100 * k + i, text(k), f"l{k}") for k in range(70) for i in range(3)]
+    model = language_id.fit(spark.createDataFrame(rows, "doc_id long, text string, lang string"))
+    assert model.langs == sorted(f"l{k}" for k in range(70)) and model.predict([text(k) for k in range(70)])[0] == [f"l{k}" for k in range(70)]
+    sets = [{t.lower()[i : i + n] for n in (1, 2, 3) for i in range(len(t) - n + 1)} for t in ("a bc", "ab ab \u4e00")]
+    assert [len(language_id.grams(t)) for t in ("a bc", "ab, ab \u4e00")] == [len(x) for x in sets]
