@@ -22,6 +22,7 @@ from pyspark.sql import DataFrame, Window, functions as F, types as T
 from flowmatch.llm.common import first_by_hash
 
 PER_CLASS, SAMPLE, LANDMARKS, RIDGE, SALTS = 320, 20_480, 256, 1e-2, 16
+HELD, LOW, MARGIN = 5, 0.001, 0.6  # every so many texts of a language are held back; the quantile of their scores, and the part of it, that a row must reach
 POINT, OTHER = 21, 1  # bits of a code point; the symbol of what is no letter, itself the code point of none
 UNKNOWN = "und"
 
@@ -48,7 +49,7 @@ def grams(text: str) -> np.ndarray:
 
 class Nystroem:
     def __init__(self, texts: list[str], langs: list[str]):
-        self.langs = sorted(set(langs))
+        self.langs, self.least = sorted(set(langs)), 0.0
         if not texts:
             return
         found = [grams(t) for t in texts]
@@ -117,7 +118,25 @@ def fit(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", lang_co
         .withColumn("k", F.row_number().over(again)).where(F.col("k") <= each).select("id", "l")
     )
     sample = rows.join(F.broadcast(picked.distinct()), ["id", "l"]).groupBy("id", "l").agg(F.min("t").alias("t")).orderBy(F.xxhash64("id"), "t").collect()
-    return Nystroem([r.t for r in sample], [r.l for r in sample])
+    return calibrated([r.t for r in sample], [r.l for r in sample])
+
+
+def calibrated(texts: list[str], langs: list[str]) -> Nystroem:
+    """The model of all the texts; ``least`` is the score that :func:`identified` asks for, from texts held back from a model of the others.
+
+    Only held-back texts named rightly count, so that mislabelled ones do not lower it.  Without any it is 0.
+    """
+    model, seen, held = Nystroem(texts, langs), {}, []
+    for t, lang in zip(texts, langs):
+        seen[lang] = seen.get(lang, 0) + 1
+        held.append(seen[lang] % HELD == 0)
+    if any(held):
+        others = Nystroem([t for t, h in zip(texts, held) if not h], [x for x, h in zip(langs, held) if not h])
+        back = [(t, x) for t, x, h in zip(texts, langs, held) if h]
+        names, scores = others.predict([t for t, _ in back])
+        right = [v for n, v, (_, x) in zip(names, scores, back) if n == x]
+        model.least = MARGIN * float(np.quantile(right, LOW)) if right else 0.0
+    return model
 
 
 def predict(docs: DataFrame, model: Nystroem, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -136,14 +155,14 @@ def predict(docs: DataFrame, model: Nystroem, id_col: str = "doc_id", text_col:
 
 
 def identified(docs: DataFrame, model: Nystroem, text_col: str = "text") -> DataFrame:
-    """The rows of ``docs``, all their columns, that are in one of the learnt languages: those not ``und``."""
+    """The rows of ``docs``, all their columns, that are in one of the learnt languages: those not ``und`` whose score is as high as held-back texts' are."""
     at = docs.columns.index(text_col)
 
     def run(batches):
         import pyarrow as pa
 
         for b in batches:
-            names, _ = model.predict(b.column(at).to_pylist())
-            yield b.filter(pa.array([n != UNKNOWN for n in names]))
+            names, scores = model.predict(b.column(at).to_pylist())
+            yield b.filter(pa.array([n != UNKNOWN and v >= model.least for n, v in zip(names, scores.tolist())], pa.bool_()))
 
     return docs.mapInArrow(run, docs.schema)
