@@ -238,7 +238,7 @@ add(
       union all select distinct 'a', dst from g where {_HA} and src in (select o from o) union all select distinct 's', dst from g where {_FA} and src in (select o from o)""",
 )
 add("dual_sim_triangle_v1", lambda spark, d: dual_simulation(V.handoff(spark, d), P["triangle"], keep=stored), None)
-add("strong_sim_v3", lambda spark, d: strong_simulation(V.commerce(spark, d).where("label in ('PLACED_1-URGENT_F', 'HAS_RF', 'FROM_AF')"), P["trade2"], keep=stored), None)
+add("strong_sim_v3", lambda spark, d: strong_simulation(V.commerce(spark, d), P["trade2"], keep=stored), None)
 
 # --- baselines -------------------------------------------------------------------------------------------------------
 add("brute_t3_count_v1", lambda spark, d: B.brute_force(V.handoff(spark, d), P["t3_path"], ISO).agg(F.count("*").alias("n")), O.embeddings(P["t3_path"], "v1", select="count(*) as n"))
