@@ -51,7 +51,8 @@ for _name, _key, _v in (("iso_t3_v1", "t3_path", "v1"), ("iso_t6_v3", "t6_trade"
     pattern(_name, _key, _v, ISO)
 for _name, _key in (("homo_triangle_v1", "triangle"), ("homo_clique4_v1", "clique4"), ("homo_rectangle_v1", "rectangle"), ("homo_dual_triangle_v1", "dual_triangle")):
     pattern(_name, _key, "v1", HOMO)
-counted("homo_clique5_count_v1", "clique5", "v1", HOMO)
+add("homo_clique5_count_v1", lambda spark, d: enumerate_all(V.VIEWS["v1"](spark, d), P["clique5"], HOMO).agg(F.count("*").alias("n")), None)
+counted("homo_clique5_labelled_count_v1", "clique5_labelled", "v1", HOMO)
 counted("iso_t3_star_count_v1", "t3_star", "v1", ISO)
 counted("homo_t3_count_v1", "t3_path", "v1", HOMO)
 counted("homo_wild_triangle_count_v1", "triangle_any", "v1", HOMO)

@@ -22,7 +22,8 @@ PATTERNS: dict[str, Pattern] = {
         "rectangle": "(a)-[x:purchase]->(b)-[y:click]->(c)-[z:view]->(d)-[w:error]->(a)",
         "dual_triangle": "(a)-[x:purchase]->(b)-[y:click]->(c)-[z:view]->(a),(b)-[p:error]->(d)-[q:signup]->(a)",
         "clique4": "(a)-[x:purchase]->(b)-[y:click]->(c),(a)-[z:view]->(c)-[p:error]->(d),(a)-[q:signup]->(d),(b)-[r]->(d)",
-        "clique5": "(a)-[x:purchase]->(b)-[y:click]->(c),(a)-[z:view]->(c)-[p:error]->(d),(a)-[q:signup]->(d),(b)-[r]->(d),(a)-[s:purchase]->(e),(b)-[t:click]->(e),(c)-[u:view]->(e),(d)-[w:error]->(e)",
+        "clique5": "(a)-[x:purchase]->(b)-[y:click]->(c),(a)-[z:view]->(c)-[p:error]->(d),(a)-[q:signup]->(d),(b)-[r]->(d),(a)-[s]->(e),(b)-[t]->(e),(c)-[u]->(e),(d)-[w]->(e)",
+        "clique5_labelled": "(a)-[x:purchase]->(b)-[y:click]->(c),(a)-[z:view]->(c)-[p:error]->(d),(a)-[q:signup]->(d),(b)-[r]->(d),(a)-[s:purchase]->(e),(b)-[t:click]->(e),(c)-[u:view]->(e),(d)-[w:error]->(e)",
         "shared_resource": "(x:user)-[e:error]->(r:resource)<-[p:purchase]-(y:user)-[c:click]->(q:resource)",
         "two_users": "(x)-[a:purchase]->(r)<-[b:purchase]-(y)-[c:error]->(q)<-[d:error]-(x)",
         "t6_trade": "(c:customer)-[p:PLACED_1-URGENT_F]->(o:order)-[h:HAS_RF]->(a:part),(o)-[f:FROM_AF]->(s:supplier)-[b:BASED]->(n:nation)-[r:IN_REGION]->(g:region),(c)-[l:LIVES_BUILDING]->(m:nation)",

@@ -44,3 +44,23 @@ def test_strong_simulation_measures_distance_in_the_whole_graph(spark, monkeypat
     monkeypatch.setattr(V, "commerce", lambda spark, d: spark.createDataFrame(rows, EDGE_SCHEMA))
     got = [(r.center, r.qvertex, r.vid) for r in Q.queries()["strong_sim_v3"](spark, "").collect()]
     assert len(got) == len(set(got)) and set(got) == strong(rows, PATTERNS["trade2"]) and (20, "o", 11) in got
+
+
+def test_five_clique_keeps_its_wildcards(spark, monkeypatch):
+    labels = ["purchase", "click", "view", "error", "signup"]
+    kinds = {(0, 1): "purchase", (1, 2): "click", (0, 2): "view", (2, 3): "error", (0, 3): "signup", (1, 3): "view"}
+    ends = [(*k, x) for k, x in kinds.items()] + [(a, e, labels[(a + e) % 5]) for a in range(4) for e in (4, 5)] + [(0, 4, "error"), (3, 5, "click")]
+    rows = [(i, a, b, "user", "user", x, i, 1.0) for i, (a, b, x) in enumerate(ends)]
+    monkeypatch.setitem(V.VIEWS, "v1", lambda spark, d: spark.createDataFrame(rows, EDGE_SCHEMA))
+    pattern = PATTERNS["clique5"]
+    want = 0
+    for chosen in product(range(6), repeat=5):
+        at, n = dict(zip("abcde", chosen)), 1
+        for e in pattern.edges:
+            n *= sum((r[1], r[2]) == (at[e.src], at[e.dst]) and (not e.labels or r[5] in e.labels) for r in rows)
+            if not n:
+                break
+        want += n
+    found = Q.queries()
+    assert sum(not e.labels for e in pattern.edges) == 5 and found["homo_clique5_count_v1"](spark, "").first().n == want > 0
+    assert found["homo_clique5_labelled_count_v1"](spark, "").first().n < want
