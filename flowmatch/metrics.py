@@ -5,7 +5,7 @@ from __future__ import annotations
 import time
 from collections.abc import Callable
 
-from pyspark.sql import Column, DataFrame, SparkSession, functions as F
+from pyspark.sql import Column, DataFrame, SparkSession, Window, functions as F
 
 from flowmatch.functions.rules import bit
 from flowmatch.operators import index as ix
@@ -42,10 +42,12 @@ def edge_events(edges: DataFrame, config: StreamConfig) -> DataFrame:
     return one.unionByName(edges.select("src", config.dies().alias("snapshot"), F.lit(0).alias("inserts"), F.lit(1).alias("deletes")))
 
 
-def placeholders(events: DataFrame, upto: int, reclaim: bool = True) -> DataFrame:
-    """One row ``slots``: edge placeholders allocated by snapshot ``upto``, summed over source vertices."""
-    own = ix.assign_slots(events.where(F.col("snapshot") <= upto), reclaim)
-    return own.groupBy("src").agg(F.max("slots").alias("slots")).agg(F.coalesce(F.sum("slots"), F.lit(0)).cast("long").alias("slots"))
+def placeholders(events: DataFrame, reclaim: bool = True) -> DataFrame:
+    """(snapshot_id, slots) of every snapshot with events: edge placeholders allocated by then, summed over source vertices; in between they stay as they are."""
+    own = ix.assign_slots(events, reclaim)
+    more = F.col("slots") - F.coalesce(F.lag("slots").over(Window.partitionBy("src").orderBy("snapshot")), F.lit(0))
+    by_snapshot = own.select("snapshot", more.alias("more")).groupBy(F.col("snapshot").alias("snapshot_id")).agg(F.sum("more").alias("more"))
+    return by_snapshot.select("snapshot_id", F.sum("more").over(Window.orderBy("snapshot_id")).cast("long").alias("slots"))  # one row per snapshot
 
 
 def traversals(edges: DataFrame, plan: Plan, batch: Column, shared: bool = True) -> DataFrame:

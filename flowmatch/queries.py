@@ -279,9 +279,12 @@ _ev = f"select src, ceil(ts / {10 * MINUTE}.0)::bigint as s, 1 as i, 0 as x from
 
 
 def _slots(spark: SparkSession, d: str, reclaim: bool) -> DataFrame:
-    e = V.access(spark, d)
-    first = e.agg(F.min(_slide.born())).first()[0]
-    return M.placeholders(M.edge_events(e, _slide), first + 432, reclaim)
+    return M.placeholders(M.edge_events(V.access(spark, d), _slide), reclaim)
+
+
+def _slots_3days(spark: SparkSession, d: str, reclaim: bool) -> DataFrame:
+    first = V.access(spark, d).agg(F.min(_slide.born())).first()[0]
+    return _slots(spark, d, reclaim).where(F.col("snapshot_id") <= first + 432).agg(F.coalesce(F.max("slots"), F.lit(0)).alias("slots"))
 
 
 def _slots_sql(value: str) -> str:
@@ -289,8 +292,17 @@ def _slots_sql(value: str) -> str:
       r as (select src, {value} as slots from (select *, coalesce(sum(i - x) over (partition by src order by s rows between unbounded preceding and 1 preceding), 0) as before from s) group by src) select coalesce(sum(slots), 0)::bigint as slots from r"""
 
 
-add("placeholders_reclaim_v2", lambda spark, d: _slots(spark, d, True), _slots_sql("max(before + i)"))
-add("placeholders_plain_v2", lambda spark, d: _slots(spark, d, False), _slots_sql("sum(i)"))
+def _series_sql(value: str) -> str:
+    return f"""with v as materialized ({O.SQL['v2']}), ev as ({_ev}), s as (select src, s, sum(i) as i, sum(x) as x from ev group by all),
+      b as (select *, coalesce(sum(i - x) over (partition by src order by s rows between unbounded preceding and 1 preceding), 0) as before from s),
+      r as (select src, s, {value} over (partition by src order by s) as slots from b), g as (select s, slots - coalesce(lag(slots) over (partition by src order by s), 0) as more from r)
+      select s as snapshot_id, (sum(sum(more)) over (order by s))::bigint as slots from g group by s"""
+
+
+add("placeholders_reclaim_v2", lambda spark, d: _slots(spark, d, True), _series_sql("max(before + i)"))
+add("placeholders_plain_v2", lambda spark, d: _slots(spark, d, False), _series_sql("sum(i)"))
+add("placeholders_reclaim_3days_v2", lambda spark, d: _slots_3days(spark, d, True), _slots_sql("max(before + i)"))
+add("placeholders_plain_3days_v2", lambda spark, d: _slots_3days(spark, d, False), _slots_sql("sum(i)"))
 _star = compile_plan(P["star2"], root="a", profile="none")
 add(
     "traversals_level1_v1",

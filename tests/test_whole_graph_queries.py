@@ -2,8 +2,6 @@
 
 from itertools import product
 
-from pyspark.sql import functions as F
-
 from flowmatch import queries as Q
 from flowmatch.plans.pattern import diameter
 from flowmatch.sources import views as V
@@ -64,3 +62,17 @@ def test_five_clique_keeps_its_wildcards(spark, monkeypatch):
     found = Q.queries()
     assert sum(not e.labels for e in pattern.edges) == 5 and found["homo_clique5_count_v1"](spark, "").first().n == want > 0
     assert found["homo_clique5_labelled_count_v1"](spark, "").first().n < want
+
+
+def test_placeholders_cover_the_whole_table(spark, monkeypatch):
+    at = [(1, 0), (1, 5), (2, 70), (1, 200), (1, 900), (1, 901), (1, 902), (2, 1100), (2, 1100)]  # (src, snapshot)
+    rows = [(i, s, 9, "user", "resource", "click", k * 10 * MINUTE, 1.0) for i, (s, k) in enumerate(at)]
+    monkeypatch.setattr(V, "access", lambda spark, d: spark.createDataFrame(rows, EDGE_SCHEMA))
+    life = DAY // (10 * MINUTE)
+    for name, reclaim in (("placeholders_reclaim_v2", True), ("placeholders_plain_v2", False)):
+        want = {}
+        for k in sorted({x for _, b in at for x in (b, b + life)}):
+            # What is alive before a snapshot holds its slot through it.
+            need = lambda s, j: sum(x == s and b <= j and (not reclaim or b + life >= j and (b == j or b + life > j - 1)) for x, b in at)
+            want[k] = sum(max(need(s, j) for j in {b for x, b in at if x == s and b <= k} or {-1}) for s in (1, 2))
+        assert {r.snapshot_id: r.slots for r in Q.queries()[name](spark, "").collect()} == want
