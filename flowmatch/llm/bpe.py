@@ -6,14 +6,16 @@ pairs over bytes held in a doubly linked list, lowest rank first and leftmost am
 of n bytes.  The same merge order is what the tiktoken library uses, so ids agree with it.
 
 The vocabulary is of a checked size (``MAX_VOCABULARY`` entries); it travels to the executors in the broadcast that
-Spark makes of the function.  The work is one narrow pass, with no shuffle and nothing kept between batches but a
-memo of at most ``MEMO`` pre-tokens.
+Spark makes of the function, and each worker sets it up once, for all its tasks.  The work is one narrow pass, with no
+shuffle; texts become Python strings a few megabytes at a time, and all that is kept is a memo of at most ``MEMO``
+pre-tokens.
 """
 
 from __future__ import annotations
 
 import base64
 import hashlib
+import pickle
 import re
 from array import array
 from functools import lru_cache
@@ -22,14 +24,13 @@ from heapq import heapify, heappop, heappush
 import numpy as np
 from pyspark.sql import DataFrame, functions as F, types as T
 
-from flowmatch.llm.common import text_bytes
+from flowmatch.llm.common import lean, pieces
 
 MAX_VOCABULARY = 1 << 20
 MEMO = 250_000
 
-# The split pattern of the vocabulary; the same split for texts with no character of OTHER, in the syntax
-# of the faster re module (there, letters are what \w has besides digits and '_', and \s agrees on what is left).
-LONG = r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"
+# The split of public_tokenizers.PATTERN for texts with no character of OTHER, in the syntax of the faster
+# re module (there, letters are what \w has besides digits and '_', and \s agrees on what is left).
 PLAIN = r"'s|'t|'re|'ve|'m|'ll|'d| ?[^\W\d_]+| ?\d+| ?(?:[^\s\w]|_)+|\s+(?!\S)|\s+"
 OTHER = "[^\x00-\x1b\x20-\x84\x86-\x9f\xa1-\xb1\xb4-\xb8\xba\xbb\xbf-\u024f]"
 
@@ -106,9 +107,25 @@ class PerfectHash:
         return (_mixed(h, self.seeds[(h % np.uint64(len(self.seeds))).astype(np.int64)]) % np.uint64(self.n)).astype(np.int64).tolist()
 
 
+_held: dict[str, Codec] = {}
+
+
+def _restored(digest: str, state: bytes) -> Codec:
+    """The worker's own codec: set up when the first task brings it, found again by the others."""
+    if digest not in _held:
+        made = Codec.__new__(Codec)
+        made.__dict__.update(pickle.loads(state))
+        _held.clear()
+        _held[digest] = made
+    return _held[digest]
+
+
 class Codec:
     def __init__(self, ranks: dict[bytes, int], pattern: str):
-        self.pattern = pattern
+        import public_tokenizers
+
+        self.pattern, self.known = pattern, pattern == public_tokenizers.PATTERN  # PLAIN stands for no other pattern
+        self.state: tuple[str, bytes] | None = None
         keys = list(ranks)
         self.hash = PerfectHash(keys)
         self.ids = [0] * len(keys)
@@ -133,13 +150,16 @@ class Codec:
         self.pieces = Strings([by_id.get(i, b"") for i in range(max(by_id) + 1)])
         self.digits = Strings([b"%d " % i for i in range(max(by_id) + 1)])
         self.full, self.plain, self.other = regex.compile(self.pattern), re.compile(PLAIN), re.compile(OTHER)
-        if self.pattern != LONG:
+        if not self.known:
             self.plain = self.full
         self.memo: dict[str, bytes] = {}
         self.ready = True
 
-    def __getstate__(self):
-        return {"pattern": self.pattern, "hash": self.hash, "ids": self.ids, "ready": False}
+    def __reduce__(self):
+        if self.state is None:
+            raw = pickle.dumps({"pattern": self.pattern, "known": self.known, "hash": self.hash, "ids": self.ids, "ready": False, "state": None}, protocol=5)
+            self.state = hashlib.sha256(raw).hexdigest(), raw
+        return _restored, self.state
 
     def merged(self, token: bytes) -> list[int]:
         """The ids of a pre-token that is no vocabulary entry."""
@@ -243,12 +263,12 @@ def encode(docs: DataFrame, path: str, pattern: str, id_col: str = "doc_id", tex
     def run(batches):
         import pyarrow as pa
 
-        for b in batches:
+        for b in pieces(batches, 1):
             ids = [made.encode(t or "") for t in b.column(1).to_pylist()]
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array(ids, pa.list_(pa.int32()))], names=["id", "ids"])
 
     rows = docs.select(F.col(id_col).alias("id"), F.col(text_col).alias("t"))
-    return rows.mapInArrow(run, T.StructType([T.StructField("id", rows.schema["id"].dataType), T.StructField("ids", T.ArrayType(T.IntegerType()))])).withColumnRenamed("id", id_col)
+    return rows.mapInArrow(lean(run), T.StructType([T.StructField("id", rows.schema["id"].dataType), T.StructField("ids", T.ArrayType(T.IntegerType()))])).withColumnRenamed("id", id_col)
 
 
 def decode(encoded: DataFrame, path: str, pattern: str, id_col: str = "doc_id", ids_col: str = "ids") -> DataFrame:
@@ -263,7 +283,7 @@ def decode(encoded: DataFrame, path: str, pattern: str, id_col: str = "doc_id",
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array(out, pa.binary())], names=["id", "decoded"])
 
     rows = encoded.select(F.col(id_col).alias("id"), F.col(ids_col).alias("i"))
-    return rows.mapInArrow(run, T.StructType([T.StructField("id", rows.schema["id"].dataType), T.StructField("decoded", T.BinaryType())])).withColumnRenamed("id", id_col)
+    return rows.mapInArrow(lean(run), T.StructType([T.StructField("id", rows.schema["id"].dataType), T.StructField("decoded", T.BinaryType())])).withColumnRenamed("id", id_col)
 
 
 def round_trip(docs: DataFrame, path: str, pattern: str, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -278,7 +298,7 @@ def round_trip(docs: DataFrame, path: str, pattern: str, id_col: str = "doc_id",
         import pyarrow as pa
 
         sha = hashlib.sha256
-        for b in batches:
+        for b in pieces(batches, 1):
             n, ids, back, size = [], [], [], []
             for t in b.column(1).to_pylist():
                 coded = made.encode(t or "")
@@ -291,4 +311,4 @@ def round_trip(docs: DataFrame, path: str, pattern: str, id_col: str = "doc_id",
 
     rows = docs.select(F.col(id_col).alias("id"), F.col(text_col).alias("t"))
     schema = T.StructType([T.StructField("id", rows.schema["id"].dataType), T.StructField("n_tokens", T.LongType()), T.StructField("ids_sha256", T.StringType()), T.StructField("decoded_sha256", T.StringType()), T.StructField("n_bytes", T.LongType())])
-    return rows.mapInArrow(run, schema).withColumnRenamed("id", id_col)
+    return rows.mapInArrow(lean(run), schema).withColumnRenamed("id", id_col)

@@ -1,18 +1,25 @@
-"""What the operators of this subpackage share: table access, written intermediates, folds, bounded samples."""
+"""What the operators of this subpackage share: table access, written intermediates, folds, bounded samples, lean workers."""
 
 from __future__ import annotations
 
 import atexit
+import re
 import shutil
 import tempfile
 import uuid
+from collections.abc import Callable, Iterator
+from contextlib import contextmanager
 
 from pyspark.sql import Column, DataFrame, SparkSession, functions as F, types as T
 
 #: Words of the contracts: runs of anything but ASCII white space.  ``bytes.split()`` splits UTF-8 at exactly these bytes.
 WORD = r"[^\x20\x09-\x0D]+"
 
+#: Bytes of texts that a worker holds as Python objects at once; a longer text is held alone.
+PIECE = 4 << 20
+
 _own_dir: str | None = None
+_scratch: list[list[tuple[SparkSession, str]]] = []
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -20,11 +27,13 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder every executor and the driver see; a fresh local one only where the session names none."""
+    """The folder every executor and the driver see: ``spark.checkpoint.dir``.  Only a local session may do without; it gets a fresh folder."""
     global _own_dir
     named = spark.conf.get("spark.checkpoint.dir", None)
     if named:
         return named.rstrip("/")
+    if not re.fullmatch(r"local(\[[^\]]*\])?", spark.sparkContext.master):
+        raise ValueError("set spark.checkpoint.dir to a folder that the driver and all executors share")
     if _own_dir is None:
         _own_dir = tempfile.mkdtemp(prefix="shared-")
         atexit.register(shutil.rmtree, _own_dir, ignore_errors=True)
@@ -34,21 +43,83 @@ def shared_dir(spark: SparkSession) -> str:
 def written(df: DataFrame, tag: str) -> DataFrame:
     """Cuts lineage: ``df`` as a Parquet table in the shared folder, read back with its own schema.
 
-    A lost executor costs nothing but the tasks that ran on it.  The folder is named by ``tag`` and a random
-    suffix; clearing the shared folder between jobs is the cluster's own routine, as for checkpoint files.
+    A lost executor costs nothing but the tasks that ran on it.  The folder is named by ``tag`` and a random suffix;
+    :func:`dropped` or :func:`scratch` delete it, else the cluster's own routine does, as for checkpoint files.
     """
     spark = df.sparkSession
     path = f"{shared_dir(spark)}/{tag}-{uuid.uuid4().hex}"
     df.write.parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
+    if _scratch:
+        _scratch[-1].append((spark, path))
+    out = spark.read.schema(df.schema).parquet(path)
+    out.written_at = path
+    return out
+
 
+def _delete(spark: SparkSession, path: str) -> None:
+    p = spark._jvm.org.apache.hadoop.fs.Path(path)
+    p.getFileSystem(spark._jsc.hadoopConfiguration()).delete(p, True)
 
-def dropped(df: DataFrame) -> None:
+
+def dropped(*tables: DataFrame) -> None:
     """Deletes what :func:`written` wrote, for tables of which no later result reads."""
-    spark = df.sparkSession
-    for f in {x.rsplit("/", 1)[0] for x in df.inputFiles()}:
-        path = spark._jvm.org.apache.hadoop.fs.Path(f)
-        path.getFileSystem(spark._jsc.hadoopConfiguration()).delete(path, True)
+    for df in tables:
+        _delete(df.sparkSession, df.written_at)
+
+
+@contextmanager
+def scratch() -> Iterator[list]:
+    """Deletes all that is :func:`written` inside, at its end, but the tables put into the list it gives."""
+    made, kept = [], []
+    _scratch.append(made)
+    try:
+        yield kept
+    finally:
+        _scratch.pop()
+        left = {df.written_at for df in kept}
+        for spark, path in made:
+            if path not in left:
+                _delete(spark, path)
+            elif _scratch:
+                _scratch[-1].append((spark, path))
+
+
+def trim() -> None:
+    """Gives memory that this process has freed back to the system."""
+    import ctypes
+
+    import pyarrow as pa
+
+    pa.default_memory_pool().release_unused()
+    give_back = getattr(ctypes.CDLL(None), "malloc_trim", None)
+    if give_back:
+        give_back(0)
+
+
+def lean(run: Callable) -> Callable:
+    """For ``mapInArrow``: a worker is used for many tasks, and at the end of each keeps no memory that the task freed."""
+
+    def wrapped(batches):
+        yield from run(batches)
+        trim()
+
+    return wrapped
+
+
+def pieces(batches, column: int, limit: int = PIECE):
+    """The record batches, cut so that the texts of ``column`` in each have about ``limit`` bytes; a longer text comes alone."""
+    import numpy as np
+    import pyarrow.compute as pc
+
+    for b in batches:
+        size = pc.fill_null(pc.binary_length(b.column(column)), 0).to_numpy(zero_copy_only=False).astype(np.int64)
+        upto = np.cumsum(size)
+        start = 0
+        while start < len(size):
+            before = int(upto[start - 1]) if start else 0
+            end = max(start + 1, int(np.searchsorted(upto, before + limit, side="right")))
+            yield b.slice(start, end - start)
+            start = end
 
 
 #: Ids that a broadcast may hold (8 MB of longs); more ids are joined by shuffle.

@@ -8,8 +8,9 @@ of the landmarks' grams by the landmark matrix, then the weights.
 
 Characters are those of the lower-cased text: every letter is itself, and any run of anything else is one symbol; so a gram
 is a number of three code points of 21 bits, and nothing is hashed or left out.  Every language is learnt.  What is learnt from is bounded:
-``PER_CLASS`` texts of each language, fewer where more than ``SAMPLE`` texts would come together, but one at least;
-``LANDMARKS`` of them, and one of each language at least, are landmarks.
+``PER_CLASS`` texts of each language, fewer where more than ``SAMPLE`` texts or ``SAMPLE_BYTES`` bytes would come together,
+but one at least; texts of up to ``USUAL_BYTES`` come first, and each is taken whole.  ``LANDMARKS`` of them, and one of
+each language at least, are landmarks.
 """
 
 from __future__ import annotations
@@ -19,9 +20,10 @@ from functools import cache
 import numpy as np
 from pyspark.sql import DataFrame, Window, functions as F, types as T
 
-from flowmatch.llm.common import first_by_hash
+from flowmatch.llm.common import lean, pieces
 
 PER_CLASS, SAMPLE, LANDMARKS, RIDGE, SALTS = 320, 20_480, 256, 1e-2, 16
+SAMPLE_BYTES, USUAL_BYTES = 32 << 20, 32 << 10
 HELD, LOW, MARGIN = 5, 0.001, 0.6  # every so many texts of a language are held back; the quantile of their scores, and the part of it, that a row must reach
 POINT, OTHER = 21, 1  # bits of a code point; the symbol of what is no letter, itself the code point of none
 UNKNOWN = "und"
@@ -105,19 +107,23 @@ def fit(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", lang_co
     """``docs``: the rows to learn from and no others; those with a null text or language are passed over.
 
     The sample: of every language, in each of ``SALTS`` hashed parts, the rows that hash lowest.  So no task sorts a
-    language's rows together, however many they are.
+    language's rows together, however many they are.  What comes to the driver is at most ``SAMPLE_BYTES`` and one text a
+    language.  Of rows that repeat an id and a language the least text is taken; a null id is a row like others.
     """
     rows = docs.select(F.col(id_col).alias("id"), F.col(text_col).alias("t"), F.col(lang_col).cast("string").alias("l")).where("t is not null and l is not null")
     n = max(1, rows.select("l").distinct().count())
     each = max(1, min(PER_CLASS, SAMPLE // n))
     salt = F.pmod(F.xxhash64("id", F.lit(3)), F.lit(SALTS))
-    order, again = (Window.partitionBy(*by).orderBy("h", "id") for by in (("l", "s"), ("l",)))
+    order, again = (Window.partitionBy(*by).orderBy("long", "h", "id") for by in (("l", "s"), ("l",)))
+    size = F.octet_length("t")
     picked = (
-        rows.select("id", "l", salt.alias("s"), F.xxhash64("id", F.lit(5)).alias("h"))
+        rows.select("id", "l", salt.alias("s"), F.xxhash64("id", F.lit(5)).alias("h"), size.alias("size"), (size > USUAL_BYTES).alias("long"))
         .withColumn("k", F.row_number().over(order)).where(F.col("k") <= max(1, each // SALTS))
-        .withColumn("k", F.row_number().over(again)).where(F.col("k") <= each).select("id", "l")
+        .withColumn("k", F.row_number().over(again)).withColumn("before", F.sum("size").over(again.rowsBetween(Window.unboundedPreceding, 0)) - F.col("size"))
+        .where((F.col("k") <= each) & (F.col("before") <= SAMPLE_BYTES // n)).select("id", "l")
     )
-    sample = rows.join(F.broadcast(picked.distinct()), ["id", "l"]).groupBy("id", "l").agg(F.min("t").alias("t")).orderBy(F.xxhash64("id"), "t").collect()
+    named = picked.distinct().select(F.col("id").alias("i"), F.col("l").alias("m"))
+    sample = rows.join(F.broadcast(named), F.col("id").eqNullSafe(F.col("i")) & (F.col("l") == F.col("m"))).groupBy("id", "l").agg(F.min("t").alias("t")).orderBy(F.xxhash64("id"), "t").collect()
     return calibrated([r.t for r in sample], [r.l for r in sample])
 
 
@@ -147,11 +153,11 @@ def predict(docs: DataFrame, model: Nystroem, id_col: str = "doc_id", text_col:
     def run(batches):
         import pyarrow as pa
 
-        for b in batches:
+        for b in pieces(batches, 1):
             names, scores = model.predict(b.column(1).to_pylist())
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array(names, pa.string()), pa.array(scores)], names=schema.names)
 
-    return rows.mapInArrow(run, schema).withColumnRenamed("id", id_col)
+    return rows.mapInArrow(lean(run), schema).withColumnRenamed("id", id_col)
 
 
 def identified(docs: DataFrame, model: Nystroem, text_col: str = "text") -> DataFrame:
@@ -161,8 +167,8 @@ def identified(docs: DataFrame, model: Nystroem, text_col: str = "text") -> Data
     def run(batches):
         import pyarrow as pa
 
-        for b in batches:
+        for b in pieces(batches, at):
             names, scores = model.predict(b.column(at).to_pylist())
             yield b.filter(pa.array([n != UNKNOWN and v >= model.least for n, v in zip(names, scores.tolist())], pa.bool_()))
 
-    return docs.mapInArrow(run, docs.schema)
+    return docs.mapInArrow(lean(run), docs.schema)
