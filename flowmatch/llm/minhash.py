@@ -1,13 +1,14 @@
 """Near-duplicate documents by DartMinHash signatures.
 
-A document is a weighted set of shingles of five words.  Darts are thrown at the plane of (weight, rank) of every
+A document is a weighted set of shingles of five words; a shingle weighs as often as the document has it (or one, by
+parameter), and similarity is the weighted Jaccard one: the sum of lesser weights over the sum of greater ones.  Darts are thrown at the plane of (weight, rank) of every
 element: a Poisson process of unit rate, drawn from hashes of element and dart number, the same in every document that
 has the element.  The darts under an element's weight are the document's; each is sent to one of ``K`` coordinates by
 hash, and the earliest of a coordinate is its signature there.  Two documents share a coordinate with the chance that is
 their weighted Jaccard similarity, and a document of n elements costs O(n + K log K), not O(n K).
 
 Bands of ``ROWS`` coordinates are joined.  With 30 bands of 5 a pair of similarity 0.8 meets in one with a chance over
-0.99999.  Links are confirmed exactly, on the shingle sets of the two texts.  Copies of the same words collapse first.
+0.99999.  Links are confirmed exactly, on the weighted sets of the two texts.  Copies of the same words collapse first.
 
 Groups: in a band's bucket every member is tested against the least one, not against all.  What these links connect
 needs no further test; in buckets that still hold different classes, pairs of *different* classes are tested, all of
@@ -22,7 +23,7 @@ import hashlib
 import numpy as np
 from pyspark.sql import DataFrame, functions as F, types as T
 
-from flowmatch.llm.common import by_ids, text_bytes, written
+from flowmatch.llm.common import by_ids, dropped, lean, pieces, text_bytes, written
 from flowmatch.llm.components import components
 
 SHINGLE, SIMILAR, BANDS, ROWS = 5, 0.8, 30, 5
@@ -66,8 +67,17 @@ class Shingler:
         starts, ends = starts[: len(starts) - w + 1], ends[w - 1 :]
         return _mix((sums[ends] - sums[starts]) * self.inverse[starts] + (ends - starts).astype(np.uint64))
 
-    def set(self, raw: bytes) -> np.ndarray:
-        return np.unique(self.hashes(raw.split()))
+    def set(self, raw: bytes, weights: str) -> np.ndarray:
+        """Sorted numbers of which two texts share as many as their common weight: with "count" one for each time a shingle occurs."""
+        h = self.hashes(raw.split())
+        if weights == "set":
+            return np.unique(h)
+        h.sort()
+        nth = np.arange(len(h))
+        again = np.zeros(len(h), dtype=bool)
+        again[1:] = h[1:] == h[:-1]
+        nth -= np.maximum.accumulate(np.where(again, 0, nth))
+        return np.sort(np.where(nth > 0, _mix(h + nth.astype(np.uint64) * _U(0xC2B2AE3D27D4EB4F)), h))
 
 
 def darts(elements: np.ndarray, weights: np.ndarray | None = None, k: int = K) -> np.ndarray:
@@ -88,7 +98,8 @@ def darts(elements: np.ndarray, weights: np.ndarray | None = None, k: int = K) -
         low = np.where(region > 0, 2.0 ** (region - 1), 0.0)
         width = np.where(region > 0, low, 1.0)
         under = weights[at]
-        source = _mix(elements[at] + region.astype(np.uint64) * _U(0xD1B54A32D192ED03))
+        # The first region's darts are those of an element of weight one.
+        source = np.where(region > 0, _mix(elements[at] + region.astype(np.uint64) * _U(0xD1B54A32D192ED03)), elements[at])
     reach = k * (np.log(k) + 3) / total
     while True:
         rank, name = [], []
@@ -132,10 +143,10 @@ def bands(signature: np.ndarray, n: int = BANDS, rows: int = ROWS) -> np.ndarray
     return out.view(np.int64)
 
 
-def signed(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", weights: str = "set") -> DataFrame:
+def signed(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", weights: str = "count") -> DataFrame:
     """(id, words: digest of the word sequence, n: distinct shingles, bands).  A text without words has no bands.
 
-    ``weights``: "set", every shingle weighs one, or "count", as often as it occurs.
+    ``weights``: "count", a shingle weighs as often as it occurs, or "set", every one weighs one.
     """
     if weights not in ("set", "count"):
         raise ValueError("weights are 'set' or 'count'")
@@ -146,21 +157,22 @@ def signed(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", weig
         import pyarrow as pa
 
         shingler = Shingler()
-        for b in batches:
+        for b in pieces(batches, 1):
             digest, size, keys = [], [], []
             for raw in text_bytes(b.column(1)):
                 words = raw.split()
                 elements, count = np.unique(shingler.hashes(words), return_counts=True)
                 digest.append(hashlib.blake2b(b" ".join(words), digest_size=16).digest() if words else None)
                 size.append(len(elements))
-                keys.append(bands(darts(elements, count.astype(float) if weights == "count" else None)))
+                heavy = weights == "count" and len(count) and count.max() > 1
+                keys.append(bands(darts(elements, count.astype(float) if heavy else None)))
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array(digest, pa.binary()), pa.array(size, pa.int32()), pa.array(keys, pa.list_(pa.int64()))], names=schema.names)
 
-    return rows.mapInArrow(run, schema)
+    return rows.mapInArrow(lean(run), schema)
 
 
-def confirmed(pairs: DataFrame, texts: DataFrame, similar: float = SIMILAR) -> DataFrame:
-    """Of the pairs (a, b) those whose shingle sets have a Jaccard similarity of at least ``similar``; texts: (id, t)."""
+def confirmed(pairs: DataFrame, texts: DataFrame, similar: float = SIMILAR, weights: str = "count") -> DataFrame:
+    """Of the pairs (a, b) those whose weighted shingles have a Jaccard similarity of at least ``similar``; texts: (id, t)."""
     full = pairs.join(texts.select(F.col("id").alias("b"), F.col("t").alias("tb")), "b").join(texts.select(F.col("id").alias("a"), F.col("t").alias("ta")), "a").select("a", "b", "ta", "tb")
     schema = T.StructType([pairs.schema["a"], pairs.schema["b"]])
 
@@ -168,21 +180,21 @@ def confirmed(pairs: DataFrame, texts: DataFrame, similar: float = SIMILAR) -> D
         import pyarrow as pa
 
         shingler, last, of = Shingler(), None, None
-        for batch in batches:
+        for batch in pieces(pieces(batches, 2), 3):
             keep = []
             for a, ta, tb in zip(batch.column(0).to_pylist(), text_bytes(batch.column(2)), text_bytes(batch.column(3))):
                 if last != a or of is None:
-                    last, of = a, shingler.set(ta)
-                other = shingler.set(tb)
+                    last, of = a, shingler.set(ta, weights)
+                other = shingler.set(tb, weights)
                 low, high = sorted((len(of), len(other)))
                 same = len(np.intersect1d(of, other, assume_unique=True)) if low >= similar * high else 0
                 keep.append(bool(same) and same >= similar * (low + high - same))
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1)], names=schema.names).filter(pa.array(keep, pa.bool_()))
 
-    return full.mapInArrow(run, schema)
+    return full.mapInArrow(lean(run), schema)
 
 
-def tile_links(table, similar: float = SIMILAR):
+def tile_links(table, similar: float = SIMILAR, weights: str = "count"):
     """Links across classes within one tile of a bucket, or between two: the shingle sets as bits over the shingles that two texts share.
 
     A pair is left to the first band that both share.  Classes that a link joins count as one from there on, so at most
@@ -195,7 +207,7 @@ def tile_links(table, similar: float = SIMILAR):
     bands_ = table.column("bands").combine_chunks().flatten().to_numpy().reshape(len(rep), -1)
     at = int(np.flatnonzero(bands_[0] == table.column("key")[0].as_py())[0])
     shingler, label = Shingler(), label.copy()
-    sets = [shingler.set(raw) for raw in text_bytes(table.column("t").combine_chunks())]
+    sets = [shingler.set(raw, weights) for raw in text_bytes(table.column("t").combine_chunks())]
     size = np.array([len(x) for x in sets])
     name, where, often = np.unique(np.concatenate(sets), return_inverse=True, return_counts=True)
     number = np.cumsum(often > 1) - 1
@@ -232,7 +244,7 @@ def tile_links(table, similar: float = SIMILAR):
     return pa.table([pa.array(a, kind), pa.array(b, kind)], names=["a", "b"])
 
 
-def tiled(large: DataFrame, reps: DataFrame, texts: DataFrame, similar: float) -> DataFrame:
+def tiled(large: DataFrame, reps: DataFrame, texts: DataFrame, similar: float, weights: str) -> DataFrame:
     """Links across classes in large buckets; large: (key, rep, k, tiles).  A task holds two tiles, however large the bucket is."""
     dealt = large.withColumn("tile", F.pmod(F.xxhash64("rep"), F.col("tiles")).cast("int")).withColumn("other", F.explode(F.sequence(F.lit(0), F.col("tiles") - 1)))
     side = F.when(F.col("tile") == F.col("other"), 2).when(F.col("tile") < F.col("other"), 0).otherwise(1)
@@ -241,17 +253,18 @@ def tiled(large: DataFrame, reps: DataFrame, texts: DataFrame, similar: float) -
     schema = T.StructType([T.StructField(c, reps.schema["rep"].dataType) for c in ("a", "b")])
 
     def run(table):
-        return tile_links(table, similar)
+        return tile_links(table, similar, weights)
 
     return rows.select("key", "lo", "hi", "side", "rep", "k", "bands", "t").groupBy("key", "lo", "hi").applyInArrow(run, schema)
 
 
-def classes(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", similar: float = SIMILAR) -> DataFrame:
+def classes(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", similar: float = SIMILAR, weights: str = "count") -> DataFrame:
     """Per row of ``docs``: the id, n_shingles, component_id (least id of its class) and kept (whether that is its own id).
 
     Null and empty texts, and rows with a null id, are classes of their own.  Rows that repeat an id get the same answer.
+    An empty table gives no rows; columns besides the two named are not read.
     """
-    sig = written(signed(docs, id_col, text_col), "signatures")
+    sig = written(signed(docs, id_col, text_col, weights), "signatures")
     some = sig.where("words is not null and id is not null")
     # Copies of the same words: the least id stands for all.
     reps = written(some.groupBy("words").agg(F.min("id").alias("rep"), F.first("bands").alias("bands")), "representatives")
@@ -262,7 +275,7 @@ def classes(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", sim
     wanted = written(members.select(F.col("rep").alias("wanted")).distinct(), "candidate-ids")
     texts = written(by_ids(texts, wanted, F.col("id") == F.col("wanted"), "left_semi").dropDuplicates(["id"]), "candidates")
     first = written(members.where("pivot <> rep").select(F.col("pivot").alias("a"), F.col("rep").alias("b")).distinct(), "pairs")
-    links = written(confirmed(first, texts, similar), "confirmed")
+    links = written(confirmed(first, texts, similar, weights), "confirmed")
     label = components(links)
     # Buckets with members of more than one class.  Small ones: the pairs across classes.  Large ones: compared in tiles.
     marked = written(members.select("key", "rep").join(label.withColumnRenamed("id", "rep"), "rep", "left").select("key", "rep", F.coalesce("component", "rep").alias("k")), "buckets")
@@ -270,9 +283,10 @@ def classes(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", sim
     left = marked.join(mixed.where(F.col("c") <= SMALL).select("key"), "key", "left_semi")
     right = left.select("key", F.col("rep").alias("b"), F.col("k").alias("kb"))
     across = left.select("key", F.col("rep").alias("a"), F.col("k").alias("ka")).join(right, "key").where("a < b and ka <> kb").select("a", "b").distinct()
-    rest = confirmed(across.join(first, ["a", "b"], "left_anti"), texts, similar)
+    rest = confirmed(across.join(first, ["a", "b"], "left_anti"), texts, similar, weights)
     large = marked.join(mixed.where(F.col("c") > SMALL).withColumn("tiles", F.ceil(F.col("c") / TILE).cast("int")).drop("c"), "key")
-    rest = written(rest.unionByName(tiled(large, reps, texts, similar)), "confirmed")
+    rest = written(rest.unionByName(tiled(large, reps, texts, similar, weights)), "confirmed")
+    dropped(members, wanted, texts, first, marked)
     if rest.isEmpty():
         final = label
     else:
@@ -282,9 +296,9 @@ def classes(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", sim
     return out.select(F.col("id").alias(id_col), F.col("n").cast("long").alias("n_shingles"), "component_id", F.coalesce(F.col("component_id") == F.col("id"), F.lit(True)).alias("kept"))
 
 
-def deduplicated(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """One row of each class, all its columns; of rows that repeat an id, one."""
-    found = written(classes(docs, id_col, text_col).select(F.col(id_col).alias("near_dup_id"), "kept"), "classes")
+def deduplicated(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", similar: float = SIMILAR, weights: str = "count") -> DataFrame:
+    """One row of each class, all its columns; of rows that repeat an id, one.  Rows with a null id all stay."""
+    found = written(classes(docs, id_col, text_col, similar, weights).select(F.col(id_col).alias("near_dup_id"), "kept"), "classes")
     gone = written(found.where("not kept").select("near_dup_id").distinct(), "duplicate-ids")
     rows = by_ids(docs, gone, F.col(id_col) == F.col("near_dup_id"), "left_anti")
     again = found.where("near_dup_id is not null").groupBy("near_dup_id").count().where("count > 1")
