@@ -9,9 +9,12 @@ from its id and gets the key 1 - u^(1/weight), weight being its quality: in the
 sample without replacement with chances in proportion to the weights (the exponential-key scheme).  The prefix ends
 where its words come nearest to what is left of the target.
 
-No source is sorted in one task.  Keys are dealt into ``parts`` equal steps; sums by (source, step) give prefix sums
-between steps, and only the step in which a source's budget ends is ordered row by row.  What comes out is one cut key
-per source, so the verdict on a document is a comparison in a narrow pass, and the text of no document is shuffled.
+No source is sorted in one task.  Keys are cut into ``STEPS`` equal steps, sums by (source, step) give prefix sums, and the
+step in which a source's budget ends is cut again, as often as it takes until no such step has over ``EDGE_ROWS`` keys;
+only these are ordered.  As ``STEPS`` is a power of two, a step is so many leading bits of a key and rounding moves
+nothing.  What comes out is one cut key per source, so the verdict on a document is a comparison in a narrow pass, and
+the text of no document is shuffled.  The table of sources is broadcast up to ``BROADCAST_SOURCES`` rows; a larger one
+meets its documents by source and a salt, so that one source's documents spread.
 """
 
 from __future__ import annotations
@@ -20,7 +23,8 @@ from pyspark.sql import Column, DataFrame, Window, functions as F
 
 from flowmatch.llm.common import WORD, unit, written
 
-WEIGHTS, MOST, ROWS_PER_STEP, LEAST_STEPS, SEED = (5, 2, 1), 3, 20_000, 64, "mix"
+WEIGHTS, MOST, SEED = (5, 2, 1), 3, "mix"
+STEPS, MOST_CUTS, EDGE_ROWS, BROADCAST_SOURCES, SALTS = 256, 6, 20_000, 100_000, 32
 #: Characters that speak against a text when they are many.
 MARKS = "#*$%&|<>!^~=+_\\/{}[]@0123456789"
 
@@ -66,28 +70,47 @@ def drawn(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", sourc
     return written(docs.select(F.col(id_col).alias("doc_id"), F.col(source_col).alias("source"), words(F.col(text_col)).alias("size"), key(F.col(id_col), w).alias("key")), "mix-keys")
 
 
+def by_source(rows: DataFrame, small: DataFrame, also: Column | None = None) -> DataFrame:
+    """``rows`` beside the row of ``small`` of their source (its column ``s``); sources without one are left out."""
+    same = F.col("source").eqNullSafe(F.col("s"))
+    if also is not None:
+        same = same & also
+    if small.count() <= BROADCAST_SOURCES:
+        return rows.join(F.broadcast(small), same)
+    dealt = rows.withColumn("salt", F.pmod(F.xxhash64("doc_id"), F.lit(SALTS)))
+    every = small.withColumn("z", F.explode(F.sequence(F.lit(0).cast("bigint"), F.lit(SALTS - 1).cast("bigint"))))
+    return dealt.join(every, same & (F.col("salt") == F.col("z"))).drop("salt", "z")
+
+
+def step(cut: int) -> Column:
+    """The step of a key after so many cuts: its leading bits."""
+    return F.floor(F.col("key") * float(STEPS**cut)).cast("bigint")
+
+
 def cuts(rows: DataFrame) -> DataFrame:
-    """Per source: source, source_size, target, epochs, and the cut (key and id of the last row of the part epoch, or null)."""
-    steps = max(LEAST_STEPS, rows.count() // ROWS_PER_STEP)
-    rows = rows.withColumn("step", F.floor(F.col("key") * steps))
+    """Per source: source, source_size, target, epochs, and the cut (key and id of the last document of the part epoch, or null)."""
     full = F.least(F.lit(float(MOST)), F.floor(F.col("target") / F.greatest(F.col("source_size"), F.lit(1))))
     plan = targets(rows).withColumn("epochs", full.cast("bigint")).withColumn("budget", F.col("target") - F.col("epochs") * F.col("source_size"))
     plan = written(plan, "mix-plan")
-    sums = rows.groupBy("source", "step").agg(F.sum("size").alias("words"))
-    running = sums.withColumn("upto", F.sum("words").over(Window.partitionBy("source").orderBy("step")))
-    budget = plan.select(F.col("source").alias("s"), "budget").where("budget > 0")
-    same = F.col("source").eqNullSafe(F.col("s"))
-    # Steps that end before the budget are in; the next one is where it ends, if it ends in the source at all.
-    last = running.join(budget, same).where("upto >= budget").groupBy("source").agg(F.min("step").alias("at"), F.min_by(F.col("upto") - F.col("words"), "step").alias("before"), F.first("budget").alias("budget"))
-    edge = last.select(F.col("source").alias("s"), "at", "before", "budget")
-    inside = rows.join(edge, same & (F.col("step") == F.col("at")))
-    order = Window.partitionBy("source").orderBy("key", "doc_id", "size")
+    # Of each source that has a budget: the step in which it ends, if it ends in the source at all, and what lies before.
+    edge = written(plan.where("budget > 0").select(F.col("source").alias("s"), "budget", F.lit(0).cast("bigint").alias("at"), F.lit(0).cast("bigint").alias("before")), "mix-edge")
+    for cut in range(1, MOST_CUTS + 1):
+        inside = by_source(rows, edge, step(cut - 1) == F.col("at"))
+        sums = inside.groupBy("source", step(cut).alias("step")).agg(F.sum("size").alias("words"), F.count("*").alias("n"), F.first("budget").alias("budget"), F.first("before").alias("before"))
+        running = sums.withColumn("upto", F.col("before") + F.sum("words").over(Window.partitionBy("source").orderBy("step")))  # up to STEPS rows a source
+        ends = running.where("upto >= budget").groupBy("source").agg(F.min("step").alias("at"), F.min_by(F.col("upto") - F.col("words"), "step").alias("before"), F.first("budget").alias("budget"), F.min_by("n", "step").alias("n"))
+        edge = written(ends.select(F.col("source").alias("s"), "budget", "at", "before", "n"), "mix-edge")
+        if (edge.agg(F.max("n")).first()[0] or 0) <= EDGE_ROWS:
+            break
+    # Documents that repeat an id have one key and go in or stay out together.
+    inside = by_source(rows, edge, step(cut) == F.col("at")).groupBy("source", "key", "doc_id").agg(F.sum("size").alias("size"), F.first("before").alias("before"), F.first("budget").alias("budget"))
+    order = Window.partitionBy("source").orderBy("key", "doc_id")
     met = F.col("before") + F.sum("size").over(order) - F.col("size") / 2 <= F.col("budget")
     chosen = inside.withColumn("met", met).where("met").groupBy("source").agg(F.max(F.struct("key", "doc_id")).alias("cut"))
-    # If no row of the edge step is in, the cut lies where that step begins.
-    cut = last.select(F.col("source").alias("s"), "at").join(chosen.select(F.col("source").alias("t"), "cut"), F.col("s").eqNullSafe(F.col("t")), "left")
-    cut = cut.select("s", F.col("cut.key").alias("cut_key"), F.col("cut.doc_id").alias("cut_id"), (F.col("at") / F.lit(float(steps))).alias("edge_key"))
-    return plan.join(cut, same, "left").drop("s")
+    # If no document of the last step is in, the cut lies where that step begins.
+    last = edge.select("s", "at").join(chosen.select(F.col("source").alias("t"), "cut"), F.col("s").eqNullSafe(F.col("t")), "left")
+    last = last.select("s", F.col("cut.key").alias("cut_key"), F.col("cut.doc_id").alias("cut_id"), (F.col("at") / F.lit(float(STEPS**cut))).alias("edge_key"))
+    return written(plan.join(last, F.col("source").eqNullSafe(F.col("s")), "left").drop("s"), "mix-cuts")
 
 
 def copies() -> Column:
@@ -103,17 +126,16 @@ def mix(rows: DataFrame) -> DataFrame:
     Rows without words are taken 0 times.  Rows that repeat an id are taken or left together.  A source of no words has
     target 0.  Empty tables give empty results.
     """
-    plan = cuts(rows).withColumnRenamed("source", "s")
-    joined = rows.join(plan, F.col("source").eqNullSafe(F.col("s")))
+    joined = by_source(rows, cuts(rows).withColumnRenamed("source", "s"))
     return joined.select("doc_id", "source", "size", "source_size", "target", (F.col("size") * copies()).alias("taken"))
 
 
 def repeated(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", source_col: str = "source") -> DataFrame:
-    """The mixed corpus itself: each row of ``docs``, all its columns, as often as it is taken."""
+    """The mixed corpus itself: each row of ``docs``, all its columns, as often as it is taken.  Rows without words are left out."""
     plan = cuts(drawn(docs, id_col, text_col, source_col)).withColumnRenamed("source", "s")
     own = "mix_row"
     rows = docs.select(F.struct("*").alias(own), F.col(id_col).alias("doc_id"), F.col(source_col).alias("source"), words(F.col(text_col)).alias("size"), key(F.col(id_col), quality(F.col(text_col))).alias("key"))
-    taken = rows.join(plan, F.col("source").eqNullSafe(F.col("s"))).select(own, copies().alias("n")).where("n > 0")
+    taken = by_source(rows, plan).select(own, copies().alias("n")).where("n > 0")
     return taken.select(own, F.explode(F.sequence(F.lit(1), F.col("n").cast("int")))).select(f"{own}.*")
 
 
@@ -134,8 +156,9 @@ water as (select arg_min(level, row(cap / weight, n)) as level from levels where
 plan as (select source, source_size, least(cap, coalesce(water.level * weight, cap)) as target from levels, water),
 epochs as (select *, least(3, floor(target / greatest(source_size, 1))) as epochs, target - least(3, floor(target / greatest(source_size, 1))) * source_size as budget from plan),
 keyed as (select r.*, p.source_size, p.target, p.epochs, p.budget,
-                 sum(r.size) over (partition by r.source order by 1.0::double - pow(u, 1.0::double / w), doc_id, r.size rows unbounded preceding) as upto
+                 sum(r.size) over (partition by r.source, r.doc_id) as own,
+                 sum(r.size) over (partition by r.source order by 1.0::double - pow(u, 1.0::double / w), doc_id range unbounded preceding) as upto
           from rows r join epochs p on r.source is not distinct from p.source)
 select doc_id, source, size, source_size, target,
-       (size * (epochs + case when budget > 0 and upto - size / 2.0 <= budget then 1 else 0 end))::bigint as taken
+       (size * (epochs + case when budget > 0 and upto - own / 2.0 <= budget then 1 else 0 end))::bigint as taken
 from keyed"""
