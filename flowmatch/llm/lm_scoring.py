@@ -1,24 +1,22 @@
 """Language-model scoring with a log-frequency Bloom filter.
 
 Tokens are the words of the text with A-Z lower-cased, then one end.  They are known by 64-bit hashes, made for whole
-blocks of text at once.
-
-*Counts.*  Every training token is counted, by hash, in one narrow pass that sums blocks before the shuffle; a second pass
-counts every bigram of training tokens.  Nothing is left out by a least count.
-
-*The filter.*  Bigrams enter the filter with their counts quantised to the lower of the edges 1, 1.41, 2, 2.83, ...: a
-bigram of level n is entered as (bigram, 0) to (bigram, n), and its count is read back by probing levels until one is
-missing.  All entries of a bigram lie in the block that its hash names, and each block is built in a task of its own.
-A filter of up to ``BROADCAST_BLOCKS`` blocks travels with the functions.  A larger one stays a table of blocks: each
-chunk of texts asks for its distinct bigrams, once each, and these are routed to their blocks and answered there.  There
-are then as many blocks as chunks at least, so neither the entries nor the questions of a block grow with the corpus.
-
-*Probabilities.*  P1 is the smoothed unigram share of the base score, from exact counts.  After a word h the next one has
-its filtered count after h, and what the filter lacks of h's count is dealt out by P1; after unseen words P1 stands.
-
-*Exact counts for every token* of every text are too many to send to all workers, so texts and the counts they need
-meet by chunk: texts are dealt into chunks of ``CHUNK`` bytes by hash of the row, each chunk asks for the counts of its
-distinct words, once each, and the answers return to the chunk.  Memory is bounded by the chunk.
+blocks of text at once; a bigram is known by a hash of its two.
+
+*One round trip.*  Texts are dealt into chunks of about ``CHUNK`` bytes.  A chunk asks, once each, for its distinct words
+and bigrams, and says how often its own training texts have them.  Keys are routed by hash to blocks: as many as the
+tokens of the corpus need, so a block's size does not grow with it, and hot keys count once a chunk.  A block adds up
+what the chunks say, which gives exact counts of every word, builds its part of the filter, probes it for what was asked,
+and answers each chunk in the order of its keys.  Keys travel sorted and packed, answers as packed numbers without keys.
+
+*The filter.*  Every bigram that occurs ``LEAST`` times or more in training enters it, at any size of corpus, with its count
+quantised to the lower of the edges 1, 1.41, 2, 2.83, ...: a bigram of level n is entered as (bigram, 0) to (bigram, n), and
+its level is read back by probing until an entry is missing.  The filter grows with the corpus, so it has no proven bound
+and is not broadcast: each block's bits stay in the task that probes them.
+
+*Probabilities.*  P1 is the smoothed unigram share of the base score, from exact counts.  After a word seen k times the next
+one has ``SHARE`` of its filtered count over k and the rest of P1; after unseen words, and for the first token, P1 stands.
+Counts are quantised downwards and rare bigrams are left out, so the sum over all next words stays at or under 1.
 """
 
 from __future__ import annotations
@@ -26,363 +24,209 @@ from __future__ import annotations
 import math
 
 import numpy as np
-from pyspark.sql import DataFrame, functions as F, types as T
+from pyspark.sql import Column, DataFrame, functions as F, types as T
 
-from flowmatch.llm.common import written
+from flowmatch.llm.common import text_bytes, trim, written
+from flowmatch.llm.tokens import Tokens, batched, mix
 
-BITS, PROBES, BLOCK_BITS, BROADCAST_BLOCKS = 10, 6, 1 << 23, 64
-CHUNK, BATCH, FLUSH, SLICE, PRIOR = 16 << 20, 1 << 20, 4_000_000, 1 << 18, 4.0
+LEAST, SHARE = 2, 0.3
+BITS, PROBES, SLICE = 14, 8, 1 << 18
+CHUNK, BLOCK_BYTES = 8 << 20, 12 << 20  # bytes of text in a chunk; bytes of text whose tokens make a block
 _U = np.uint64
 
 
-def _mix(x: np.ndarray) -> np.ndarray:
-    x = (x ^ (x >> _U(30))) * _U(0xBF58476D1CE4E5B9)
-    x = (x ^ (x >> _U(27))) * _U(0x94D049BB133111EB)
-    return x ^ (x >> _U(31))
-
-
-END = int(_mix(np.array([0x5EED], dtype=np.uint64)).view(np.int64)[0])
-
-
-class Tokens:
-    """Hashes of the tokens of texts, a block of texts at a time."""
-
-    def __init__(self):
-        self.byte = _mix(np.arange(1, 257, dtype=np.uint64) * _U(0x9E3779B97F4A7C15))
-        self.space = np.zeros(256, dtype=bool)
-        self.space[[32, *range(9, 14)]] = True
-        self.step = 0x5851F42D4C957F2D | 1
-        self.power = self.inverse = np.ones(1, dtype=np.uint64)
-
-    def _powers(self, n: int) -> None:
-        if len(self.power) < n:
-            n = 1 << n.bit_length()
-            self.power = np.cumprod(np.r_[_U(1), np.full(n - 1, self.step, dtype=np.uint64)], dtype=np.uint64)
-            self.inverse = np.cumprod(np.r_[_U(1), np.full(n - 1, pow(self.step, -1, 1 << 64), dtype=np.uint64)], dtype=np.uint64)
-
-    def of(self, texts: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
-        """The texts' token hashes in order, ends included, and each text's number of tokens."""
-        raw = np.frombuffer(b"\n".join(texts).lower() + b"\n", dtype=np.uint8)
-        self._powers(len(raw))
-        blank = self.space[raw]
-        edge = np.flatnonzero(np.diff(blank, prepend=True))
-        starts, ends = edge[::2], edge[1::2]
-        sums = np.zeros(len(raw) + 1, dtype=np.uint64)
-        np.cumsum(self.byte[raw] * self.power[: len(raw)], out=sums[1:])
-        h = _mix((sums[ends] - sums[starts]) * self.inverse[starts] + (ends - starts).astype(np.uint64)).view(np.int64)
-        upto = np.cumsum([len(t) + 1 for t in texts])
-        words = np.diff(np.searchsorted(starts, upto), prepend=0)
-        size = words + 1
-        out = np.full(int(size.sum()), END, dtype=np.int64)
-        last = np.cumsum(size) - 1
-        keep = np.ones(len(out), dtype=bool)
-        keep[last] = False
-        out[keep] = h
-        return out, size
-
-
-def batched(texts: list[bytes]):
-    """Runs of texts of about ``BATCH`` bytes; a longer text is a run of its own."""
-    run, size = [], 0
-    for t in texts:
-        if run and size + len(t) > BATCH:
-            yield run
-            run, size = [], 0
-        run.append(t)
-        size += len(t)
-    if run:
-        yield run
-
-
-def _binary(column) -> list[bytes]:
-    import pyarrow as pa
-
-    return [x or b"" for x in column.cast(pa.large_binary()).to_pylist()]
-
-
-def _summed(docs: DataFrame, keys, name: str) -> DataFrame:
-    """Counts of what ``keys(hashes, sizes)`` yields for the texts: (name, n), one row each."""
-    schema = T.StructType([T.StructField(name, T.LongType()), T.StructField("n", T.LongType())])
-
-    def run(batches):
-        import pyarrow as pa
-
-        tokens, held, size = Tokens(), [], 0
-
-        def flush():
-            key, n = np.unique(np.concatenate(held), return_counts=True)
-            return pa.RecordBatch.from_arrays([pa.array(key), pa.array(n)], names=schema.names)
-
-        for b in batches:
-            for texts in batched(_binary(b.column(0))):
-                got = keys(*tokens.of(texts))
-                held.append(got)
-                size += len(got)
-                if size > FLUSH:
-                    yield flush()
-                    held, size = [], 0
-        if held:
-            yield flush()
+def pairs_of(first: np.ndarray, second: np.ndarray) -> np.ndarray:
+    return mix(mix(first * _U(0x9FB21C651E98DF25) + second) ^ _U(0xA0761D6478BD642F))
 
-    return docs.select("t").mapInArrow(run, schema).groupBy(name).agg(F.sum("n").alias("n"))
 
-
-def pair(first: np.ndarray, second: np.ndarray) -> np.ndarray:
-    return _mix(first.view(np.uint64) * _U(0x9FB21C651E98DF25) + second.view(np.uint64)).view(np.int64)
-
-
-def _neighbours(hashes: np.ndarray, sizes: np.ndarray) -> np.ndarray:
-    """Whether a token has another of the same text before it."""
-    inner = np.ones(len(hashes), dtype=bool)
+def followers(sizes: np.ndarray) -> np.ndarray:
+    """Positions of the tokens that have another of the same text before them."""
+    inner = np.ones(int(sizes.sum()), dtype=bool)
     inner[np.cumsum(sizes) - sizes] = False
-    return inner
+    return np.flatnonzero(inner)
 
 
-def block_of(keys: np.ndarray, n: int) -> np.ndarray:
-    """The block, of ``n``, that holds a key's entries."""
-    return (_mix(keys.view(np.uint64) ^ _U(0xA0761D6478BD642F)) % _U(n)).astype(np.int64)
+def level_of(counts: np.ndarray) -> np.ndarray:
+    """The highest level whose edge a count reaches; -1 under ``LEAST``."""
+    return np.where(counts >= LEAST, np.floor(2 * np.log2(np.maximum(counts, 1)) + 1e-9), -1).astype(np.int64)
 
 
-class Bloom:
-    """A blocked Bloom filter of (key, level) entries."""
+def edge(level):
+    """The least whole count of a level; 0 of what is absent."""
+    return np.where(np.asarray(level) < 0, 0, np.ceil(2.0 ** (np.asarray(level) / 2) - 1e-6))
 
-    def __init__(self, blocks: list[bytes]):
-        self.n = len(blocks)
-        self.bits = np.frombuffer(b"".join(blocks), dtype=np.uint8)
 
-    @staticmethod
-    def places(keys: np.ndarray, levels: np.ndarray) -> np.ndarray:
-        """The bits of each entry in its block."""
-        g = _mix(_mix(keys.view(np.uint64) + levels.astype(np.uint64) * _U(0xD1B54A32D192ED03)))
+class Bloom:
+    """A Bloom filter of (key, level) entries, sized for them."""
+
+    def __init__(self, keys: np.ndarray, levels: np.ndarray):
+        self.size = max(64, int((levels + 1).sum()) * BITS)
+        bits = np.zeros(self.size, dtype=bool)
+        for k in range(int(levels.max(initial=-1)) + 1):
+            own = keys[levels >= k]
+            for start in range(0, len(own), SLICE):
+                bits[self._places(own[start : start + SLICE], k).ravel()] = True
+        self.bits = np.packbits(bits, bitorder="little")
+
+    def _places(self, keys: np.ndarray, level: int) -> np.ndarray:
+        g = mix(mix(keys + _U(level * 0xD1B54A32D192ED03 & (1 << 64) - 1)))
         step = (g >> _U(32)) | _U(1)
-        bits = ((g & _U(0xFFFFFFFF))[:, None] + step[:, None] * np.arange(PROBES, dtype=np.uint64)) % _U(BLOCK_BITS)
-        return bits.astype(np.int64)
-
-    def _level(self, keys: np.ndarray) -> np.ndarray:
-        out = np.full(len(keys), -1)
-        at = block_of(keys, self.n) * (BLOCK_BITS // 8)
-        live, k = np.arange(len(keys)), 0
-        while len(live):
-            bits = self.places(keys[live], np.full(len(live), k))
-            for p in range(PROBES):
-                b = bits[:, p]
-                found = (self.bits[at[live] + (b >> 3)] >> (b & 7) & 1).astype(bool)
-                live, bits = live[found], bits[found]
-            out[live] = k
-            k += 1
-        return out
+        return (((g & _U(0xFFFFFFFF))[:, None] + step[:, None] * np.arange(PROBES, dtype=np.uint64)) % _U(self.size)).astype(np.int64)
 
     def level(self, keys: np.ndarray) -> np.ndarray:
-        """The highest level up to which all are present, -1 if not even the first is."""
-        if not self.n or not len(keys):
-            return np.full(len(keys), -1)
-        return np.concatenate([self._level(keys[k : k + SLICE]) for k in range(0, len(keys), SLICE)])
-
-
-def edge(level):
-    """The least whole count of a level."""
-    return np.ceil(2.0 ** (np.asarray(level) / 2) - 1e-6)
-
+        """Of each key the highest level up to which all are present, -1 if not even the first is."""
+        out = np.full(len(keys), -1, dtype=np.int64)
+        for start in range(0, len(keys), SLICE):
+            live, k = np.arange(start, min(len(keys), start + SLICE)), 0
+            while len(live):
+                places = self._places(keys[live], k)
+                for p in range(PROBES):
+                    at = places[:, p]
+                    found = (self.bits[at >> 3] >> (at & 7) & 1).astype(bool)
+                    live, places = live[found], places[found]
+                out[live] = k
+                k += 1
+        return out
 
-def build_filter(entries: DataFrame, n: int) -> DataFrame:
-    """From (key, level) rows, level the highest: (block, bits), the blocks that have entries, of ``n``."""
-    schema = T.StructType([T.StructField("block", T.LongType()), T.StructField("key", T.LongType()), T.StructField("level", T.IntegerType())])
-    done = T.StructType([T.StructField("block", T.LongType()), T.StructField("bits", T.BinaryType())])
 
-    def route(batches):
-        import pyarrow as pa
+def _block(keys: np.ndarray, n: int) -> np.ndarray:
+    """The block, of ``n``, of well-mixed keys: by their upper half, so that sorted keys have sorted blocks."""
+    return ((keys >> _U(32)) * _U(n) >> _U(32)).astype(np.int64)
 
-        for b in batches:
-            yield pa.RecordBatch.from_arrays([pa.array(block_of(b.column(0).to_numpy(), n)), *b.columns], names=schema.names)
 
-    def fill(table):
-        import pyarrow as pa
+class Chunk:
+    """Tokens of a chunk's texts, its distinct words and bigrams in order, and where each token's are among them."""
 
-        keys, top = table.column("key").to_numpy(), table.column("level").to_numpy()
-        out = np.zeros(BLOCK_BITS, dtype=bool)
-        live, k = np.arange(len(keys)), 0
-        while len(live):
-            for start in range(0, len(live), SLICE):
-                part = live[start : start + SLICE]
-                out[Bloom.places(keys[part], np.full(len(part), k)).ravel()] = True
-            k += 1
-            live = live[top[live] >= k]
-        return pa.table([table.column("block")[:1], pa.array([np.packbits(out, bitorder="little").tobytes()], pa.binary())], names=done.names)
+    def __init__(self, texts: list[bytes]):
+        tokens, parts = Tokens(), [[], []]
+        for run in batched(texts):
+            for to, x in zip(parts, tokens.of(run)):
+                to.append(x)
+        h, self.sizes = np.concatenate(parts[0]), np.concatenate(parts[1])
+        self.after = followers(self.sizes)
+        self.pairs, self.pair_at = np.unique(pairs_of(h[self.after - 1], h[self.after]), return_inverse=True)
+        self.words, self.word_at = np.unique(h, return_inverse=True)
 
-    return entries.select("key", "level").mapInArrow(route, schema).groupBy("block").applyInArrow(fill, done)
 
+def _texts(table) -> list[bytes]:
+    return text_bytes(table.column("t").combine_chunks())
 
-class Model:
-    """What scoring needs besides exact counts: sums, and the filter, either its blocks or the table of them."""
 
-    def __init__(self, total: int, distinct: int, n_blocks: int, blocks: list[bytes] | None):
-        self.total, self.distinct, self.n_blocks, self.blocks = total, distinct, n_blocks, blocks
-        self.bloom: Bloom | None = None
+_ASK = T.StructType([T.StructField("chunk", T.LongType()), T.StructField("block", T.LongType()), *[T.StructField(c, T.BinaryType()) for c in ("words", "seen", "pairs", "pair_seen")]])
+_ANSWER = T.StructType([T.StructField("chunk", T.LongType()), T.StructField("block", T.LongType()), T.StructField("counts", T.BinaryType()), T.StructField("levels", T.BinaryType()), T.StructField("total", T.LongType()), T.StructField("distinct", T.LongType())])
 
-    def p1(self, c: np.ndarray) -> np.ndarray:
-        return (c + 0.5) / (self.total + 0.5 * (self.distinct + 1))
 
-    def level(self, keys: np.ndarray) -> np.ndarray:
-        self.bloom = self.bloom or Bloom(self.blocks)
-        return self.bloom.level(keys)
+def _asked(n_blocks: int):
+    """What a chunk asks: a row per block, keys packed and sorted; of bigrams the lower half of the key, as the block tells the rest."""
 
-    def log10(self, h: np.ndarray, c: np.ndarray, stored: np.ndarray, inner: np.ndarray, level_of) -> tuple[np.ndarray, np.ndarray]:
-        """Base and model log10 probabilities of tokens, given their counts, the sums of what the filter stores after them, and whether another token precedes in the text."""
-        p1 = self.p1(c)
-        p = p1.copy()
-        after = np.flatnonzero(inner)
-        if len(after):
-            # In training every word is followed by a token of its text, so it is as often a first word as it occurs.
-            k, s = c[after - 1].astype(float), stored[after - 1].astype(float)
-            keys, back = np.unique(pair(h[after - 1], h[after]), return_inverse=True)
-            level = level_of(keys)[back]
-            q = np.minimum(np.where(level >= 0, edge(np.maximum(level, 0)), 0), np.minimum(k, c[after]))
-            p[after] = (q + (k - s + PRIOR) * p1[after]) / (k + PRIOR)
-        return np.log10(p1), np.log10(np.minimum(p, 1.0))
-
-    def __getstate__(self):
-        return self.__dict__ | {"bloom": None}
-
-
-def fit(docs: DataFrame, chunks: int = 1) -> tuple[Model, DataFrame, DataFrame | None]:
-    """From the training rows' texts (column t, null as empty), to score ``chunks`` chunks: the model; of all tokens (h, n: exact count, stored: what
-    the filter has after it); and the filter's blocks, where they are too many to travel with the model."""
-    counts = written(_summed(docs, lambda h, size: h, "h"), "token-counts")
-    sums = counts.agg(F.coalesce(F.sum("n"), F.lit(0)).alias("n"), F.count("*").alias("v")).first()
-    level = F.floor(2 * F.log2("n") + 1e-9).cast("int")
-    pairs = written(_bigrams(docs).select("key", "a", level.alias("level")), "bigram-levels")
-    value = F.ceil(F.pow(F.lit(2.0), F.col("level") / 2) - 1e-6).cast("long")
-    after = pairs.groupBy("a").agg(F.sum(value).alias("stored"))
-    words = written(counts.join(after, F.col("h") == F.col("a"), "left").select("h", "n", F.coalesce("stored", F.lit(0)).alias("stored")), "words")
-    entries = pairs.agg(F.coalesce(F.sum(F.col("level") + 1), F.lit(0)).alias("n")).first().n
-    n = max(1, math.ceil(entries * BITS / BLOCK_BITS))
-    if n > BROADCAST_BLOCKS:
-        n = max(n, chunks)
-        return Model(sums.n, sums.v, n, None), words, written(build_filter(pairs, n), "filter")
-    made = {r.block: r.bits for r in build_filter(pairs, n).collect()}
-    return Model(sums.n, sums.v, n, [bytes(made.get(k, bytes(BLOCK_BITS // 8))) for k in range(n)]), words, None
-
-
-def _bigrams(docs: DataFrame) -> DataFrame:
-    """Counts of all bigrams: (key, a: hash of the first word, n)."""
-    schema = T.StructType([T.StructField("key", T.LongType()), T.StructField("a", T.LongType()), T.StructField("n", T.LongType())])
-
-    def run(batches):
+    def ask(table):
         import pyarrow as pa
 
-        tokens, held, size = Tokens(), [], 0
-
-        def flush():
-            a, b = np.concatenate(held, axis=1)
-            key, at, n = np.unique(pair(a, b), return_index=True, return_counts=True)
-            return pa.RecordBatch.from_arrays([pa.array(key), pa.array(a[at]), pa.array(n)], names=schema.names)
-
-        for batch in batches:
-            for texts in batched(_binary(batch.column(0))):
-                h, sizes = tokens.of(texts)
-                second = np.flatnonzero(_neighbours(h, sizes))
-                held.append(np.stack([h[second - 1], h[second]]))
-                size += len(second)
-                if size > FLUSH:
-                    yield flush()
-                    held, size = [], 0
-        if held:
-            yield flush()
-
-    return docs.select("t").mapInArrow(run, schema).groupBy("key").agg(F.min("a").alias("a"), F.sum("n").alias("n"))
-
-
-def _found(keys: np.ndarray, known: np.ndarray, values: np.ndarray, absent: int) -> np.ndarray:
-    """The value of each key among the sorted known ones."""
-    if not len(known):
-        return np.full(len(keys), absent)
-    at = np.minimum(np.searchsorted(known, keys), len(known) - 1)
-    return np.where(known[at] == keys, values[at], absent)
-
-
-def _probed(asks: DataFrame, blocks: DataFrame, schema: T.StructType) -> DataFrame:
-    """Levels of the (chunk, block, key) asked for, as (chunk, h: key, n: level, stored: -1); absent keys get no row."""
-
-    def probe(ask, block):
-        import pyarrow as pa
+        made = Chunk(_texts(table))
+        train = np.repeat(table.column("train").to_numpy(zero_copy_only=False).astype(bool), made.sizes)
+        seen = np.bincount(made.word_at[train], minlength=len(made.words)).astype(np.uint32)
+        pair_seen = np.bincount(made.pair_at[train[made.after]], minlength=len(made.pairs)).astype(np.uint32)
+        cut = np.arange(n_blocks + 1)
+        w, p = (np.searchsorted(_block(keys, n_blocks), cut) for keys in (made.words, made.pairs))
+        low = (made.pairs & _U(0xFFFFFFFF)).astype(np.uint32)
+        hit = np.flatnonzero((np.diff(w) > 0) | (np.diff(p) > 0))
+        packed = lambda x, ends: pa.array([x[ends[k] : ends[k + 1]].tobytes() for k in hit], pa.binary())
+        out = [pa.array(np.full(len(hit), table.column("chunk")[0].as_py(), dtype=np.int64)), pa.array(hit.astype(np.int64)), packed(made.words, w), packed(seen, w), packed(low, p), packed(pair_seen, p)]
+        del made, train
+        trim()
+        return pa.table(out, names=_ASK.names)
 
-        if not ask.num_rows or not block.num_rows:
-            return pa.table([pa.array([], pa.int64())] * 4, names=schema.names)
-        chunk, keys = ask.column("chunk").to_numpy(), ask.column("key").to_numpy()
-        level = Bloom([block.column("bits")[0].as_py()]).level(keys)
-        has = level >= 0
-        return pa.table([pa.array(chunk[has]), pa.array(keys[has]), pa.array(level[has]), pa.array(np.full(int(has.sum()), -1))], names=schema.names)
+    return ask
 
-    return asks.groupBy("block").cogroup(blocks.groupBy("block")).applyInArrow(probe, schema)
 
+def _summed(table, keys: str, seen: str, kind) -> tuple[np.ndarray, np.ndarray, np.ndarray, list[int]]:
+    """Distinct keys that a block's rows ask for, their counts, where each asked key is among them, and each row's number of keys."""
+    own, n = ([np.frombuffer(x, dtype=d) for x in table.column(c).to_pylist()] for c, d in ((keys, kind), (seen, np.uint32)))
+    every, at = np.unique(np.concatenate(own), return_inverse=True)
+    return every, np.bincount(at, weights=np.concatenate(n), minlength=len(every)).astype(np.int64), at, [len(x) for x in own]
 
-def chunks_of(rows: DataFrame) -> int:
-    return max(1, math.ceil(rows.agg(F.coalesce(F.sum(F.octet_length("t")), F.lit(0)).alias("n")).first().n / CHUNK))
 
+def _answered(table):
+    """A block's answers to the chunks: exact counts of words, levels of bigrams (0: absent) by probes of the block's filter."""
+    import pyarrow as pa
 
-def score(rows: DataFrame, model: Model, words: DataFrame, blocks: DataFrame | None, chunks: int) -> DataFrame:
-    """From (id, t, ...): id, n_tokens, n_known, base_score, score of every row."""
-    spark = rows.sparkSession
-    dealt = rows.select(F.pmod(F.xxhash64("id", F.crc32(F.encode("t", "UTF-8"))), F.lit(chunks)).alias("chunk"), "id", "t")
-    dealt = dealt.repartition(max(chunks, int(spark.conf.get("spark.sql.shuffle.partitions"))), "chunk")
-    long = lambda *names: T.StructType([T.StructField(x, T.LongType()) for x in names])
-    n_blocks = model.n_blocks
+    words, counts, word_at, word_n = _summed(table, "words", "seen", np.uint64)
+    low, pair_counts, pair_at, pair_n = _summed(table, "pairs", "pair_seen", np.uint32)
+    keys, level = low.astype(np.uint64), level_of(pair_counts)
+    bloom = Bloom(keys[level >= 0], level[level >= 0])
+    levels = (bloom.level(keys) + 1).astype(np.uint8)[pair_at]
+    counts_of = counts[word_at]
+    cut = lambda x, n: pa.array([y.tobytes() for y in np.split(x, np.cumsum(n)[:-1])], pa.binary())
+    rows = table.num_rows
+    first = lambda x: pa.array([x] + [0] * (rows - 1), pa.int64())
+    return pa.table([table.column("chunk"), table.column("block"), cut(counts_of, word_n), cut(levels, pair_n), first(int(counts.sum())), first(int((counts > 0).sum()))], names=_ANSWER.names)
 
-    def distinct(table, keys) -> np.ndarray:
-        tokens = Tokens()
-        return np.unique(np.concatenate([np.unique(keys(*tokens.of(texts))) for texts in batched(_binary(table.column("t").combine_chunks()))]))
 
-    def ask(table):
-        import pyarrow as pa
+def base_share(counts: np.ndarray, total: int, distinct: int) -> np.ndarray:
+    return (counts + 0.5) / (total + 0.5 * (distinct + 1))
 
-        found = distinct(table, lambda h, size: h)
-        return pa.table([pa.array(np.full(len(found), table.column("chunk")[0].as_py(), dtype=np.int64)), pa.array(found)], names=["chunk", "h"])
 
-    def ask_pairs(table):
+def _given(total: int, distinct: int, names: list[str]):
+    def give(texts_of, answer):
         import pyarrow as pa
 
-        def keys(h, size):
-            second = np.flatnonzero(_neighbours(h, size))
-            return pair(h[second - 1], h[second])
-
-        found = distinct(table, keys)
-        return pa.table([pa.array(np.full(len(found), table.column("chunk")[0].as_py(), dtype=np.int64)), pa.array(block_of(found, n_blocks)), pa.array(found)], names=["chunk", "block", "key"])
+        if not texts_of.num_rows:
+            return pa.table([pa.array([], f) for f in (texts_of.schema.field("id").type, pa.int64(), pa.int64(), pa.float64(), pa.float64())], names=names)
+        answer = answer.sort_by("block")
+        made = Chunk(_texts(texts_of))
+        counts = np.frombuffer(b"".join(answer.column("counts").to_pylist()), dtype=np.int64)
+        levels = np.frombuffer(b"".join(answer.column("levels").to_pylist()), dtype=np.uint8).astype(np.int64) - 1
+        if len(counts) != len(made.words) or len(levels) != len(made.pairs):
+            raise ValueError("a chunk has other texts than it asked for: write the documents first if their rows can change places")
+        c = counts[made.word_at]
+        p1 = base_share(c, total, distinct)
+        p = p1.copy()
+        k = c[made.after - 1]
+        q = np.minimum(edge(levels)[made.pair_at], np.minimum(k, c[made.after]))
+        p[made.after] = np.where(k > 0, (1 - SHARE) * p1[made.after] + SHARE * q / np.maximum(k, 1), p1[made.after])
+        first = np.cumsum(made.sizes) - made.sizes
+        sums = [np.add.reduceat(x, first) for x in ((c > 0).astype(np.int64), np.log10(p1), np.log10(p))]
+        out = pa.table([texts_of.column("id"), pa.array(made.sizes.astype(np.int64)), *map(pa.array, sums)], names=names)
+        del made, c, p1, p, k, q, sums, counts, levels
+        trim()
+        return out
 
-    answers = dealt.groupBy("chunk").applyInArrow(ask, long("chunk", "h")).join(words, "h").select("chunk", "h", "n", "stored")
-    if blocks is not None:
-        answers = answers.unionByName(_probed(dealt.groupBy("chunk").applyInArrow(ask_pairs, long("chunk", "block", "key")), blocks, long("chunk", "h", "n", "stored")))
-    shared = spark.sparkContext.broadcast(model)
-    out = T.StructType([rows.schema["id"], T.StructField("n_tokens", T.LongType()), T.StructField("n_known", T.LongType()), T.StructField("base_score", T.DoubleType()), T.StructField("score", T.DoubleType())])
+    return give
 
-    def give(texts_of, answer):
-        import pyarrow as pa
 
-        if not texts_of.num_rows:
-            return pa.table([pa.array([], f) for f in (texts_of.schema.field("id").type, pa.int64(), pa.int64(), pa.float64(), pa.float64())], names=out.names)
-        key, n, stored = (answer.column(x).to_numpy() for x in ("h", "n", "stored"))
-        order = np.argsort(key)
-        key, n, stored = key[order], n[order], stored[order]
-        word = stored >= 0
-        tokens, model, parts = Tokens(), shared.value, []
-        level_of = model.level if model.blocks is not None else lambda keys: _found(keys, key[~word], n[~word], -1)
-        known, n_of, stored_of = key[word], n[word], stored[word]
-        for texts in batched(_binary(texts_of.column("t").combine_chunks())):
-            h, size = tokens.of(texts)
-            c = _found(h, known, n_of, 0)
-            base, own = model.log10(h, c, _found(h, known, stored_of, 0), _neighbours(h, size), level_of)
-            first = np.cumsum(size) - size
-            parts.append((size, np.add.reduceat((c > 0).astype(np.int64), first), np.add.reduceat(base, first), np.add.reduceat(own, first)))
-        return pa.table([texts_of.column("id"), *(pa.array(np.concatenate(x)) for x in zip(*parts))], names=out.names)
-
-    return dealt.groupBy("chunk").cogroup(answers.groupBy("chunk")).applyInArrow(give, out)
-
-
-def scored(docs: DataFrame, training, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+def scored(docs: DataFrame, training: Column, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """Per row of ``docs``: the id, n_tokens, n_known, train_tokens, base_score, score; learnt from the rows where ``training`` holds.
 
-    A null text is the empty one: a single end.  Without training rows every probability is that of a token never seen.
+    A null text is the empty one: a single end; a null ``training`` is none.  Without training rows every probability is
+    that of a token never seen.  Rows that repeat, even in all columns, are dealt by their place, so no chunk gets them
+    all; places must be the same when read twice, so ``docs`` is a table or written before.  Other columns are not read.
     """
-    rows = docs.select(F.col(id_col).alias("id"), F.coalesce(F.col(text_col), F.lit("")).alias("t"), training.alias("train"))
-    chunks = chunks_of(rows)
-    model, words, blocks = fit(rows.where("train"), chunks)
-    return score(rows.drop("train"), model, words, blocks, chunks).select(F.col("id").alias(id_col), "n_tokens", "n_known", F.lit(model.total).cast("long").alias("train_tokens"), "base_score", "score")
+    spark = docs.sparkSession
+    rows = docs.select(F.col(id_col).alias("id"), F.coalesce(F.col(text_col), F.lit("")).alias("t"), F.coalesce(training, F.lit(False)).alias("train"))
+    size = rows.agg(F.coalesce(F.sum(F.octet_length("t")), F.lit(0)).alias("n"), F.count("*").alias("rows")).first()
+    volume = size.n + 16 * size.rows
+    chunks, blocks = max(1, math.ceil(volume / CHUNK)), max(1, math.ceil(volume / BLOCK_BYTES))
+    dealt = rows.withColumn("chunk", F.pmod(F.xxhash64("id", F.monotonically_increasing_id()), F.lit(chunks)))
+    parts = max(chunks, int(spark.conf.get("spark.sql.shuffle.partitions")))
+    dealt = dealt.repartition(parts, "chunk")
+    asked = dealt.groupBy("chunk").applyInArrow(_asked(blocks), _ASK)
+    answers = written(asked.groupBy("block").applyInArrow(_answered, _ANSWER), "lm-answers")
+    sums = answers.agg(F.coalesce(F.sum("total"), F.lit(0)).alias("n"), F.coalesce(F.sum("distinct"), F.lit(0)).alias("v")).first()
+    out = T.StructType([rows.schema["id"], T.StructField("n_tokens", T.LongType()), T.StructField("n_known", T.LongType()), T.StructField("base_score", T.DoubleType()), T.StructField("score", T.DoubleType())])
+    found = dealt.groupBy("chunk").cogroup(answers.select("chunk", "block", "counts", "levels").groupBy("chunk")).applyInArrow(_given(sums.n, sums.v, out.names), out)
+    return found.select(F.col("id").alias(id_col), "n_tokens", "n_known", F.lit(sums.n).cast("long").alias("train_tokens"), "base_score", "score")
+
+
+def oracle() -> str:
+    """DuckDB SQL for all columns of the query but the model's score; training are the rows whose CRC-32 of the id, as text, modulo 5 is not 1."""
+    return r"""
+with recursive bits(i, c, k) as (select range::bigint, range::bigint, 0 from range(256) union all select i, case when c & 1 = 1 then xor(c >> 1, 3988292384) else c >> 1 end, k + 1 from bits where k < 8),
+crc as materialized (select list(c order by i) as tbl from bits where k = 8),
+docs as materialized (select doc_id, xor(list_reduce(list_prepend(4294967295::bigint, list_transform(regexp_extract_all(hex(encode(coalesce(doc_id::varchar, ''))), '..'), lambda b: ('0x' || b)::bigint)),
+   lambda a, b: xor(a >> 8, tbl[(xor(a, b) & 255) + 1])), 4294967295) % 5 = 1 as held_out,
+   list_append(regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\x20\x09-\x0D]+'), ' ') as w from documents, crc),
+tokens as materialized (select doc_id, held_out, unnest(w) as token from docs),
+counts as materialized (select token, count(*) as c from tokens where not held_out group by token),
+sums as (select coalesce(sum(c), 0)::bigint as n, count(*) as v from counts)
+select doc_id, held_out, count(*) as n_tokens, count(c) as n_known, any_value(n) as train_tokens, round(sum(log10((coalesce(c, 0) + 0.5) / (n + 0.5 * (v + 1)))), 3) as base_score
+from tokens left join counts using (token), sums group by doc_id, held_out"""
