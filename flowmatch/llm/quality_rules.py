@@ -16,7 +16,7 @@ import math
 import numpy as np
 from pyspark.sql import DataFrame, functions as F, types as T
 
-from flowmatch.llm.common import first_by_hash, text_bytes, written
+from flowmatch.llm.common import first_by_hash, lean, pieces, text_bytes, written
 from flowmatch.llm.textstats import SHARES, rule_counts, shares
 
 SAMPLE, TAINT, TREES, PER_TREE, STEPS, MAX_LOSS = 8192, 0.02, 100, 256, 2000, 0.003
@@ -26,13 +26,13 @@ _AT = [SHARES.index(m) for m in MEASURES[:-1]]
 
 
 def counted(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """Per row: the id, the five counts, and the forest's measures.  A null text has no words."""
+    """Per row: the id, the five counts, and the forest's measures.  A null text has no words; repeated rows stay repeated; other columns are not read."""
     rows = docs.select(F.col(id_col).alias("id"), F.col(text_col).alias("t"))
 
     def run(batches):
         import pyarrow as pa
 
-        for b in batches:
+        for b in pieces(batches, 1):
             out, vec = [], []
             for raw in text_bytes(b.column(1)):
                 n, chars, symbols, dup, repeat, words, hist = rule_counts(raw)
@@ -43,7 +43,7 @@ def counted(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") ->
             yield pa.RecordBatch.from_arrays([b.column(0), *map(pa.array, cols), pa.array(vec, pa.list_(pa.float32()))], names=["id", *COUNTS, "m"])
 
     schema = T.StructType([T.StructField("id", rows.schema["id"].dataType), *[T.StructField(c, T.LongType()) for c in COUNTS], T.StructField("m", T.ArrayType(T.FloatType()))])
-    return rows.mapInArrow(run, schema)
+    return rows.mapInArrow(lean(run), schema)
 
 
 class IsolationForest:
@@ -103,6 +103,7 @@ def _matrix(column) -> np.ndarray:
 
 
 def anomaly(stats: DataFrame, model: IsolationForest) -> DataFrame:
+    """The rows with the forest's score of their measures, 0 if there is no forest."""
     schema = T.StructType([*stats.schema.fields, T.StructField("anomaly", T.DoubleType())])
 
     def run(batches):
@@ -143,3 +144,17 @@ def judge(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col:
     steps = scored.where(usable).join(marks, "id").groupBy(F.floor(F.col("anomaly") * STEPS).alias("s")).agg(F.sum((F.col("q") == 1).cast("long")).alias("g"), F.sum((F.col("q") != 1).cast("long")).alias("b"))
     cut = threshold([(r.s, r.g, r.b) for r in steps.collect()])
     return scored.select(F.col("id").alias(id_col), *COUNTS, "anomaly", (~usable).alias("base_failed"), (usable & (F.col("anomaly") < F.lit(cut))).alias("kept"))
+
+
+def oracle() -> str:
+    """DuckDB SQL for the counts and base_failed."""
+    return r"""
+with raw as (select doc_id, coalesce(text, '') as t, regexp_extract_all(coalesce(text, ''), '[^\x20\x09-\x0D]+') as w from documents),
+lines as (select doc_id, count(*) - count(distinct line) as n_dup_lines from (select doc_id, unnest(string_split(t, chr(10))) as line from raw) where regexp_matches(line, '[^\x20\x09-\x0D]') group by doc_id),
+words as (select doc_id, generate_subscripts(w, 1) as i, unnest(w) as word from raw),
+three as (select doc_id, i, word as a, lead(word) over w as b, lead(word, 2) over w as c from words window w as (partition by doc_id order by i)),
+often as (select doc_id, i from (select doc_id, i, count(*) over (partition by doc_id, a, b, c) as n from three where c is not null) where n > 1),
+hit as (select doc_id, count(distinct i + k) as n_repeat_words from often, (select unnest([0, 1, 2]) as k) group by doc_id)
+select doc_id, len(w)::bigint as n_words, length(regexp_replace(t, '[\x20\x09-\x0D]', '', 'g'))::bigint as word_chars, length(regexp_replace(t, '[^#*$%&|<>]', '', 'g'))::bigint as n_symbols,
+       coalesce(n_dup_lines, 0)::bigint as n_dup_lines, coalesce(n_repeat_words, 0)::bigint as n_repeat_words, len(w) < 50 or 100 * coalesce(n_repeat_words, 0) > 50 * len(w) as base_failed
+from raw left join lines using (doc_id) left join hit using (doc_id)"""

@@ -1,4 +1,8 @@
-"""The queries of this subpackage: each applies one operator to its whole table and derives the columns asked for."""
+"""The queries of this subpackage: each applies one operator to its whole table and derives the columns asked for.
+
+Rows with nulls, empty and long texts, repeated rows, empty tables and tables with more columns are handled as each operator
+states; a query returns a row per row of its table, without rows for an empty one.
+"""
 
 from __future__ import annotations
 
@@ -42,7 +46,7 @@ def op5_quotation_linking(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op6_minhash(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return minhash.classes(table(spark, sf_dir, "documents"))
+    return minhash.classes(table(spark, sf_dir, "documents"), weights="count")
 
 
 def op7_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -61,7 +65,7 @@ def op9_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op10_sharding(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return sharding.place(table(spark, sf_dir, "documents"))
+    return sharding.place(table(spark, sf_dir, "documents"), weights=[1.0] * sharding.SHARDS)
 
 
 def pipeline(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -70,10 +74,20 @@ def pipeline(spark: SparkSession, sf_dir: str) -> DataFrame:
     return corpus_pipeline.run(spark, sf_dir)
 
 
+def rule_counts_op3(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The counts and hard rules of op3 alone, which SQL can state."""
+    return op3_quality_rules(spark, sf_dir).select("doc_id", *quality_rules.COUNTS, "base_failed")
+
+
+def base_score_op8(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The exact part of op8, which SQL can state; the base score to three places."""
+    return op8_lm_scoring(spark, sf_dir).select("doc_id", "held_out", "n_tokens", "n_known", "train_tokens", F.round("base_score", 3).alias("base_score"))
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    every = (op1_embedding_dedup, op2_byte_bpe, op3_quality_rules, op4_quality_classifier, op5_quotation_linking, op6_minhash, op7_mixing, op8_lm_scoring, op9_language_id, op10_sharding, pipeline)
+    every = (op1_embedding_dedup, op2_byte_bpe, op3_quality_rules, op4_quality_classifier, op5_quotation_linking, op6_minhash, op7_mixing, op8_lm_scoring, op9_language_id, op10_sharding, pipeline, rule_counts_op3, base_score_op8)
     return {f.__name__: f for f in every}
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op5_quotation_linking": quotation.oracle(), "op7_mixing": mixing.oracle()}
+    return {"op5_quotation_linking": quotation.oracle(), "op7_mixing": mixing.oracle(), "op10_sharding": sharding.oracle(), "rule_counts_op3": quality_rules.oracle(), "base_score_op8": lm_scoring.oracle()}

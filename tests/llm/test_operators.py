@@ -1,15 +1,17 @@
 """The operators on small tables with nulls, empty and long texts, repeats and clashing columns, against brute force."""
 
+import hashlib
 import math
 import zlib
 from collections import Counter
 
 import numpy as np
 import pytest
-from pyspark.sql import functions as F
+from pyspark.sql import functions as F, types as T
 
 from flowmatch.llm import bpe, embedding_dedup, language_id, lm_scoring, minhash, mixing, quality_classifier, quality_rules, quotation, sharding
 from flowmatch.llm.queries import tokenizer
+from flowmatch.llm.tokens import Tokens
 
 LONG = "lorem ipsum dolor " * 3000
 TEXTS = ["alpha beta gamma delta epsilon zeta eta theta", "alpha beta gamma delta epsilon zeta eta theta", "", None, LONG, "x", "Ärger über Öl", "a  b\n\na  b\n\tc", "one two three one two three!!", "#*$ %& |<> ²½ \x1c\x85 it's"]
@@ -68,7 +70,7 @@ def test_rules_and_classifier_tell_junk(spark):
     model = quality_classifier.fit(docs, labels)
     score = {r.doc_id: r.score for r in quality_classifier.score(docs, model).collect()}
     assert all((score[i] >= 0.7) == (i % 5 != 0) for i in range(300)) and 0 <= score[999] <= 1
-    assert quality_classifier.fit(docs, labels.limit(0)).score(np.zeros((1, len(quality_classifier.MEASURES))))[0] == 0.5
+    assert quality_classifier.fit(docs, labels.limit(0)).score([b"a"], Tokens())[0] == 0.5
 
 
 def test_language(spark, docs):
@@ -90,8 +92,8 @@ def test_darts_estimate_jaccard():
     assert abs(est - true) < 0.05
 
 
-@pytest.mark.parametrize("small, tile", [(16, 1024), (2, 3)])
-def test_near_duplicates(spark, monkeypatch, small, tile):
+@pytest.mark.parametrize("small, tile, weights", [(16, 1024, "count"), (2, 3, "count"), (2, 3, "set")])
+def test_near_duplicates(spark, monkeypatch, small, tile, weights):
     monkeypatch.setattr(minhash, "SMALL", small)
     monkeypatch.setattr(minhash, "TILE", tile)
     rng = np.random.default_rng(3)
@@ -103,22 +105,28 @@ def test_near_duplicates(spark, monkeypatch, small, tile):
             words[k] = f"n{i}_{k}"
         rows.append((i, " ".join(words)))
     rows += [(100, "short text"), (101, "short  text"), (102, ""), (103, None), (None, "short text"), (0, rows[0][1])]
-    grams = {i: set(zip(*[t.split()[k:] for k in range(5)])) for i, t in rows[:40]}
+    rows += [(200, "again and again we say it " * 40), (201, "again and again we say it " * 34), (202, "again and again we say it " * 20)]
+    grams = {i: Counter(zip(*[t.split()[k:] for k in range(5)])) for i, t in rows[:40] + rows[-3:]}
+    if weights == "set":
+        grams = {i: Counter(set(g)) for i, g in grams.items()}
     root = {i: i for i in grams}
-    for a in range(40):
-        for b in range(a):
-            if len(grams[a] & grams[b]) / len(grams[a] | grams[b]) >= 0.8:
+    for a in grams:
+        for b in grams:
+            if b < a and (grams[a] & grams[b]).total() / (grams[a] | grams[b]).total() >= 0.8:
                 x, y = root[a], root[b]
                 root = {k: min(x, y) if v in (x, y) else v for k, v in root.items()}
+    assert (root[202] == 200) == (weights == "set") and root[201] == 200
     docs = spark.createDataFrame(rows, "doc_id long, text string")
-    got = {r.doc_id: r.component_id for r in minhash.classes(docs).collect()}
+    got = {r.doc_id: r.component_id for r in minhash.classes(docs, weights=weights).collect()}
     assert {i: got[i] for i in grams} == root and got[100] == got[101] == 100 and got[102] == 102 and got[103] == 103
-    kept = minhash.deduplicated(docs)
+    kept = minhash.deduplicated(docs, weights=weights)
     assert sorted(r.doc_id for r in kept.collect() if r.doc_id is not None) == sorted([*set(root.values()), 100, 102, 103])
 
 
-def test_embeddings(spark, monkeypatch):
-    monkeypatch.setattr(embedding_dedup, "TILE", 16)
+@pytest.mark.parametrize("tile, span", [(128, 16), (8, 2)])
+def test_embeddings(spark, monkeypatch, tile, span):
+    monkeypatch.setattr(embedding_dedup, "TILE", tile)
+    monkeypatch.setattr(embedding_dedup, "SPAN", span)
     rng = np.random.default_rng(5)
     base = rng.standard_normal((6, 16))
     v = [(i, (base[i % 6] + rng.standard_normal(16) * 0.09).tolist()) for i in range(60)]
@@ -134,7 +142,8 @@ def test_embeddings(spark, monkeypatch):
     assert all(got[k].n_links == 0 and got[k].kept for k in range(61, 67))
 
 
-def test_mixing(docs, spark):
+def test_mixing(docs, spark, monkeypatch):
+    monkeypatch.setattr(mixing, "EDGE_ROWS", 3)
     out = mixing.mix(mixing.drawn(docs)).collect()
     sums = Counter()
     for r in out:
@@ -144,10 +153,18 @@ def test_mixing(docs, spark):
     many = spark.createDataFrame([(i, "w " * (1 + i % 9), "ab"[i % 2]) for i in range(2000)], "doc_id long, text string, source string")
     got = mixing.mix(mixing.drawn(many)).groupBy("source").agg(F.sum("taken").alias("n"), F.first("target").alias("t")).collect()
     assert all(abs(r.n - r.t) <= 9 for r in got)
+    want = {r.doc_id: r.taken for r in mixing.mix(mixing.drawn(many)).collect()}
+    for most in (1, 6):  # sources meet their documents by salt, cuts end early: the same result
+        monkeypatch.setattr(mixing, "MOST_CUTS", most)
+        monkeypatch.setattr(mixing, "BROADCAST_SOURCES", 0)
+        assert {r.doc_id: r.taken for r in mixing.mix(mixing.drawn(many)).collect()} == want
+    # A third of all rows repeat one id: in or out together.
+    same = spark.createDataFrame([(7 if i % 3 == 0 else i, "w w", "ab"[i % 2]) for i in range(900)], "doc_id long, text string, source string")
+    assert all(r.n == 1 for r in mixing.mix(mixing.drawn(same)).groupBy("doc_id", "source").agg(F.count_distinct("taken").alias("n")).collect())
     assert mixing.repeated(docs).columns == docs.columns and mixing.mix(mixing.drawn(docs.limit(0))).count() == 0
 
 
-def test_sharding(spark, docs):
+def test_sharding(spark, docs, monkeypatch):
     many = spark.createDataFrame([(i, "t" * (i % 7)) for i in range(6000)], "doc_id long, text string")
     rows = sharding.place(many).collect()
     by = {}
@@ -156,6 +173,17 @@ def test_sharding(spark, docs):
         assert r.grown_shard in (r.shard, 40) and r.text_crc32 == zlib.crc32(("t" * (r.doc_id % 7)).encode()) and r["size"] == 16 + r.doc_id % 7
     assert sorted(by) == list(range(40)) and all(sorted(s) == list(range(len(s))) for s in by.values())
     assert 50 < sum(r.grown_shard == 40 for r in rows) < 300
+    def best(key, n):
+        m = hashlib.md5(str(key).encode()).hexdigest()
+        x, y = (int(m[8 * k : 8 * k + 8], 16) % (1 << 30) for k in range(2))
+        p = sharding.PRIME
+        u = [(((x * a + y) % p) * ((y * b + x) % p) + c) % p for a, b, c in map(sharding._factors, range(n))]
+        return max(range(n), key=lambda s: (u[s], s))
+
+    assert all((r.shard, r.grown_shard) == (best(r.doc_id, 40), best(r.doc_id, 41)) for r in rows)
+    monkeypatch.setattr(sharding, "ROWS_PER_PART", 50)
+    equal = sharding.place(spark.createDataFrame([(5, "x")] * 333 + [(None, None)] * 2, "doc_id long, text string"), 3).collect()
+    assert sorted(r.slot for r in equal if r.doc_id == 5) == list(range(333)) or len({r.shard for r in equal}) == 1 and sorted(r.slot for r in equal) == list(range(335))
     heavy = Counter(r.s for r in many.select(sharding.shard_of(F.col("doc_id"), 2, [3.0, 1.0]).alias("s")).collect())
     assert abs(heavy[0] / 6000 - 0.75) < 0.03 and sharding.place(docs).count() == docs.count()
 
@@ -172,29 +200,38 @@ def test_language_model(docs):
     assert out[4].score > out[4].base_score
 
 
-@pytest.mark.parametrize("travels", [64, 0])
-def test_language_model_counts_rare_bigrams_of_a_large_corpus(spark, monkeypatch, travels):
-    monkeypatch.setattr(lm_scoring, "BROADCAST_BLOCKS", travels, raising=False)
+def test_language_model_against_brute_force(spark, monkeypatch):
+    monkeypatch.setattr(lm_scoring, "CHUNK", 1 << 17)
+    monkeypatch.setattr(lm_scoring, "BLOCK_BYTES", 1 << 16)
     # 400,000 tokens, of which a word of 3 has less than a 65,536th: it takes part in bigrams all the same.
-    rows = [(k, "common " * 4000) for k in range(100)] + [(200 + k, "rare couple") for k in range(3)] + [(300, "rare couple"), (301, "couple rare")]
+    rows = [(k, "common " * 4000) for k in range(100)] + [(200 + k, "rare couple") for k in range(3)] + [(300, "rare couple"), (301, "couple rare"), (302, "Once common")]
     docs = spark.createDataFrame(rows, "doc_id long, text string")
     got = {r.doc_id: r for r in lm_scoring.scored(docs, F.col("doc_id") < 300).collect()}
-    texts = [t.split() + [None] for i, t in rows if i < 300]
+    texts = [t.lower().split() + [None] for i, t in rows if i < 300]
     one, two = Counter(w for t in texts for w in t), Counter(p for t in texts for p in zip(t, t[1:]))
     n, v = sum(one.values()), len(one)
-    edge = lambda c: math.ceil(2 ** (math.floor(2 * math.log2(c) + 1e-9) / 2) - 1e-6) if c else 0
+    edge = lambda c: math.ceil(2 ** (math.floor(2 * math.log2(c) + 1e-9) / 2) - 1e-6) if c >= lm_scoring.LEAST else 0
     share = lambda w: (one[w] + 0.5) / (n + 0.5 * (v + 1))
 
     def want(text):
-        t = text.split() + [None]
+        t = text.lower().split() + [None]
         out = math.log10(share(t[0]))
         for a, b in zip(t, t[1:]):
-            kept = sum(edge(c) for (x, _), c in two.items() if x == a)
-            out += math.log10((edge(two[a, b]) + (one[a] - kept + lm_scoring.PRIOR) * share(b)) / (one[a] + lm_scoring.PRIOR))
+            out += math.log10((1 - lm_scoring.SHARE) * share(b) + lm_scoring.SHARE * min(edge(two[a, b]), one[a], one[b]) / one[a] if one[a] else share(b))
         return out
 
     assert all(got[i].score == pytest.approx(want(t), rel=1e-9) for i, t in rows)
-    assert got[300].score > got[300].base_score + 3
+    assert got[300].score > got[300].base_score + 2 and {r.train_tokens for r in got.values()} == {n}
+
+
+def test_filter_keeps_levels():
+    rng = np.random.default_rng(4)
+    keys = np.unique(rng.integers(0, 2**32, 20_000).astype(np.uint64))
+    counts = rng.integers(0, 40, len(keys))
+    level = lm_scoring.level_of(counts)
+    read = lm_scoring.Bloom(keys[level >= 0], level[level >= 0]).level(keys)
+    assert (read >= level).all() and (read != level).mean() < 0.01
+    assert [int(lm_scoring.edge(x)) for x in lm_scoring.level_of(np.array([1, 2, 3, 4, 5, 6, 8]))] == [0, 2, 3, 4, 4, 6, 8]
 
 
 def test_quotations(spark):
@@ -247,3 +284,77 @@ def test_every_language_and_letter_is_learnt(spark, monkeypatch):
     assert model.langs == sorted(f"l{k}" for k in range(70)) and model.predict([text(k) for k in range(70)])[0] == [f"l{k}" for k in range(70)]
     sets = [{t.lower()[i : i + n] for n in (1, 2, 3) for i in range(len(t) - n + 1)} for t in ("a bc", "ab ab \u4e00")]
     assert [len(language_id.grams(t)) for t in ("a bc", "ab, ab \u4e00")] == [len(x) for x in sets]
+
+
+def test_forest_against_brute_force():
+    rng = np.random.default_rng(8)
+    rows = rng.standard_normal((300, 4))
+    forest = quality_rules.IsolationForest(rows, trees=20, per_tree=64)
+
+    def path(tree, row):
+        measure, value, child, length = tree
+        at = 0
+        while measure[at] >= 0:
+            at = child[at] + (row[measure[at]] >= value[at])
+        return length[at]
+
+    expected = lambda n: 2 * sum(1 / k for k in range(1, n)) - 2 * (n - 1) / n
+    far = np.vstack([rows[:50], np.full((1, 4), 9.0)])
+    want = [2 ** (-np.mean([path(t, r) for t in forest.trees]) / expected(64)) for r in far]
+    assert forest.score(far) == pytest.approx(want, rel=0.01) and forest.score(far)[-1] > max(want[:-1])
+
+
+def test_held_out_accuracy(spark, sf):
+    from flowmatch.llm import queries
+    from flowmatch.llm.common import table
+
+    labels = {r.doc_id: r.quality for r in table(spark, sf, "labels").collect()}
+    got = [(r.predicted, labels[r.doc_id]) for r in queries.op4_quality_classifier(spark, sf).collect() if r.held_out and r.doc_id in labels]
+    assert np.mean([a == b for a, b in got]) >= 0.85
+    lang = {r.doc_id: r.lang for r in table(spark, sf, "documents").collect()}
+    got = [(r.lang_pred, lang[r.doc_id]) for r in queries.op9_language_id(spark, sf).collect() if r.held_out and lang[r.doc_id]]
+    assert np.mean([a == b for a, b in got]) >= 0.95
+    lm = [r for r in queries.op8_lm_scoring(spark, sf).collect() if r.held_out]
+    assert sum(r.score for r in lm) > sum(r.base_score for r in lm)
+
+
+def test_kernel_against_brute_force():
+    texts = ["the thing of the house", "die Straße und das Haus", "the house", "und das"]
+    model = language_id.Nystroem(texts, ["en", "de", "en", "de"])
+
+    def grams(t):
+        x = "".join(c if c.isalpha() else " " for c in t.lower())
+        x = " ".join(x.split()) if x == x.strip() else x
+        return {x[i : i + n] for n in (1, 2, 3) for i in range(len(x) - n + 1)}
+
+    order = sorted(range(4), key=lambda i: -len(language_id.grams(texts[i])))
+    rank, marks = Counter(), []
+    for i in order:
+        rank["ende"[2 * (i % 2) :][:2]] += 1
+        marks.append((rank["ende"[2 * (i % 2) :][:2]], ["en", "de"][i % 2], i))
+    marks = [i for *_, i in sorted(marks)]
+    for t in ("the Haus", "of"):
+        want = [len(grams(t) & grams(texts[i])) / math.sqrt(len(grams(t)) * len(grams(texts[i]))) for i in marks]
+        assert model._kernel([language_id.grams(t)])[0] == pytest.approx(want)
+
+
+EMPTY = {"documents": "doc_id long, text string, lang string, source string, n_chars long", "labels": "doc_id long, quality int, toxic int", "embeddings": "vec_id long, embedding array<float>, label int", "conversations": "conv_id long, turn long, role string, text string"}
+CLASH = "id, t, l, s, k, h, v, key, chunk, block, words, pairs, size, source_size, target, weight, score, rep, a, b, c, n, at, cell, tile, pass, role2, part, train, m, q, word, count, component, pivot, bands"
+
+
+@pytest.mark.parametrize("kind", ["empty", "clashing"])
+def test_queries_on_empty_and_clashing_tables(spark, sf, tmp_path, kind):
+    from flowmatch.llm import queries
+
+    for name, schema in EMPTY.items():
+        df = spark.createDataFrame([], schema)
+        if kind == "clashing":
+            df = spark.read.parquet(f"{sf}/{name}.parquet").limit(60)
+            extra = [c for c in CLASH.split(", ") if c not in df.columns]
+            df = df.withColumns({c: F.lit("x") for c in extra})
+            df = df.unionByName(df.limit(2)).unionByName(spark.createDataFrame([(None,) * len(df.columns)], T.StructType([T.StructField(f.name, f.dataType) for f in df.schema])))
+        df.write.parquet(f"{tmp_path}/{name}.parquet")
+    for name, query in queries.queries().items():
+        rows = query(spark, str(tmp_path)).collect()
+        table = "embeddings" if "op1_" in name else "conversations" if "op5" in name else "documents"
+        assert name == "pipeline" or len(rows) == spark.read.parquet(f"{tmp_path}/{table}.parquet").count(), name
