@@ -24,7 +24,7 @@ from heapq import heapify, heappop, heappush
 import numpy as np
 from pyspark.sql import DataFrame, functions as F, types as T
 
-from flowmatch.llm.common import lean, pieces
+from flowmatch.llm.common import mapped, pieces
 
 MAX_VOCABULARY = 1 << 20
 MEMO = 250_000
@@ -268,7 +268,7 @@ def encode(docs: DataFrame, path: str, pattern: str, id_col: str = "doc_id", tex
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array(ids, pa.list_(pa.int32()))], names=["id", "ids"])
 
     rows = docs.select(F.col(id_col).alias("id"), F.col(text_col).alias("t"))
-    return rows.mapInArrow(lean(run), T.StructType([T.StructField("id", rows.schema["id"].dataType), T.StructField("ids", T.ArrayType(T.IntegerType()))])).withColumnRenamed("id", id_col)
+    return mapped(rows, run, T.StructType([T.StructField("id", rows.schema["id"].dataType), T.StructField("ids", T.ArrayType(T.IntegerType()))])).withColumnRenamed("id", id_col)
 
 
 def decode(encoded: DataFrame, path: str, pattern: str, id_col: str = "doc_id", ids_col: str = "ids") -> DataFrame:
@@ -283,7 +283,7 @@ def decode(encoded: DataFrame, path: str, pattern: str, id_col: str = "doc_id",
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array(out, pa.binary())], names=["id", "decoded"])
 
     rows = encoded.select(F.col(id_col).alias("id"), F.col(ids_col).alias("i"))
-    return rows.mapInArrow(lean(run), T.StructType([T.StructField("id", rows.schema["id"].dataType), T.StructField("decoded", T.BinaryType())])).withColumnRenamed("id", id_col)
+    return mapped(rows, run, T.StructType([T.StructField("id", rows.schema["id"].dataType), T.StructField("decoded", T.BinaryType())])).withColumnRenamed("id", id_col)
 
 
 def round_trip(docs: DataFrame, path: str, pattern: str, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -311,4 +311,4 @@ def round_trip(docs: DataFrame, path: str, pattern: str, id_col: str = "doc_id",
 
     rows = docs.select(F.col(id_col).alias("id"), F.col(text_col).alias("t"))
     schema = T.StructType([T.StructField("id", rows.schema["id"].dataType), T.StructField("n_tokens", T.LongType()), T.StructField("ids_sha256", T.StringType()), T.StructField("decoded_sha256", T.StringType()), T.StructField("n_bytes", T.LongType())])
-    return rows.mapInArrow(lean(run), schema).withColumnRenamed("id", id_col)
+    return mapped(rows, run, schema).withColumnRenamed("id", id_col)

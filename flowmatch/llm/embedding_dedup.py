@@ -26,7 +26,7 @@ import math
 import numpy as np
 from pyspark.sql import DataFrame, Window, functions as F, types as T
 
-from flowmatch.llm.common import dropped, lean, written
+from flowmatch.llm.common import dropped, mapped, written
 from flowmatch.llm.components import components
 
 COSINE, WINDOW, MISS, LEAST_BITS, MOST_BITS, FINER, SEED = 0.95, 256, 0.002, 6, 30, 24, 17
@@ -83,7 +83,7 @@ def hashed(vectors: DataFrame, depth: int, passes: int, id_col: str, vec_col: st
                         same[i], own[i], keys[i] = hashlib.blake2b(y.tobytes(), digest_size=16).digest(), y, row
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array(same, pa.binary()), pa.array(own, b.column(1).type), pa.array(keys, pa.list_(pa.int64()))], names=schema.names)
 
-    return rows.mapInArrow(lean(run), schema)
+    return mapped(rows, run, schema)
 
 
 def ordered(reps: DataFrame, n: int, bits: int, depth: int, passes: int) -> DataFrame:

@@ -20,7 +20,7 @@ from functools import cache
 import numpy as np
 from pyspark.sql import DataFrame, Window, functions as F, types as T
 
-from flowmatch.llm.common import lean, pieces
+from flowmatch.llm.common import mapped, pieces
 
 PER_CLASS, SAMPLE, LANDMARKS, RIDGE, SALTS = 320, 20_480, 256, 1e-2, 16
 SAMPLE_BYTES, USUAL_BYTES = 32 << 20, 32 << 10
@@ -157,7 +157,7 @@ def predict(docs: DataFrame, model: Nystroem, id_col: str = "doc_id", text_col:
             names, scores = model.predict(b.column(1).to_pylist())
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array(names, pa.string()), pa.array(scores)], names=schema.names)
 
-    return rows.mapInArrow(lean(run), schema).withColumnRenamed("id", id_col)
+    return mapped(rows, run, schema).withColumnRenamed("id", id_col)
 
 
 def identified(docs: DataFrame, model: Nystroem, text_col: str = "text") -> DataFrame:
@@ -171,4 +171,4 @@ def identified(docs: DataFrame, model: Nystroem, text_col: str = "text") -> Data
             names, scores = model.predict(b.column(at).to_pylist())
             yield b.filter(pa.array([n != UNKNOWN and v >= model.least for n, v in zip(names, scores.tolist())], pa.bool_()))
 
-    return docs.mapInArrow(lean(run), docs.schema)
+    return mapped(docs, run, docs.schema)

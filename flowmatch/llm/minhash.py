@@ -23,7 +23,7 @@ import hashlib
 import numpy as np
 from pyspark.sql import DataFrame, functions as F, types as T
 
-from flowmatch.llm.common import by_ids, dropped, lean, pieces, text_bytes, written
+from flowmatch.llm.common import by_ids, dropped, mapped, pieces, text_bytes, written
 from flowmatch.llm.components import components
 
 SHINGLE, SIMILAR, BANDS, ROWS = 5, 0.8, 30, 5
@@ -168,7 +168,7 @@ def signed(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", weig
                 keys.append(bands(darts(elements, count.astype(float) if heavy else None)))
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array(digest, pa.binary()), pa.array(size, pa.int32()), pa.array(keys, pa.list_(pa.int64()))], names=schema.names)
 
-    return rows.mapInArrow(lean(run), schema)
+    return mapped(rows, run, schema)
 
 
 def confirmed(pairs: DataFrame, texts: DataFrame, similar: float = SIMILAR, weights: str = "count") -> DataFrame:
@@ -191,7 +191,7 @@ def confirmed(pairs: DataFrame, texts: DataFrame, similar: float = SIMILAR, weig
                 keep.append(bool(same) and same >= similar * (low + high - same))
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1)], names=schema.names).filter(pa.array(keep, pa.bool_()))
 
-    return full.mapInArrow(lean(run), schema)
+    return mapped(full, run, schema)
 
 
 def tile_links(table, similar: float = SIMILAR, weights: str = "count"):

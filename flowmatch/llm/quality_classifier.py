@@ -15,7 +15,7 @@ from __future__ import annotations
 import numpy as np
 from pyspark.sql import DataFrame, functions as F, types as T
 
-from flowmatch.llm.common import first_by_hash, lean, pieces, text_bytes
+from flowmatch.llm.common import first_by_hash, mapped, pieces, text_bytes
 from flowmatch.llm.textstats import SHARES, rule_counts, shares
 from flowmatch.llm.tokens import Tokens, batched
 
@@ -64,7 +64,7 @@ def measured(rows: DataFrame, text_col: str) -> DataFrame:
             packed = [x.tobytes() for x in np.packbits(bits, axis=1)]
             yield pa.RecordBatch.from_arrays([*b.columns[: len(rest)], pa.array([measure(raw) for raw in texts], pa.list_(pa.float64())), pa.array(packed, pa.binary())], names=schema.names)
 
-    return rows.select(*rest, text_col).mapInArrow(lean(run), schema)
+    return mapped(rows.select(*rest, text_col), run, schema)
 
 
 def _logistic(x):
@@ -160,7 +160,7 @@ def score(docs: DataFrame, model: BradleyTerry, id_col: str = "doc_id", text_col
         for b in pieces(batches, 1):
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array(model.score(text_bytes(b.column(1)), tokens))], names=schema.names)
 
-    return rows.mapInArrow(lean(run), schema).withColumnRenamed("id", id_col)
+    return mapped(rows, run, schema).withColumnRenamed("id", id_col)
 
 
 def accepted(docs: DataFrame, model: BradleyTerry, text_col: str = "text") -> DataFrame:
@@ -174,4 +174,4 @@ def accepted(docs: DataFrame, model: BradleyTerry, text_col: str = "text") -> Da
         for b in pieces(batches, at):
             yield b.filter(pa.array((model.score(text_bytes(b.column(at)), tokens) >= ACCEPT) | (not model.fitted)))
 
-    return docs.mapInArrow(lean(run), docs.schema)
+    return mapped(docs, run, docs.schema)

@@ -16,7 +16,7 @@ import math
 import numpy as np
 from pyspark.sql import DataFrame, functions as F, types as T
 
-from flowmatch.llm.common import first_by_hash, lean, pieces, text_bytes, written
+from flowmatch.llm.common import first_by_hash, mapped, pieces, text_bytes, written
 from flowmatch.llm.textstats import SHARES, rule_counts, shares
 
 SAMPLE, TAINT, TREES, PER_TREE, STEPS, MAX_LOSS = 8192, 0.02, 100, 256, 2000, 0.003
@@ -43,7 +43,7 @@ def counted(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") ->
             yield pa.RecordBatch.from_arrays([b.column(0), *map(pa.array, cols), pa.array(vec, pa.list_(pa.float32()))], names=["id", *COUNTS, "m"])
 
     schema = T.StructType([T.StructField("id", rows.schema["id"].dataType), *[T.StructField(c, T.LongType()) for c in COUNTS], T.StructField("m", T.ArrayType(T.FloatType()))])
-    return rows.mapInArrow(lean(run), schema)
+    return mapped(rows, run, schema)
 
 
 class IsolationForest:
@@ -112,7 +112,7 @@ def anomaly(stats: DataFrame, model: IsolationForest) -> DataFrame:
         for b in batches:
             yield pa.RecordBatch.from_arrays([*b.columns, pa.array(model.score(_matrix(b.column(b.schema.get_field_index("m")))))], names=schema.names)
 
-    return stats.mapInArrow(run, schema)
+    return mapped(stats, run, schema)
 
 
 def threshold(steps: list[tuple[int, int, int]], max_loss: float = MAX_LOSS) -> float:
