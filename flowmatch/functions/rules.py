@@ -35,7 +35,7 @@ def subset_rule(edge: QueryEdge, pattern: Pattern) -> Column:
     test = label_test("label", edge.labels)
     for column, name in (("src_type", edge.src), ("dst_type", edge.dst)):
         if (kind := pattern.vertex(name).label) is not None:
-            test = test & F.forall(F.split(F.lit(kind), r"\|"), lambda x, c=column: F.array_contains(F.split(F.col(c), r"\|"), x))
+            test = test & (F.size(F.array_except(F.split(F.lit(kind), r"\|"), F.split(F.col(column), r"\|"))) == 0)
     return test & F.expr(edge.where) if edge.where else test
 
 
@@ -45,14 +45,20 @@ def attribute_rule(predicates: dict[str, Column]) -> Rule:
 
 
 def python_rule(fn: Callable[..., bool], columns: list[str]) -> Rule:
-    """A rule in Python: ``fn(query edge, *columns)``, run in Arrow batches.  The slow path; native rules stay in generated code."""
+    """A rule in Python: ``fn(query edge, *columns)``, run once for each distinct combination of values in an Arrow batch.
+
+    The slow path; native rules stay in generated code.
+    """
 
     def rule(edge: QueryEdge, pattern: Pattern) -> Column:
         @F.pandas_udf("boolean")
         def test(*values):
             import pandas as pd
 
-            return pd.Series([bool(fn(edge, *row)) for row in zip(*values)])
+            rows = pd.DataFrame(dict(enumerate(values))).astype(object)
+            rows = rows.where(rows.notna(), None)
+            seen: dict = {}
+            return pd.Series([seen[r] if r in seen else seen.setdefault(r, bool(fn(edge, *r))) for r in rows.itertuples(index=False, name=None)])
 
         return test(*[F.col(c) for c in columns])
 

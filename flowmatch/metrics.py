@@ -14,8 +14,6 @@ from flowmatch.operators.index import Index, index_bits
 from flowmatch.plans.planner import Plan
 from flowmatch.sources.snapshots import StreamConfig
 
-__all__ = ["index_bits", "index_space", "placeholders", "traversals", "index_quality", "duplicates", "check_equivalence", "speedup", "timed", "update_cost", "storage_bytes"]
-
 
 def index_space(kind: str, n_edges: int, n_vertices: int, n_query_vertices: int, n_query_edges: int) -> int:
     """Entries (bits for the bitmaps) by design: "bitmap" and "pair_state", "query_centric", "match_matrix", "node_list", "embedding_store"."""
@@ -127,6 +125,63 @@ def timed(spark: SparkSession, work: Callable[[], DataFrame], timeout_s: float |
         spark.removeTag(tag)
 
 
+def placeholder_growth(series: DataFrame, first: int, snapshots: int = 90) -> DataFrame:
+    """One row: slots at snapshot ``first`` and so many snapshots later, and the growth in percent; ``series`` from :func:`placeholders`."""
+    at = lambda k: F.max(F.when(F.col("snapshot_id") <= k, F.col("slots")))  # noqa: E731  slots only grow
+    row = series.agg(at(first).alias("slots_start"), at(first + snapshots).alias("slots_end"))
+    return row.withColumn("growth_pct", F.round(100.0 * (F.col("slots_end") - F.col("slots_start")) / F.col("slots_start"), 1))
+
+
+def bottom_up_traversals(edges: DataFrame, plan: Plan, batch: Column) -> DataFrame:
+    """(batch, level, visited): distinct (edge, query edge) pairs that a batch reads on its way up, from the vertices it touches."""
+    tree = plan.tree
+    marked = edges.withColumn("batch", batch)
+    arc = ix.arcs(marked.where("local_mask <> 0"), tree).join(marked.select("edge_id", "batch"), "edge_id")
+    deepest = sum(1 << tree.bit(t) for t in tree.level(tree.depth))
+    seeds = arc.where(F.col("m").bitwiseAND(F.lit(deepest).cast("bigint")) != 0).select(F.col("batch").alias("now"), "c").distinct()
+    out = None
+    for k in range(tree.depth, 0, -1):
+        level = F.lit(sum(1 << tree.bit(t) for t in tree.level(k))).cast("bigint")
+        read = arc.where(F.col("m").bitwiseAND(level) != 0).join(seeds, "c").where("batch <= now").withColumn("pairs", F.bit_count(F.col("m").bitwiseAND(level)).cast("long"))
+        part = read.groupBy(F.col("now").alias("batch")).agg(F.sum("pairs").alias("visited")).withColumn("level", F.lit(k))
+        out = part if out is None else out.unionByName(part)
+        seeds = read.select("now", F.col("p").alias("c")).distinct()
+    return out
+
+
+def cpu_trace(work: Callable[[], object], every_s: float = 0.5) -> tuple[list[list[float]], object]:
+    """Busy share of each core of this machine, sampled while ``work`` runs, and what it returns."""
+    import threading
+
+    def read():
+        with open("/proc/stat") as f:
+            rows = [list(map(int, line.split()[1:])) for line in f if line.startswith("cpu") and line[3] != " "]
+        return [(sum(r), r[3] + r[4]) for r in rows]
+
+    samples, stop = [], threading.Event()
+
+    def sample():
+        before = read()
+        while not stop.wait(every_s):
+            now = read()
+            samples.append([1 - (b[1] - a[1]) / max(1, b[0] - a[0]) for a, b in zip(before, now)])
+            before = now
+
+    thread = threading.Thread(target=sample, daemon=True)
+    thread.start()
+    try:
+        result = work()
+    finally:
+        stop.set()
+        thread.join()
+    return samples, result
+
+
+def tier_overhead(in_memory_s: float, with_tier_s: float) -> float:
+    """Percent that the cold tier adds to a run."""
+    return 100.0 * (with_tier_s - in_memory_s) / in_memory_s
+
+
 def storage_bytes(spark: SparkSession, path: str) -> int:
     p = spark._jvm.org.apache.hadoop.fs.Path(path)
     return p.getFileSystem(spark._jsc.hadoopConfiguration()).getContentSummary(p).getLength()

@@ -7,11 +7,15 @@ from functools import reduce
 from pyspark.sql import Column, DataFrame, functions as F
 
 from flowmatch.functions.rules import Rule, bit, label_rule, local_masks
-from flowmatch.operators import index as ix
-from flowmatch.operators.enumeration import Chain, Semantics, delta, enumerate_all, homomorphism, matches
+from flowmatch.operators.enumeration import Chain, Semantics, enumerate_all, live_delta, matches
+from flowmatch.operators.maintain import maintain, open_index
 from flowmatch.operators.semantics import parallel_collapsed
 from flowmatch.plans.pattern import Pattern
-from flowmatch.plans.planner import Plan, compile_plan, temporal_pairs
+from flowmatch.plans.planner import Plan, temporal_pairs
+from flowmatch.sources.storage import stored
+from flowmatch.sources.views import EDGE
+
+LIST = 4096  # children in a row of a candidate list
 
 
 def brute_force(edges: DataFrame, pattern: Pattern, semantics: Semantics, rule: Rule = label_rule) -> DataFrame:
@@ -30,41 +34,59 @@ def brute_force(edges: DataFrame, pattern: Pattern, semantics: Semantics, rule:
     return chain.result()
 
 
-def pair_state(edges: DataFrame, plan: Plan, is_new: Column, semantics: Semantics, rule: Rule = label_rule, batched: bool = True, keep=lambda df: df) -> DataFrame:
-    """Pair-level data-centric index: parallel edges are one, of state 0 (none), 1 (reached) or 2 (reached and complete).
+def collapse_batch(seen: DataFrame | None, batch: DataFrame) -> DataFrame:
+    """The edges of a batch that bring a (src, dst, label) not seen before, the oldest of each."""
+    new = parallel_collapsed(batch).drop("multiplicity")
+    return new if seen is None else new.join(seen.select("src", "dst", "label"), ["src", "dst", "label"], "left_anti").select(new.columns)
+
 
-    Gives the embeddings over pairs that the new edges bring, with ``pair_multiplicity``, the number of edge embeddings each
-    stands for (in which its false reports hide).  Unless ``batched``, new edges enter one at a time, as published.
+class PairIndex:
+    """Pair-level data-centric index: parallel edges are one, and each pair is, per query edge, of state 0 (none), 1 (reached from a
+    root) or 2 (reached, with its subtree).
+
+    ``updates`` brings edges one at a time, as published: each explores down and up from its own pair, and is enumerated by
+    itself.  ``update`` brings a batch at once, which tells what batching alone is worth.  What comes out are embeddings over
+    pairs; ``pair_multiplicity`` counts the edge embeddings each stands for, in which its false reports hide.
     """
-    def once(graph: DataFrame, fresh: Column) -> DataFrame:
-        flat = parallel_collapsed(graph)
-        old = graph.where(~fresh).select("src", "dst", "label").distinct().withColumn("seen", F.lit(True))
-        flat = keep(flat.join(old, ["src", "dst", "label"], "left").withColumn("fresh", F.col("seen").isNull()).drop("seen"))
-        index = ix.build_index(flat, plan, rule, keep=keep)
-        live = keep(index.marked().withColumn("fresh", F.col("fresh")))
-        of = {e.name: live.where(bit("live_mask", i)) for i, e in enumerate(plan.pattern.edges)}
-        rows = delta(live, F.col("fresh"), plan, semantics, rule, of=of)
-        many = live.select("edge_id", "multiplicity")
-        for e in plan.pattern.edges:
+
+    def __init__(self, edges: DataFrame, plan: Plan, semantics: Semantics, rule: Rule = label_rule, keep=stored):
+        self.plan, self.semantics, self.rule, self.keep = plan, semantics, rule, keep
+        self.raw = keep(edges.select(*EDGE))
+        self.index = open_index(parallel_collapsed(self.raw).select(*EDGE), plan, rule, "two_pass", keep)
+        self.batch = 0
+
+    def update(self, edges: DataFrame) -> DataFrame:
+        """The pair embeddings that the edges bring."""
+        self.batch += 1
+        new = self.keep(collapse_batch(self.raw, edges.select(*EDGE)).select(*EDGE))
+        self.raw = self.keep(self.raw.unionByName(edges.select(*EDGE)))
+        self.index = maintain(self.index, inserts=new, batch=self.batch, keep=self.keep)
+        rows = self.keep(live_delta(self.index.live(), F.col("born") == self.batch, self.plan, self.semantics, mask="live_mask"))
+        many = parallel_collapsed(self.raw).select("edge_id", "multiplicity")
+        for e in self.plan.pattern.edges:
             rows = rows.join(many.select(F.col("edge_id").alias(f"e_{e.name}"), F.col("multiplicity").alias(f"m_{e.name}")), f"e_{e.name}")
-        names = [f"m_{e.name}" for e in plan.pattern.edges]
+        names = [f"m_{e.name}" for e in self.plan.pattern.edges]
         return rows.withColumn("pair_multiplicity", reduce(lambda a, b: a * b, [F.col(n) for n in names])).drop(*names, "start")
 
-    if batched:
-        return once(edges, is_new)
-    out = None
-    # One edge at a time is the baseline's definition; the loop is for a few hundred updates.
-    for k in [r.edge_id for r in edges.where(is_new).select("edge_id").orderBy("edge_id").collect()]:
-        part = keep(once(edges.where(~is_new | (F.col("edge_id") <= k)), F.col("edge_id") == k))
-        out = part if out is None else out.unionByName(part)
-    return out if out is not None else once(edges, is_new)
+    def updates(self, edges: DataFrame) -> DataFrame:
+        """One edge at a time: a loop over the updates, which is the baseline's definition, for a few hundred of them."""
+        out = None
+        for r in edges.select("edge_id").orderBy("edge_id").toLocalIterator():
+            part = self.keep(self.update(edges.where(F.col("edge_id") == r.edge_id)))
+            out = part if out is None else out.unionByName(part)
+        return out if out is not None else self.update(edges)
 
+    def states(self) -> DataFrame:
+        """(src, dst, label, qedge, state) of the pairs with a state over 0."""
+        state = lambda i: F.when(bit("live_mask", i), 2).when(bit("reach_mask", i), 1).otherwise(0)
+        each = F.array(*[F.struct(F.lit(e.name).alias("qedge"), state(i).alias("state")) for i, e in enumerate(self.plan.pattern.edges)])
+        return self.index.edges.view().select("src", "dst", "label", F.explode(each).alias("x")).select("src", "dst", "label", "x.qedge", "x.state").where("state > 0")
 
-def pair_states(edges: DataFrame, plan: Plan, rule: Rule = label_rule) -> DataFrame:
-    """(src, dst, label, qedge, state) of the pair index: 1 reached from a root, 2 with its subtree."""
-    marked = ix.build_index(parallel_collapsed(edges), plan, rule, passes="two_pass").marked()
-    state = lambda i: F.when(bit("live_mask", i), 2).when(bit("reach_mask", i), 1).otherwise(0)
-    return marked.select("src", "dst", "label", F.explode(F.array(*[F.struct(F.lit(e.name).alias("qedge"), state(i).alias("state")) for i, e in enumerate(plan.pattern.edges)])).alias("x")).select("src", "dst", "label", "x.qedge", "x.state").where("state > 0")
+
+def pair_state(edges: DataFrame, plan: Plan, is_new: Column, semantics: Semantics, rule: Rule = label_rule, batched: bool = True, keep=stored) -> DataFrame:
+    """The pair embeddings that the new edges bring to the graph of the old ones."""
+    index = PairIndex(edges.where(~is_new), plan, semantics, rule, keep)
+    return (index.update if batched else index.updates)(edges.where(is_new))
 
 
 def audit_context(by_pair: DataFrame, by_event: DataFrame, vertices: list[str]) -> DataFrame:
@@ -144,12 +166,15 @@ def _intersect(rows: DataFrame, atoms: list, of: dict[str, DataFrame]) -> DataFr
 
 
 def candidate_store(edges: DataFrame, plan: Plan, rule: Rule = label_rule) -> dict[str, DataFrame]:
-    """Query-centric store: per tree edge, a row for each parent match with the list of its children."""
+    """Query-centric store: per tree edge, a row for each parent match with the list of its children; a hub's list goes on in rows of about ``LIST``."""
     marked = local_masks(edges, plan.pattern, rule)
     out = {}
     for t in plan.tree.edges:
         p, c = ("src", "dst") if t.forward else ("dst", "src")
-        out[t.edge.name] = marked.where(bit("local_mask", plan.tree.bit(t))).groupBy(F.col(p).alias("parent")).agg(F.collect_list(F.struct(F.col(c).alias("child"), "edge_id", "ts")).alias("children"))
+        own = marked.where(bit("local_mask", plan.tree.bit(t))).select(F.col(p).alias("parent"), F.struct(F.col(c).alias("child"), "edge_id", "ts").alias("x"))
+        rows = own.groupBy("parent").agg(F.ceil(F.count("*") / LIST).alias("lists"))
+        dealt = own.join(rows, "parent").withColumn("part", F.pmod(F.xxhash64("x.edge_id"), F.col("lists")))
+        out[t.edge.name] = dealt.groupBy("parent", "part").agg(F.collect_list("x").alias("children")).select("parent", "children")
     return out
 
 
@@ -166,18 +191,56 @@ def static_recompute(edges: DataFrame, plan: Plan, semantics: Semantics, rule: R
     return enumerate_all(edges, plan.pattern, semantics, plan, rule, of)
 
 
-def match_store(edges: DataFrame, pattern: Pattern, within: int | None = None, rule: Rule = label_rule, keep=lambda df: df) -> list[DataFrame]:
-    """Stored partial matches for time-constrained patterns: a table for each prefix of the edges in time order, the last holds the answers."""
-    timed = sorted(pattern.edges, key=lambda e: e.time)
-    semantics = Semantics(pairs=tuple(temporal_pairs(pattern)), within=within)
-    chain, tables = Chain(pattern, semantics), []
-    for e in timed:
-        if chain.bound and not e.ends() & chain.bound:
-            raise ValueError("each edge must touch an earlier one, in time order")
-        chain = chain.extend(matches(edges, e, pattern, rule), e.name)
-        chain.rows = keep(chain.rows)
-        tables.append(chain.result())
-    return tables
+def static_snapshots(edges: DataFrame, plan: Plan, semantics: Semantics, times: list[int], window: int, rule: Rule = label_rule) -> DataFrame:
+    """All embeddings of each snapshot of a sliding window, with ``snapshot_id``, the place in ``times``: a store from scratch and no deltas, snapshot by snapshot."""
+    parts = []
+    for k, now in enumerate(times):
+        inside = edges.where((F.col("ts") > now - window) & (F.col("ts") <= now))
+        parts.append(static_recompute(inside, plan, semantics, rule).withColumn("snapshot_id", F.lit(k).cast("long")))
+    return reduce(lambda a, b: a.unionByName(b), parts)
+
+
+class MatchStore:
+    """Stored partial matches for time-constrained patterns: a table for each prefix of the query edges in time order.
+
+    Edges come in time order, so a new one can only be the last of a prefix: a batch extends the stored prefixes, and those
+    that it makes itself, by its edges.  Rows whose first edge has left the window are dropped; the last table's new rows are
+    the answers.  The tables are written, so their sum is what the method stores.
+    """
+
+    def __init__(self, pattern: Pattern, within: int, rule: Rule = label_rule, keep=stored):
+        self.order = sorted(pattern.edges, key=lambda e: e.time)
+        bound: set[str] = set()
+        for e in self.order:
+            if bound and not e.ends() & bound:
+                raise ValueError("each edge must touch an earlier one, in time order")
+            bound |= e.ends()
+        self.pattern, self.within, self.rule, self.keep = pattern, within, rule, keep
+        self.semantics = Semantics(pairs=tuple(temporal_pairs(pattern)), within=within)
+        self.tables: list[DataFrame | None] = [None] * len(self.order)
+
+    def update(self, batch: DataFrame) -> DataFrame:
+        """The embeddings that a batch completes."""
+        now = batch.agg(F.max("ts")).first()[0]
+        chain, grown = Chain(self.pattern, self.semantics), None
+        for i, e in enumerate(self.order):
+            start = None
+            if i:
+                held = self.tables[i - 1]
+                start = grown if held is None else held.unionByName(grown.select(held.columns))
+            chain = Chain(self.pattern, self.semantics, start, chain.bound, chain.done).extend(matches(batch, e, self.pattern, self.rule), e.name)
+            if i:
+                self._store(i - 1, grown, now)
+            grown = self.keep(chain.rows)
+        return chain.semantics.finish(grown)
+
+    def _store(self, i: int, grown: DataFrame, now: int | None) -> None:
+        first = F.col(f"t_{self.order[0].name}")
+        rows = grown if self.tables[i] is None else self.tables[i].unionByName(grown.select(self.tables[i].columns))
+        self.tables[i] = self.keep(rows if now is None else rows.where(first >= now - self.within))
+
+    def stored_rows(self) -> int:
+        return sum(t.count() for t in self.tables if t is not None)
 
 
 def candidate_list(edges: DataFrame, plan: Plan, rule: Rule = label_rule) -> DataFrame:
@@ -209,7 +272,3 @@ def enumerate_from_list(edges: DataFrame, plan: Plan, semantics: Semantics, rule
             rows = rows.join(held.where(F.col("qvertex") == n).select(F.col("vid").alias(end)), end, "left_semi")
         of[e.name] = rows.select("edge_id", "src", "dst", "ts")
     return enumerate_all(edges, plan.pattern, semantics, plan, rule, of)
-
-
-def default_plan(pattern: Pattern) -> Plan:
-    return compile_plan(pattern, profile=homomorphism().profile)

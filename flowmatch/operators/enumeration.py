@@ -7,7 +7,7 @@ cycle closes by an equi-join on both ends that lists every parallel edge.
 
 from __future__ import annotations
 
-from dataclasses import dataclass, field
+from dataclasses import dataclass, field, replace
 from functools import reduce
 
 from pyspark.sql import Column, DataFrame, functions as F
@@ -17,8 +17,35 @@ from flowmatch.plans.pattern import Pattern, QueryEdge, symmetry_breaking
 from flowmatch.plans.planner import Plan, batch_masks, closed, compile_plan, order_from, temporal_pairs
 
 
+class Expander:
+    """How embeddings grow: the user's second function, beside the edge rule.  Every hook has a neutral default.
+
+    ``start`` may change the candidates of the first edge; ``extend_condition`` gives the tests that a newly bound edge makes
+    decidable, over columns v_, e_ and (for the edges that ``times`` names) t_; ``finish`` may drop or change whole rows;
+    ``reduce`` sees all rows of a result, once.
+    """
+
+    profile = "none"  # of the degree filter: "injective", "existence" or "none"
+
+    def times(self, pattern: Pattern) -> set[str]:
+        return set()
+
+    def start(self, candidates: DataFrame, edge: QueryEdge) -> DataFrame:
+        return candidates
+
+    def extend_condition(self, pattern: Pattern, bound: set[str], done: list[str], edge: QueryEdge, fresh: list[str]) -> list[Column]:
+        """``bound`` vertices and ``done`` edges before; ``edge`` is bound now, and the vertices ``fresh`` with it."""
+        return []
+
+    def finish(self, rows: DataFrame) -> DataFrame:
+        return rows
+
+    def reduce(self, rows: DataFrame) -> DataFrame:
+        return rows
+
+
 @dataclass(frozen=True)
-class Semantics:
+class Semantics(Expander):
     """What makes a row of matching edges an embedding."""
 
     injective: bool = True
@@ -34,6 +61,23 @@ class Semantics:
     def times(self, pattern: Pattern) -> set[str]:
         return {e.name for e in pattern.edges} if self.within is not None else {x for p in self.pairs for x in p}
 
+    def extend_condition(self, pattern: Pattern, bound: set[str], done: list[str], edge: QueryEdge, fresh: list[str]) -> list[Column]:
+        p, tests = pattern, []
+        v = lambda n: F.col(f"v_{n}")
+        t = lambda n: F.col(f"t_{n}")
+        after = bound | {edge.src, edge.dst}
+        if self.injective:
+            for a in fresh:
+                others = bound | set(fresh[: fresh.index(a)])
+                tests += [v(a) != v(b) for b in sorted(others) if p.vertex(a).label is None or p.vertex(b).label in (None, p.vertex(a).label)]
+            tests += [F.col(f"e_{edge.name}") != F.col(f"e_{d}") for d in done if p.edge(d).ends() == edge.ends()]
+        tests += [v(a) < v(b) for a, b in self.symmetry if {a, b} <= after and {a, b} & set(fresh)]
+        now = [*done, edge.name]
+        tests += [t(a) < t(b) if self.strict else t(a) <= t(b) for a, b in self.pairs if edge.name in (a, b) and a in now and b in now]
+        if self.within is not None and done:
+            tests += [F.abs(t(edge.name) - t(d)) <= self.within for d in done]
+        return tests
+
 
 def isomorphism(pattern: Pattern | None = None, symmetry: bool = False) -> Semantics:
     return Semantics(symmetry=tuple(symmetry_breaking(pattern)) if symmetry else ())
@@ -58,47 +102,58 @@ def side(edges: DataFrame, edge: QueryEdge, timed: bool) -> DataFrame:
     return one.unionByName(edges.where("src <> dst").select(F.col("dst").alias(f"v_{edge.src}"), F.col("src").alias(f"v_{edge.dst}"), *columns))
 
 
+@dataclass(frozen=True)
+class Hubs:
+    """Vertices whose edges are spread in joins: their edges get one of ``salts`` salts, the rows that bind them all of them."""
+
+    ids: DataFrame  # (hub), written, so that its size is known
+    salts: int = 16
+
+
+def find_hubs(edges: DataFrame, over: int, salts: int = 16, keep=lambda df: df) -> Hubs:
+    """Vertices with more than ``over`` edges on either side; there are at most 2 E / ``over``."""
+    ends = edges.select(F.col("src").alias("hub")).unionByName(edges.select((-F.col("dst") - 1).alias("hub")))
+    many = ends.groupBy("hub").count().where(F.col("count") > over)
+    return Hubs(keep(many.select(F.when(F.col("hub") < 0, -F.col("hub") - 1).otherwise(F.col("hub")).alias("hub")).distinct()), salts)
+
+
+def salted_join(rows: DataFrame, new: DataFrame, keys: list[str], hubs: Hubs) -> DataFrame:
+    """``rows.join(new, keys)`` in which no hub of the first key lands in one task."""
+    key, n = keys[0], hubs.salts
+    is_hub = hubs.ids.select(F.col("hub").alias(key), F.lit(True).alias("is_hub"))
+    edge = next(c for c in new.columns if c.startswith("e_"))
+    dealt = new.join(is_hub, key, "left").withColumn("salt", F.when(F.col("is_hub"), F.pmod(F.xxhash64(edge), F.lit(n))).otherwise(0).cast("int")).drop("is_hub")
+    spread = F.when(F.col("is_hub"), F.sequence(F.lit(0), F.lit(n - 1))).otherwise(F.array(F.lit(0)))
+    return rows.join(is_hub, key, "left").withColumn("salt", F.explode(spread)).drop("is_hub").join(dealt, [*keys, "salt"]).drop("salt")
+
+
 @dataclass
 class Chain:
     """A chain under way: the rows so far, and which query vertices and edges they bind."""
 
     pattern: Pattern
-    semantics: Semantics
+    semantics: Expander
     rows: DataFrame | None = None
     bound: set[str] = field(default_factory=set)
     done: list[str] = field(default_factory=list)
+    hubs: Hubs | None = None
 
     def extend(self, matches: DataFrame, name: str) -> Chain:
         """Joins the matches of one query edge and at once applies every condition that it makes decidable."""
         edge = self.pattern.edge(name)
         timed = name in self.semantics.times(self.pattern)
-        new = side(matches, edge, timed)
+        new = side(matches if self.rows is not None else self.semantics.start(matches, edge), edge, timed)
         ends = list(dict.fromkeys((edge.src, edge.dst)))
-        rows = new if self.rows is None else self.rows.join(new, [f"v_{v}" for v in ends if v in self.bound])
-        tests = self._tests(edge, [v for v in ends if v not in self.bound], timed)
+        on = [f"v_{v}" for v in ends if v in self.bound]
+        rows = new if self.rows is None else salted_join(self.rows, new, on, self.hubs) if self.hubs else self.rows.join(new, on)
+        tests = self.semantics.extend_condition(self.pattern, self.bound, self.done, edge, [v for v in ends if v not in self.bound])
         if tests:
             rows = rows.where(reduce(lambda a, b: a & b, tests))
-        return Chain(self.pattern, self.semantics, rows, self.bound | set(ends), [*self.done, name])
-
-    def _tests(self, edge: QueryEdge, fresh: list[str], timed: bool) -> list[Column]:
-        s, p, tests = self.semantics, self.pattern, []
-        v = lambda n: F.col(f"v_{n}")
-        t = lambda n: F.col(f"t_{n}")
-        after = self.bound | {edge.src, edge.dst}
-        if s.injective:
-            for a in fresh:
-                others = self.bound | set(fresh[: fresh.index(a)])
-                tests += [v(a) != v(b) for b in sorted(others) if p.vertex(a).label is None or p.vertex(b).label in (None, p.vertex(a).label)]
-            tests += [F.col(f"e_{edge.name}") != F.col(f"e_{d}") for d in self.done if p.edge(d).ends() == edge.ends()]
-        tests += [v(a) < v(b) for a, b in s.symmetry if {a, b} <= after and {a, b} & set(fresh)]
-        done = [*self.done, edge.name]
-        tests += [t(a) < t(b) if s.strict else t(a) <= t(b) for a, b in s.pairs if edge.name in (a, b) and a in done and b in done]
-        if s.within is not None and self.done:
-            tests += [F.abs(t(edge.name) - t(d)) <= s.within for d in self.done]
-        return tests
+        return Chain(self.pattern, self.semantics, rows, self.bound | set(ends), [*self.done, name], self.hubs)
 
     def result(self) -> DataFrame:
-        return self.rows.select(*[f"v_{x.name}" for x in self.pattern.vertices if x.name in self.bound], *[f"e_{e.name}" for e in self.pattern.edges if e.name in self.done], *[f"t_{n}" for n in self.done if n in self.semantics.times(self.pattern)])
+        rows = self.rows.select(*[f"v_{x.name}" for x in self.pattern.vertices if x.name in self.bound], *[f"e_{e.name}" for e in self.pattern.edges if e.name in self.done], *[f"t_{n}" for n in self.done if n in self.semantics.times(self.pattern)])
+        return self.semantics.finish(rows)
 
 
 def matches(edges: DataFrame, edge: QueryEdge, pattern: Pattern, rule: Rule = label_rule) -> DataFrame:
@@ -106,13 +161,32 @@ def matches(edges: DataFrame, edge: QueryEdge, pattern: Pattern, rule: Rule = la
     return edges.where(rule(edge, pattern)).select("edge_id", "src", "dst", "ts")
 
 
-def enumerate_all(edges: DataFrame, pattern: Pattern, semantics: Semantics, plan: Plan | None = None, rule: Rule = label_rule, of: dict[str, DataFrame] | None = None) -> DataFrame:
-    """All embeddings in a graph.  ``of``: candidate edges by query edge, as an index leaves them, instead of the rule."""
+def enumerate_all(edges: DataFrame, pattern: Pattern, semantics: Expander, plan: Plan | None = None, rule: Rule = label_rule, of: dict[str, DataFrame] | None = None, hubs: Hubs | None = None, limit: int | None = None) -> DataFrame:
+    """All embeddings in a graph.  ``of``: candidate edges by query edge, as an index leaves them, instead of the rule; ``limit``: so many at most."""
     plan = plan or compile_plan(pattern)
-    chain = Chain(plan.pattern, semantics)
+    chain = Chain(plan.pattern, semantics, hubs=hubs)
     for name in plan.order:
         chain = chain.extend(of[name] if of else matches(edges, plan.pattern.edge(name), pattern, rule), name)
-    return chain.result()
+    rows = semantics.reduce(chain.result())
+    return rows if limit is None else rows.limit(limit)
+
+
+def existing(edges: DataFrame, pattern: Pattern, root: str, rule: Rule = label_rule) -> DataFrame:
+    """(v_root) of the vertices at which a homomorphic match of a tree pattern hangs: semi-joins from the leaves up, no rows multiply."""
+    tree = compile_plan(pattern, root=root).tree
+    if tree.rest:
+        raise ValueError("only for tree patterns")
+
+    def below(vertex: str) -> DataFrame | None:
+        found = None
+        for t in tree.kids(vertex):
+            own = matches(edges, t.edge, pattern, rule).select(F.col("src" if t.forward else "dst").alias(f"v_{vertex}"), F.col("dst" if t.forward else "src").alias(f"v_{t.child}"))
+            deeper = below(t.child)
+            own = (own if deeper is None else own.join(deeper, f"v_{t.child}", "left_semi")).select(f"v_{vertex}")
+            found = own if found is None else found.join(own, f"v_{vertex}", "left_semi")
+        return found
+
+    return below(root).distinct()
 
 
 def start_order(plan: Plan, start: str) -> list[str]:
@@ -131,7 +205,7 @@ def start_order(plan: Plan, start: str) -> list[str]:
     return out
 
 
-def delta(all_edges: DataFrame, is_new: Column, plan: Plan, semantics: Semantics, rule: Rule = label_rule, orientation: str = "earlier_old", dedup: str = "mask", of: dict[str, DataFrame] | None = None, starts: list[str] | None = None) -> DataFrame:
+def delta(all_edges: DataFrame, is_new: Column, plan: Plan, semantics: Expander, rule: Rule = label_rule, orientation: str = "earlier_old", dedup: str = "mask", of: dict[str, DataFrame] | None = None, starts: list[str] | None = None) -> DataFrame:
     """Embeddings that use at least one edge for which ``is_new`` holds, each once; column ``start`` tells by which edge it was found.
 
     ``all_edges``: the graph with the batch in it (for losses: the graph before the deletes, the dying edges being the new
@@ -151,11 +225,11 @@ def delta(all_edges: DataFrame, is_new: Column, plan: Plan, semantics: Semantics
                 side_ = side_.where(~is_new)
             chain = chain.extend(side_.select("edge_id", "src", "dst", "ts"), name)
         found.append(chain.result().withColumn("start", F.lit(start)))
-    out = reduce(lambda a, b: a.unionByName(b), found)
+    out = semantics.reduce(reduce(lambda a, b: a.unionByName(b), found))
     return out.dropDuplicates([f"e_{e.name}" for e in plan.pattern.edges]) if dedup == "distinct" else out
 
 
-def newest(edges: DataFrame, pattern: Pattern, semantics: Semantics, batch: Column, plan: Plan | None = None, rule: Rule = label_rule) -> DataFrame:
+def newest(edges: DataFrame, pattern: Pattern, semantics: Expander, batch: Column, plan: Plan | None = None, rule: Rule = label_rule) -> DataFrame:
     """All insert-only deltas of a history in one plan: an embedding is born in the latest batch of its edges, ``snapshot_id``."""
     plan = plan or compile_plan(pattern)
     ids = edges.select("edge_id", batch.alias("b"))
@@ -166,13 +240,19 @@ def newest(edges: DataFrame, pattern: Pattern, semantics: Semantics, batch: Colu
     return rows.withColumn("snapshot_id", F.greatest(*names) if len(names) > 1 else F.col(names[0])).drop(*names)
 
 
-def live_delta(masked: DataFrame, is_new: Column, plan: Plan, semantics: Semantics, orientation: str = "earlier_old") -> DataFrame:
-    """:func:`delta` on edges with ``local_mask``, read once per query edge by its bit; starts for which the batch has no edge are left out."""
+def live_delta(masked: DataFrame, is_new: Column, plan: Plan, semantics: Expander, orientation: str = "earlier_old", dedup: str = "mask", mask: str = "local_mask") -> DataFrame:
+    """:func:`delta` on edges with a mask (of local matches, or of live bits), read once per query edge by its bit; starts for which the batch has no edge are left out."""
     names = [e.name for e in plan.pattern.edges]
-    hit = masked.where(is_new).agg(F.coalesce(F.bit_or("local_mask"), F.lit(0)).alias("m")).first().m
+    hit = masked.where(is_new).agg(F.coalesce(F.bit_or(mask), F.lit(0)).alias("m")).first().m
     starts = [s for s in plan.starts() if hit >> names.index(s) & 1] or plan.starts()[:1]
-    of = {n: masked.where(F.getbit("local_mask", F.lit(i)) == 1) for i, n in enumerate(names)}
-    return delta(masked, is_new, plan, semantics, orientation=orientation, of=of, starts=starts)
+    of = {n: masked.where(F.getbit(mask, F.lit(i)) == 1) for i, n in enumerate(names)}
+    return delta(masked, is_new, plan, semantics, orientation=orientation, dedup=dedup, of=of, starts=starts)
+
+
+def work_units(marked: DataFrame, is_new: Column, plan: Plan, mask: str = "live_mask") -> DataFrame:
+    """(edge_id, start): one unit of enumeration for each new edge and set bit."""
+    names = [F.when(F.getbit(mask, F.lit(i)) == 1, F.lit(e.name)) for i, e in enumerate(plan.pattern.edges)]
+    return marked.where(is_new).select("edge_id", F.explode(F.array_compact(F.array(*names))).alias("start"))
 
 
 def apply_delta(current: DataFrame, gained: DataFrame, lost: DataFrame) -> DataFrame:
@@ -187,6 +267,30 @@ def emit(rows: DataFrame, snapshot_id: int | Column, sign: int) -> DataFrame:
     return rows.select(snap.alias("snapshot_id"), F.lit(sign).cast("tinyint").alias("sign"), *[c for c in rows.columns if c[:2] in ("v_", "e_")])
 
 
+def save_embeddings(rows: DataFrame, path: str, mode: str = "append") -> None:
+    """Emitted rows to Parquet, a folder for each snapshot and sign."""
+    rows.write.mode(mode).partitionBy("snapshot_id", "sign").parquet(path)
+
+
+def mislabelled(edges: DataFrame, pattern: Pattern, semantics: Expander, max_cost: int) -> DataFrame:
+    """Embeddings in which at most ``max_cost`` edges have another label than asked for; column ``cost`` counts them.
+
+    A query edge whose label is missed costs one; end types and predicates still hold.  The cost so far is tested at
+    every join.
+    """
+    plan = compile_plan(pattern, profile=semantics.profile)
+    chain, cost = Chain(plan.pattern, semantics), F.lit(0)
+    for name in plan.order:
+        e = plan.pattern.edge(name)
+        anyhow = replace(e, labels=())
+        wrong = edges.where(label_rule(anyhow, pattern)).withColumn("miss", F.when(label_rule(e, pattern), 0).otherwise(1))
+        chain = chain.extend(wrong.select("edge_id", "src", "dst", "ts"), name)
+        chain.rows = chain.rows.join(wrong.select(F.col("edge_id").alias(f"e_{name}"), F.col("miss").alias(f"miss_{name}")), f"e_{name}")
+        cost = cost + F.col(f"miss_{name}")
+        chain.rows = chain.rows.where(cost <= max_cost)
+    return chain.rows.withColumn("cost", cost).select(*[f"v_{v.name}" for v in plan.pattern.vertices], *[f"e_{e.name}" for e in plan.pattern.edges], "cost")
+
+
 def alternatives(edges: DataFrame, pattern: Pattern, semantics: Semantics, max_missing: int, rule: Rule = label_rule) -> DataFrame:
     """Embeddings that lack at most ``max_missing`` of the optional edges; column ``missing`` counts them.
 

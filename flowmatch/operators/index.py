@@ -32,9 +32,9 @@ class Index:
         """The edges with reach_mask and live_mask; bit i is query edge i.  Bits of non-tree edges hold the local match alone."""
         return edge_masks(self.edges, self.vertices, self.plan.tree, self.passes)
 
-    def candidates(self) -> dict[str, DataFrame]:
-        """Live edges by query edge, for enumeration."""
-        m = self.marked()
+    def candidates(self, keep=lambda df: df) -> dict[str, DataFrame]:
+        """Live edges by query edge, for enumeration; ``keep`` writes the marked edges, so that they are marked once."""
+        m = keep(self.marked().where("live_mask <> 0"))
         return {e.name: m.where(bit("live_mask", i)) for i, e in enumerate(self.plan.pattern.edges)}
 
     def roots(self) -> DataFrame:

@@ -4,125 +4,213 @@ The strata are deg, top, sub, ok, in that order, each a function of earlier ones
 A batch touches the ends of its edges; a stratum is recomputed for the touched vertices and for those that an arc joins
 to a vertex whose bits changed one level before.  Each is recomputed from all arcs it depends on, so no support is
 counted twice and inserts and deletes are treated alike; the result equals a rebuild.
+
+Vertices and edges are tables with an overlay.  A batch reads edges by semi-joins with small written sets of ids, writes
+the vertices and edges whose bits changed, and no others; a level whose set adds no change passes nothing on.
 """
 
 from __future__ import annotations
 
+from collections.abc import Callable
+from dataclasses import dataclass, field
 from functools import reduce
 
-from pyspark.sql import DataFrame, functions as F
+from pyspark.sql import Column, DataFrame, functions as F
 
-from flowmatch.functions.rules import Rule, label_rule, local_masks
+from flowmatch.functions.rules import Rule, bit, label_rule, local_masks
 from flowmatch.operators import index as ix
-from flowmatch.operators.index import Index
 from flowmatch.plans.planner import Plan
+from flowmatch.sources.storage import DeltaTable, stored
+
+Keep = Callable[[DataFrame], DataFrame]
+
+
+@dataclass
+class LiveIndex:
+    """The index under a stream.  ``edges``: those that match some query edge, with local_mask, reach_mask, live_mask and ``born``, the
+    batch that brought them; ``vertices``: vid, vtype, deg, top, sub, ok."""
+
+    plan: Plan
+    edges: DeltaTable
+    vertices: DeltaTable
+    passes: str = "fixpoint"
+    rule: Rule = label_rule
+    work: dict = field(default_factory=dict)  # of the last batch: vertices touched, vertices and edges with new masks
+
+    def live(self, column: str = "live_mask") -> DataFrame:
+        return self.edges.view().where(f"{column} <> 0")
+
+    def candidates(self) -> dict[str, DataFrame]:
+        rows = self.live()
+        return {e.name: rows.where(bit("live_mask", i)) for i, e in enumerate(self.plan.pattern.edges)}
+
+    def roots(self) -> DataFrame:
+        return self.vertices.view().where(bit("ok", self.plan.pattern.bit(self.plan.tree.root))).select("vid")
+
+
+def open_index(edges: DataFrame, plan: Plan, rule: Rule = label_rule, passes: str = "fixpoint", keep: Keep = stored, born: int = -1, share: float = 0.25) -> LiveIndex:
+    """From scratch, for the initial graph or at a reset.  A column ``born`` of the edges is kept."""
+    near = keep(local_masks(edges, plan.pattern, rule).where("local_mask <> 0"))
+    index = ix.build_index(near, plan, rule, passes, keep)
+    marked = index.marked()
+    marked = marked if "born" in marked.columns else marked.withColumn("born", F.lit(born).cast("long"))
+    return LiveIndex(plan, DeltaTable(keep(marked), "edge_id", share=share), DeltaTable(keep(index.vertices), "vid", share=share), passes, rule)
+
+
+def _union(*sets: DataFrame | None) -> DataFrame:
+    return reduce(lambda a, b: a.unionByName(b), [s for s in sets if s is not None]).distinct()
 
 
 def touched(batch: DataFrame) -> DataFrame:
-    return batch.select(F.col("src").alias("vid")).unionByName(batch.select(F.col("dst").alias("vid"))).distinct()
+    return _union(batch.select(F.col("src").alias("vid")), batch.select(F.col("dst").alias("vid")))
+
+
+def _at(rows: DataFrame, ids: DataFrame, end: str) -> DataFrame:
+    return rows.join(ids.select(F.col("vid").alias(end)), end, "left_semi").select(rows.columns)
 
 
-def _replace(state: DataFrame, part: DataFrame) -> DataFrame:
-    """The state with the rows of ``part`` in place of its own."""
-    return state.join(part.select("vid"), "vid", "left_anti").unionByName(part.select(state.columns))
+def _incident(edges: DataFrame, ids: DataFrame) -> DataFrame:
+    """Edges with an end among the ids, each once."""
+    return _at(edges, ids, "src").unionByName(_at(edges, ids, "dst").join(ids.select(F.col("vid").alias("src")), "src", "left_anti").select(edges.columns))
 
 
-def _changed(old: DataFrame, new: DataFrame, column: str) -> DataFrame:
-    """Vertices whose mask differs; a vertex without a row has no bits."""
-    both = old.select("vid", F.col(column).alias("before")).join(new.select("vid", F.col(column).alias("now")), "vid", "full")
-    return both.where(F.coalesce("before", F.lit(0)) != F.coalesce("now", F.lit(0))).select("vid")
+class _States:
+    """Vertex states during a batch: those of the table, under what the batch has changed so far.
 
+    ``new`` holds every changed vertex once, with ``step``, the number of the last change, so a step writes one small table.
+    """
 
-def _union(*sets: DataFrame) -> DataFrame:
-    return reduce(lambda a, b: a.unionByName(b), sets).distinct()
+    def __init__(self, table: DeltaTable, keep: Keep):
+        self.old, self.keep, self.new, self.step = table.view(), keep, None, 0
+        self.columns = table.base.columns
 
+    def of(self, ids: DataFrame) -> DataFrame:
+        old = self.old.join(ids, "vid", "left_semi")
+        if self.new is None:
+            return old
+        return old.join(self.new.select("vid"), "vid", "left_anti").unionByName(self.new.drop("step").join(ids, "vid", "left_semi"))
 
-def _masked(state: DataFrame, column: str, bits: int) -> DataFrame:
-    return state.withColumn(column, F.col(column).bitwiseAND(F.lit(~bits & ((1 << 62) - 1)).cast("bigint")))
+    def put(self, rows: DataFrame) -> DataFrame | None:
+        """Takes over changed rows; returns their ids, or none if there are no rows."""
+        self.step += 1
+        rows = rows.select(*self.columns, F.lit(self.step).alias("step"))
+        if self.new is not None:
+            values = F.struct(*[c for c in self.columns if c != "vid"])
+            rows = self.new.unionByName(rows).groupBy("vid").agg(F.max_by(values, "step").alias("x"), F.max("step").alias("step")).select("vid", "x.*", "step")
+        self.new = self.keep(rows.select(*self.columns, "step"))
+        moved = self.new.where(F.col("step") == self.step).select("vid")
+        return None if moved.isEmpty() else moved
 
+    def settle(self, again: DataFrame, got: DataFrame | None, column: str, value: Column) -> DataFrame | None:
+        """Recomputes a mask of the given vertices; returns the ids of those that it changes, or none."""
+        rows = self.of(again)
+        rows = rows if got is None else rows.join(got, "vid", "left")
+        return self.put(rows.withColumn("next", value).where(F.col("next") != F.col(column)).withColumn(column, F.col("next")))
 
-def maintain(index: Index, inserts: DataFrame | None = None, deletes: DataFrame | None = None, rule: Rule = label_rule, keep=lambda df: df) -> Index:
-    """The index after a batch.  ``inserts``: edges; ``deletes``: rows with edge_id, src, dst.  ``keep`` writes and rereads a table, to cut lineage."""
+
+def _masked(column: str, bits: int) -> Column:
+    return F.col(column).bitwiseAND(F.lit(~bits & ((1 << 62) - 1)).cast("bigint"))
+
+
+def _bits(n: int) -> Column:
+    return F.lit(n).cast("bigint")
+
+
+def maintain(index: LiveIndex, inserts: DataFrame | None = None, deletes: DataFrame | None = None, batch: int = 0, keep: Keep = stored, cache: bool = True) -> LiveIndex:
+    """The index after a batch.  ``inserts``: edges; ``deletes``: rows with edge_id.  Edges that match no query edge change nothing.
+
+    With ``cache`` the edges that the levels read are held in executors' memory, else on their disks, while the batch runs;
+    without, each level reads them from the table again.
+    """
     plan, tree, at = index.plan, index.plan.tree, index.plan.pattern.bit
-    edges, ends = index.edges, []
+    before = index.edges.view()
+    columns = before.columns
+    fresh = gone = None
     if inserts is not None:
-        fresh = local_masks(inserts, plan.pattern, rule).select(edges.columns)
-        edges = edges.unionByName(fresh)
-        ends.append(touched(fresh))
+        new = local_masks(inserts, plan.pattern, index.rule).where("local_mask <> 0").withColumn("born", F.lit(batch).cast("long"))
+        fresh = keep(new.withColumns({"reach_mask": _bits(0), "live_mask": _bits(0)}).select(columns))
     if deletes is not None:
-        edges = edges.join(deletes.select("edge_id"), "edge_id", "left_anti").select(edges.columns)
-        ends.append(touched(deletes))
-    if not ends:
-        return index
-    edges = keep(edges)
-    hit = keep(_union(*ends))
-    near = edges.where("local_mask <> 0")
-    arc = ix.arcs(near, tree)
-    old = index.vertices
-
-    # deg: of the touched vertices only.
-    own = near.join(hit.withColumnRenamed("vid", "src"), "src", "left_semi").unionByName(near.join(hit.withColumnRenamed("vid", "dst"), "dst", "left_semi").join(hit.withColumnRenamed("vid", "src"), "src", "left_anti").select(near.columns))
-    part = ix.vertex_table(own).join(hit, "vid", "left_semi").join(ix.degree_masks(own, plan), "vid", "left")
-    part = part.withColumn("deg", F.coalesce("deg", F.lit(0)).cast("bigint").bitwiseAND(ix.type_mask(plan)))
-    carried = old.select("vid", "top", "sub", "ok")
-    part = part.join(carried, "vid", "left").fillna(0, ["top", "sub", "ok"])
-    state = keep(old.join(hit, "vid", "left_anti").unionByName(part.select(old.columns)))
+        gone = keep(before.join(deletes.select("edge_id").distinct(), "edge_id", "left_semi").select(columns))
+    changes = [x for x in (fresh, gone) if x is not None]
+    hit = keep(_union(*[touched(x) for x in changes])) if changes else None
+    n_hit = hit.count() if changes else 0
+    if not n_hit:
+        return LiveIndex(plan, index.edges, index.vertices, index.passes, index.rule, {"touched": 0, "vertices": 0, "edges": 0})
+    edges = before if gone is None else before.join(gone.select("edge_id"), "edge_id", "left_anti").select(columns)
+    edges = edges if fresh is None else edges.unionByName(fresh)
+    edges = edges.select(*[c for c in columns if c not in ("reach_mask", "live_mask")])
+    if cache:
+        edges = edges.persist()
+    arc = ix.arcs(edges, tree)
+    states = _States(index.vertices, keep)
+
+    def kids_of(ids):
+        return _at(arc, ids, "p").select(F.col("c").alias("vid"))
+
+    def parents_of(ids):
+        return _at(arc, ids, "c").select(F.col("p").alias("vid"))
+
+    # deg: of the touched vertices only, from all their edges.
+    own = _incident(edges, hit)
+    old = states.of(hit).select("vid", F.col("vtype").alias("old_type"), "top", "sub", "ok")
+    part = hit.join(ix.vertex_table(own), "vid", "left").join(ix.degree_masks(own, plan), "vid", "left").join(old, "vid", "left")
+    part = part.withColumn("vtype", F.coalesce("vtype", "old_type")).withColumn("deg", F.coalesce("deg", _bits(0)).bitwiseAND(F.coalesce(ix.type_mask(plan), _bits(0))))
+    part = part.fillna(0, ["top", "ok"]).withColumn("sub", F.coalesce("sub", _bits(ix.leaf_mask(tree))))
+    states.put(part)
 
     # top, level by level.
     root = 1 << at(tree.root)
-    moved = keep(state.join(hit, "vid", "left_semi").withColumn("top", F.col("top").bitwiseAND(F.lit(~root & ((1 << 62) - 1)).cast("bigint")).bitwiseOR(F.col("deg").bitwiseAND(F.lit(root).cast("bigint")))))
-    state = keep(_replace(state, moved))
-    risen = keep(_changed(old, state, "top"))
+    moved = states.settle(hit, None, "top", _masked("top", root).bitwiseOR(F.col("deg").bitwiseAND(_bits(root))))
+    risen = moved
     for k in range(1, tree.depth + 1):
         level = tree.level(k)
         bits = sum(1 << at(t.child) for t in level)
-        again = _union(hit, arc.join(risen.withColumnRenamed("vid", "p"), "p", "left_semi").select(F.col("c").alias("vid")))
-        part = _masked(state.join(again, "vid", "left_semi"), "top", bits)
-        got = ix.down(arc.join(again.withColumnRenamed("vid", "c"), "c", "left_semi").select(arc.columns), state, level, tree, "top")
-        part = keep(ix._with(part, got, "top", ix._got("top", F.col("deg").bitwiseAND(F.lit(bits).cast("bigint")))))
-        state = keep(_replace(state, part))
-        risen = keep(_changed(old, state, "top"))
+        again = keep(_union(hit, kids_of(moved) if moved is not None else None))
+        into = _at(arc, again, "c")
+        got = ix.down(into, states.of(into.select(F.col("p").alias("vid"))), level, tree, "top")
+        moved = states.settle(again, got, "top", _masked("top", bits).bitwiseOR(F.coalesce("got", _bits(0)).bitwiseAND(F.col("deg")).bitwiseAND(_bits(bits))))
+        risen = moved if risen is None else risen if moved is None else risen.unionByName(moved)
 
     # sub, from the deepest level up; it reads top of the children.
-    leaves = F.lit(ix.leaf_mask(tree)).cast("bigint")
-    state = keep(state.withColumn("sub", F.col("sub").bitwiseOR(leaves)))
     below = keep(_union(hit, risen))
     for k in range(tree.depth, 0, -1):
         kids = tree.level(k)
         parents = sorted({t.parent for t in kids})
         bits = sum(1 << at(u) for u in parents)
-        again = _union(hit, below, arc.join(below.withColumnRenamed("vid", "c"), "c", "left_semi").select(F.col("p").alias("vid")))
-        part = _masked(state.join(again, "vid", "left_semi"), "sub", bits)
-        has = ix.up(arc.join(again.withColumnRenamed("vid", "p"), "p", "left_semi").select(arc.columns), state, kids, tree)
-        part = keep(ix._with(part, has, "sub", F.col("sub").bitwiseOR(ix.complete(tree, parents))))
-        state = keep(_replace(state, part))
-        below = keep(_union(hit, risen, _changed(old, state, "sub")))
+        again = keep(_union(below, parents_of(below)))
+        outof = _at(arc, again, "p")
+        has = ix.up(outof, states.of(outof.select(F.col("c").alias("vid"))), kids, tree)
+        moved = states.settle(again, has, "sub", _masked("sub", bits).bitwiseOR(ix.complete(tree, parents)))
+        below = below if moved is None else keep(_union(below, moved))
 
     # ok, down again.
     both = F.col("top").bitwiseAND(F.col("sub"))
     if index.passes == "two_pass":
-        return Index(plan, edges, keep(state.withColumn("ok", both)), index.passes)
-    again = below
-    part = state.join(again, "vid", "left_semi").withColumn("ok", F.col("ok").bitwiseAND(F.lit(~root & ((1 << 62) - 1)).cast("bigint")).bitwiseOR(both.bitwiseAND(F.lit(root).cast("bigint"))))
-    state = keep(_replace(state, keep(part)))
-    for k in range(1, tree.depth + 1):
-        level = tree.level(k)
-        bits = sum(1 << at(t.child) for t in level)
-        fell = _union(below, _changed(old, state, "ok"))
-        again = _union(below, arc.join(fell.withColumnRenamed("vid", "p"), "p", "left_semi").select(F.col("c").alias("vid")))
-        part = _masked(state.join(again, "vid", "left_semi"), "ok", bits)
-        got = ix.down(arc.join(again.withColumnRenamed("vid", "c"), "c", "left_semi").select(arc.columns), state, level, tree, "ok")
-        part = keep(ix._with(part, got, "ok", ix._got("ok", both.bitwiseAND(F.lit(bits).cast("bigint")))))
-        state = keep(_replace(state, part))
-    return Index(plan, edges, state, index.passes)
-
-
-def maintain_insert(index: Index, batch: DataFrame, rule: Rule = label_rule, keep=lambda df: df) -> Index:
-    return maintain(index, inserts=batch, rule=rule, keep=keep)
-
-
-def maintain_delete(index: Index, batch: DataFrame, rule: Rule = label_rule, keep=lambda df: df) -> Index:
-    return maintain(index, deletes=batch, rule=rule, keep=keep)
+        states.settle(below, None, "ok", both)
+    else:
+        moved = states.settle(below, None, "ok", _masked("ok", root).bitwiseOR(both.bitwiseAND(_bits(root))))
+        for k in range(1, tree.depth + 1):
+            level = tree.level(k)
+            bits = sum(1 << at(t.child) for t in level)
+            again = keep(_union(below, kids_of(below if moved is None else _union(below, moved))))
+            into = _at(arc, again, "c")
+            got = ix.down(into, states.of(into.select(F.col("p").alias("vid"))), level, tree, "ok")
+            moved = states.settle(again, got, "ok", _masked("ok", bits).bitwiseOR(F.coalesce("got", _bits(0)).bitwiseAND(both).bitwiseAND(_bits(bits))))
+
+    # Edges at vertices with new states are marked again.
+    dirty = keep(_incident(edges, states.new.select("vid")))
+    edges.unpersist()
+    marked = ix.edge_masks(dirty, states.of(dirty.select(F.explode(F.array("src", "dst")).alias("vid"))), tree, index.passes).select(columns)
+    vertices, work = states.new.drop("step"), {"touched": n_hit, "vertices": states.new.count(), "edges": dirty.count()}
+    return LiveIndex(plan, index.edges.changed(marked, gone, keep), index.vertices.changed(vertices, None, keep), index.passes, index.rule, work)
+
+
+def maintain_insert(index: LiveIndex, batch: DataFrame, number: int = 0, keep: Keep = stored) -> LiveIndex:
+    return maintain(index, inserts=batch, batch=number, keep=keep)
+
+
+def maintain_delete(index: LiveIndex, batch: DataFrame, keep: Keep = stored) -> LiveIndex:
+    return maintain(index, deletes=batch, keep=keep)
 
 
 def seed_frontier(batch: DataFrame, plan: Plan, rule: Rule = label_rule) -> DataFrame:

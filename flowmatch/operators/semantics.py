@@ -100,6 +100,26 @@ def strong_simulation(edges: DataFrame, pattern: Pattern, rule: Rule = label_rul
     return pairs(masks.join(seen, ["center", "vid"], "left_semi"), pattern, ["center"])
 
 
+def dual_simulation_windows(edges: DataFrame, pattern: Pattern, config, rule: Rule = label_rule, keep=lambda df: df) -> DataFrame:
+    """(snapshot_id, qvertex, vid): the dual simulation of every snapshot of a sliding window, all in one fixpoint.
+
+    An edge goes to the window / stride snapshots that see it, and the relation is kept by snapshot, so rounds are shared.
+    """
+    seen = F.explode(F.sequence(config.born(), config.dies() - 1))
+    own = local_masks(edges.where(config.born() < config.dies()), pattern, rule).where("local_mask <> 0")
+    own = keep(own.select(seen.alias("snapshot_id"), "src", "dst", "src_type", "dst_type", "local_mask"))
+    key = ["snapshot_id"]
+    return pairs(_whole(_fixpoint(own, _start(own, pattern, key), pattern, key, keep), pattern, key), pattern, key)
+
+
+def relation_changes(relation: DataFrame) -> DataFrame:
+    """From the relation of each snapshot, the pairs that enter and leave, with sign; before the first and after the last there is none."""
+    keys = ["snapshot_id", "qvertex", "vid"]
+    plus = relation.join(relation.withColumn("snapshot_id", F.col("snapshot_id") + 1), keys, "left_anti").withColumn("sign", F.lit(1))
+    minus = relation.withColumn("snapshot_id", F.col("snapshot_id") + 1).join(relation, keys, "left_anti").withColumn("sign", F.lit(-1))
+    return plus.unionByName(minus)
+
+
 def relation_delta(before: DataFrame, after: DataFrame) -> DataFrame:
     """Changed pairs with sign."""
     return after.exceptAll(before).withColumn("sign", F.lit(1)).unionByName(before.exceptAll(after).withColumn("sign", F.lit(-1)))

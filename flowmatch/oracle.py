@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+
 from itertools import combinations
 
 from flowmatch.plans.pattern import Pattern
@@ -13,30 +14,69 @@ def _labels(alias: str, labels: tuple[str, ...]) -> str:
     return "(" + " or ".join(tests) + ")"
 
 
-def embeddings(pattern: Pattern, view: str, injective: bool = True, pairs=(), within: int | None = None, symmetry=(), select: str | None = None, extra: str = "", source: str | None = None) -> str:
-    """All embeddings; ``select`` replaces the vertex and edge columns, ``source`` the view by a name of a WITH clause."""
-    at, where = {}, []
-    for e in pattern.edges:
-        for end, v in (("src", e.src), ("dst", e.dst)):
-            column = f"{e.name}.{end}"
-            if v in at:
-                where.append(f"{at[v]} = {column}")
-            else:
-                at[v] = column
-        if e.labels:
-            where.append(_labels(e.name, e.labels))
+def columns(pattern: Pattern) -> str:
+    """The vertex and edge columns of embeddings, over tables named by query edge."""
+    at = _places(pattern)
+    return ", ".join([f"{at[v.name]} as v_{v.name}" for v in pattern.vertices] + [f"{e.name}.edge_id as e_{e.name}" for e in pattern.edges])
+
+
+def _joined(pattern: Pattern) -> list:
+    """The edges in an order in which each touches those before it, cycles closed at once."""
+    order, left, bound = [], list(pattern.edges), set()
+    while left:
+        e = next((x for x in left if x.ends() <= bound), None) or next((x for x in left if x.ends() & bound), left[0])
+        left.remove(e)
+        order.append(e)
+        bound |= e.ends()
+    return order
+
+
+def _places(pattern: Pattern) -> dict[str, str]:
+    at: dict[str, str] = {}
+    for e in _joined(pattern):
+        at.setdefault(e.src, f"{e.name}.src")
+        at.setdefault(e.dst, f"{e.name}.dst")
+    return at
+
+
+def distinct_ends(pattern: Pattern, view: str) -> str:
+    """Isomorphisms as those homomorphisms whose vertices, and parallel edges, differ: for large patterns."""
+    tests = [f"v_{a.name} <> v_{b.name}" for a, b in combinations(pattern.vertices, 2)]
+    tests += [f"e_{a.name} <> e_{b.name}" for a, b in combinations(pattern.edges, 2) if a.ends() == b.ends()]
+    return f"with h as materialized ({embeddings(pattern, view, False)}) select * from h where {' and '.join(tests)}"
+
+
+def embeddings(pattern: Pattern, view: str, injective: bool = True, pairs=(), within: int | None = None, symmetry=(), select: str | None = None, extra: str = "", source: str | None = None, prefix: str | None = None) -> str:
+    """All embeddings, by joins in a connected order over the filtered candidates of each query edge, so no optimizer is needed.
+
+    ``select`` replaces the vertex and edge columns, ``source`` the view by a name of a WITH clause, which ``prefix`` may hold.
+    """
+    at, ctes, joins, bound, done = _places(pattern), [], [], [], []
+    for e in _joined(pattern):
+        tests = [_labels("t", e.labels)] if e.labels else []
         if e.where:
-            where.append(f"{e.name}.{e.where}")
-    names = [v.name for v in pattern.vertices]
-    if injective:
-        where += [f"{at[a]} <> {at[b]}" for a, b in combinations(names, 2)]
-        where += [f"{a.name}.edge_id <> {b.name}.edge_id" for a, b in combinations(pattern.edges, 2) if a.ends() == b.ends()]
-    where += [f"{a}.ts < {b}.ts" for a, b in pairs]
-    where += [f"{at[a]} < {at[b]}" for a, b in symmetry]
-    if within is not None:
-        ts = ", ".join(f"{e.name}.ts" for e in pattern.edges)
-        where.append(f"greatest({ts}) - least({ts}) <= {within}")
-    columns = select or ", ".join([f"{at[n]} as v_{n}" for n in names] + [f"{e.name}.edge_id as e_{e.name}" for e in pattern.edges])
-    head = "" if source else f"with g as materialized ({SQL[view]}) "
-    tables = ", ".join(f"{source or 'g'} {e.name}" for e in pattern.edges)
-    return f"{head}select {columns} from {tables} where {' and '.join(where) or 'true'}{extra}"
+            tests.append(f"t.{e.where}")
+        if e.src == e.dst:
+            tests.append("t.src = t.dst")
+        ctes.append(f"c_{e.name} as materialized (select * from {source or 'g'} t where {' and '.join(tests) or 'true'})")
+        on, fresh = [], []
+        for end, v in dict.fromkeys((("src", e.src), ("dst", e.dst))):
+            if v in bound:
+                on.append(f"{e.name}.{end} = {at[v]}")
+            elif v not in fresh:
+                fresh.append(v)
+        for v in fresh:
+            on += [f"{at[v]} <> {at[w]}" for w in bound] if injective else []
+            bound.append(v)
+        done.append(e.name)
+        if injective:
+            on += [f"{e.name}.edge_id <> {d}.edge_id" for d in done[:-1] if pattern.edge(d).ends() == e.ends()]
+        on += [f"{a}.ts < {b}.ts" for a, b in pairs if e.name in (a, b) and a in done and b in done]
+        on += [f"{at[a]} < {at[b]}" for a, b in symmetry if a in bound and b in bound and {a, b} & set(fresh)]
+        if within is not None:
+            on += [f"abs({e.name}.ts - {d}.ts) <= {within}" for d in done[:-1]]
+        joins.append((f"c_{e.name} {e.name}", on))
+    first, where = joins[0][0], joins[0][1]
+    tables = first + "".join(f" join {t} on {' and '.join(on) or 'true'}" for t, on in joins[1:])
+    head = f"{prefix}, " if prefix else "with " if source else f"with g as materialized ({SQL[view]}), "
+    return f"{head}{', '.join(ctes)} select {select or columns(pattern)} from {tables} where {' and '.join(where) or 'true'}{extra}"

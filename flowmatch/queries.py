@@ -2,8 +2,6 @@
 
 from __future__ import annotations
 
-from collections.abc import Callable
-
 from pyspark.sql import DataFrame, SparkSession, functions as F
 
 from flowmatch import metrics as M, oracle as O
@@ -13,22 +11,13 @@ from flowmatch.operators.enumeration import Semantics, alternatives, delta, enum
 from flowmatch.operators.semantics import dual_simulation, parallel_collapsed, strong_simulation
 from flowmatch.plans.pattern import Pattern, symmetry_breaking
 from flowmatch.plans.planner import compile_plan, degree_requirements, temporal_pairs
+from flowmatch.registry import FOUND, Query, add
 from flowmatch.sources import views as V
 from flowmatch.sources.snapshots import DAY, MINUTE, StreamConfig, counts_by_snapshot, insert_delete_events, sliding_deltas
 from flowmatch.sources.storage import stored
 from flowmatch.workloads import PATTERNS as P
 
-Query = Callable[[SparkSession, str], DataFrame]
-FOUND: dict[str, tuple[Query, str | None]] = {}
-BATCH = 1000  # events in a batch
-
-
-def add(name: str, run: Query, sql: str | None = None) -> None:
-    FOUND[name] = (run, sql)
-
-
-def view(name: str) -> Query:
-    return lambda spark, d: V.VIEWS[name](spark, d)
+BATCH = 1000  # events in a batch of the whole history, as the oracle's arithmetic has it
 
 
 def pattern(name: str, key: str, v: str, semantics: Semantics, **sql) -> None:
@@ -51,7 +40,13 @@ for _name, _key, _v in (("iso_t3_v1", "t3_path", "v1"), ("iso_t6_v3", "t6_trade"
     pattern(_name, _key, _v, ISO)
 for _name, _key in (("homo_triangle_v1", "triangle"), ("homo_clique4_v1", "clique4"), ("homo_rectangle_v1", "rectangle"), ("homo_dual_triangle_v1", "dual_triangle")):
     pattern(_name, _key, "v1", HOMO)
-add("homo_clique5_count_v1", lambda spark, d: enumerate_all(V.VIEWS["v1"](spark, d), P["clique5"], HOMO).agg(F.count("*").alias("n")), None)
+# The fifth vertex joins the four-cliques edge by edge: written out, as a join reorderer picks the wildcards first.
+add(
+    "homo_clique5_count_v1",
+    lambda spark, d: enumerate_all(V.handoff(spark, d), P["clique5"], HOMO).agg(F.count("*").alias("n")),
+    f"""with k4 as materialized ({O.embeddings(P['clique4'], 'v1', False)}), g5 as materialized ({O.SQL['v1']}), a5 as materialized (select v_b, v_c, v_d, dst as v_e from k4 join g5 on src = v_a),
+      b5 as materialized (select v_c, v_d, v_e from a5 join g5 on src = v_b and dst = v_e), c5 as materialized (select v_d, v_e from b5 join g5 on src = v_c and dst = v_e) select count(*) as n from c5 join g5 on src = v_d and dst = v_e""",
+)
 counted("homo_clique5_labelled_count_v1", "clique5_labelled", "v1", HOMO)
 counted("iso_t3_star_count_v1", "t3_star", "v1", ISO)
 counted("homo_t3_count_v1", "t3_path", "v1", HOMO)
@@ -87,9 +82,8 @@ _sr = P["shared_resource"]
 
 def _deltas_sql(stride: int, window: int, tail: str) -> str:
     ts = ", ".join(f"{e.name}.ts" for e in _sr.edges)
-    inner = O.embeddings(_sr, "v2", True, (), window, select=O.embeddings(_sr, "v2").split("select ", 3)[-1].split(" from g ")[0] + f", greatest({ts}) as last_ts, least({ts}) as first_ts")
-    head, body = inner.split(") select ", 1)
-    return f"""{head}), e as (select {body}), life as (select *, ceil(last_ts / {stride}.0)::bigint as born, ceil((first_ts + {window}) / {stride}.0)::bigint as dies from e),
+    inner = O.embeddings(_sr, "v2", True, (), window, select=O.columns(_sr) + f", greatest({ts}) as last_ts, least({ts}) as first_ts")
+    return f"""with e as ({inner}), life as (select *, ceil(last_ts / {stride}.0)::bigint as born, ceil((first_ts + {window}) / {stride}.0)::bigint as dies from e),
       d as (select born as snapshot_id, 1 as sign, * exclude (born, dies, last_ts, first_ts) from life where born < dies union all select dies, -1, * exclude (born, dies, last_ts, first_ts) from life where born < dies) {tail}"""
 
 
@@ -111,20 +105,24 @@ _b = lambda c="edge_id": F.floor(F.col(c) / BATCH).cast("bigint")
 
 def _born_sql(p: Pattern, injective: bool, select: str | None = None, tail: str = "") -> str:
     born = "greatest(" + ", ".join(f"{e.name}.edge_id" for e in p.edges) + f") // {BATCH}"
-    base = O.embeddings(p, "v1", injective)
-    return O.embeddings(p, "v1", injective, select=(select or base.split(") select ", 1)[1].split(" from g ")[0]) + f", {born} as snapshot_id", extra=tail)
+    return O.embeddings(p, "v1", injective, select=(select or O.columns(p)) + f", {born} as snapshot_id", extra=tail)
 
 
 add("delta_pos_triangle_v1", lambda spark, d: newest(V.handoff(spark, d), P["triangle"], HOMO, _b()).select("v_a", "v_b", "v_c", "e_x", "e_y", "e_z", "snapshot_id"), _born_sql(P["triangle"], False))
 add("delta_pos_t3_count_v1", lambda spark, d: newest(V.handoff(spark, d), P["t3_path"], ISO, _b()).groupBy("snapshot_id").agg(F.count("*").alias("n")), _born_sql(P["t3_path"], True, "count(*) as n", " group by snapshot_id"))
 
 
+def _fresh(spark: SparkSession, d: str):
+    """Whether an edge lies in the last tenth of the stream."""
+    top = V.read(spark, d, "events").agg(F.max("event_id")).first()[0]
+    return F.col("edge_id") >= int((top or 0) * 0.9)
+
+
 def _last_batch(spark: SparkSession, d: str, key: str, semantics: Semantics, **options) -> DataFrame:
     """The delta of the last tenth of the stream, from chains with masks."""
     e = V.handoff(spark, d)
-    top = V.read(spark, d, "events").agg(F.max("event_id")).first()[0]
     p = P[key]
-    return _named(delta(e, F.col("edge_id") >= int(top * 0.9), compile_plan(p, profile=semantics.profile), semantics, **options), p)
+    return _named(delta(e, _fresh(spark, d), compile_plan(p, profile=semantics.profile), semantics, **options), p)
 
 
 def _last_sql(key: str, injective: bool, **options) -> str:
@@ -140,8 +138,7 @@ add("delta_t3_count_v1", lambda spark, d: _last_batch(spark, d, "t3_path", ISO).
 
 
 def _avoided(spark: SparkSession, d: str) -> DataFrame:
-    top = V.read(spark, d, "events").agg(F.max("event_id")).first()[0]
-    return M.duplicates(V.handoff(spark, d), F.col("edge_id") >= int(top * 0.9), compile_plan(P["triangle"], profile="existence"), HOMO)
+    return M.duplicates(V.handoff(spark, d), _fresh(spark, d), compile_plan(P["triangle"], profile="existence"), HOMO)
 
 
 _cut = "(select floor(max(event_id) * 0.9::double)::bigint from events)"
@@ -186,7 +183,7 @@ def _fold(spark: SparkSession, d: str) -> DataFrame:
     return apply_delta(before, change.where("sign > 0"), change.where("sign < 0"))
 
 
-add("fold_equals_static_v3", _fold, _STREAM + O.embeddings(P["t6_trade"], "v3", source="g1"))
+add("fold_equals_static_v3", _fold, O.embeddings(P["t6_trade"], "v3", source="g1", prefix=_STREAM))
 
 # --- index -----------------------------------------------------------------------------------------------------------
 add("local_mask_counts_v1", lambda spark, d: local_masks(V.handoff(spark, d), P["t3_path"]).groupBy("local_mask").agg(F.count("*").alias("n")), f"select (case label when 'purchase' then 1 when 'click' then 2 when 'view' then 4 else 0 end)::bigint as local_mask, count(*) as n from ({O.SQL['v1']}) group by all")
@@ -209,8 +206,20 @@ add(
 )
 add("top_down_v3", lambda spark, d: _index(spark, d, root="c").vertices.where(F.getbit("top", F.lit(1)) == 1).select("vid"), f"{_FULL} select o as vid from o")
 add("bottom_up_v3", lambda spark, d: _index(spark, d, root="c").roots(), f"{_FULL} select distinct src as vid from g where {_PA} and dst in (select o from o)")
-add("candidates_per_edge_v3", lambda spark, d: M.index_quality(_index(spark, d, "t6_trade", root="o")), None)
-add("indexed_t6_v3", lambda spark, d: _named(enumerate_all(V.commerce(spark, d), P["t6_trade"], ISO, (i := _index(spark, d, "t6_trade", root="o")).plan, of=i.candidates()), P["t6_trade"]), O.embeddings(P["t6_trade"], "v3"))
+_t6 = {"p": ("PLACED_1-URGENT_F", "dst", "src"), "h": ("HAS_RF", "src", "dst"), "f": ("FROM_AF", "src", "dst"), "b": ("BASED", "src", "dst"), "r": ("IN_REGION", "src", "dst"), "l": ("LIVES_BUILDING", "src", "dst")}
+add(
+    "candidates_per_edge_v3",
+    lambda spark, d: M.index_quality(_index(spark, d, "t6_trade", root="o")).select("qedge", "local", "live"),
+    # Parent and child of each query edge in the tree from o; the full reducer of that tree, from the leaves up and from the root down.
+    f"with g as materialized ({O.SQL['v3']}), "
+    + ", ".join(f"{q} as materialized (select edge_id, {a} as pa, {b} as ch from g where label = '{x}')" for q, (x, a, b) in _t6.items())
+    + """, s as (select pa as v from b where ch in (select pa from r)), c as (select pa as v from l),
+      o as materialized (select pa as v from p where ch in (from c) intersect select pa from h intersect select pa from f where ch in (from s)),
+      p1 as materialized (select * from p where pa in (from o) and ch in (from c)), h1 as (select * from h where pa in (from o)), f1 as materialized (select * from f where pa in (from o) and ch in (from s)),
+      b1 as materialized (select * from b where pa in (select ch from f1) and ch in (select pa from r)), r1 as (select * from r where pa in (select ch from b1)), l1 as (select * from l where pa in (select ch from p1)) """
+    + " union all ".join(f"select '{q}' as qedge, (select count(*) from {q}) as local, (select count(*) from {q}1) as live" for q in _t6),
+)
+add("indexed_t6_v3", lambda spark, d: _named(enumerate_all(V.commerce(spark, d), P["t6_trade"], ISO, (i := _index(spark, d, "t6_trade", root="o")).plan, of=i.candidates(stored)), P["t6_trade"]), O.embeddings(P["t6_trade"], "v3"))
 
 
 def _degrees(spark: SparkSession, d: str) -> DataFrame:
@@ -227,7 +236,7 @@ add(
 )
 add(
     "index_bits_v1",
-    lambda spark, d: V.handoff(spark, d).agg(F.count("*").alias("edges")).crossJoin(ix.vertex_table(V.handoff(spark, d)).agg(F.count("*").alias("vertices"))).withColumn("bits", F.col("edges") * 3 + F.col("vertices")),
+    lambda spark, d: V.handoff(spark, d).agg(F.count("*").alias("edges")).crossJoin(ix.vertex_table(V.handoff(spark, d)).agg(F.count("*").alias("vertices"))).withColumn("bits", ix.index_bits(F.col("edges"), F.col("vertices"), len(P["t3_path"].vertices))),
     f"with g as materialized ({O.SQL['v1']}) select (select count(*) from g) as edges, (select count(*) from (select src from g union select dst from g)) as vertices, (select count(*) from g) * 3 + (select count(*) from (select src from g union select dst from g)) as bits",
 )
 
@@ -238,36 +247,49 @@ add(
     f"""{_FULL} select 'o' as qvertex, o as vid from o union all select distinct 'c', src from g where {_PA} and dst in (select o from o)
       union all select distinct 'a', dst from g where {_HA} and src in (select o from o) union all select distinct 's', dst from g where {_FA} and src in (select o from o)""",
 )
-add("dual_sim_triangle_v1", lambda spark, d: dual_simulation(V.handoff(spark, d), P["triangle"], keep=stored), None)
+_rounds = "".join(
+    f""", a{k} as materialized (select vid from a{k - 1} where vid in (select src from g where label = 'purchase' and dst in (from b{k - 1})) and vid in (select dst from g where label = 'view' and src in (from c{k - 1}))),
+      b{k} as materialized (select vid from b{k - 1} where vid in (select src from g where label = 'click' and dst in (from c{k - 1})) and vid in (select dst from g where label = 'purchase' and src in (from a{k - 1}))),
+      c{k} as materialized (select vid from c{k - 1} where vid in (select src from g where label = 'view' and dst in (from a{k - 1})) and vid in (select dst from g where label = 'click' and src in (from b{k - 1})))"""
+    for k in range(1, 9)
+)
+add(
+    "dual_sim_triangle_v1",
+    lambda spark, d: dual_simulation(V.handoff(spark, d), P["triangle"], keep=stored),
+    f"with g as materialized ({O.SQL['v1']}), a0 as (select src as vid from g union select dst from g), b0 as (from a0), c0 as (from a0) {_rounds} select 'a' as qvertex, vid from a8 union all select 'b', vid from b8 union all select 'c', vid from c8",
+)
 add("strong_sim_v3", lambda spark, d: strong_simulation(V.commerce(spark, d), P["trade2"], keep=stored), None)
 
 # --- baselines -------------------------------------------------------------------------------------------------------
 add("brute_t3_count_v1", lambda spark, d: B.brute_force(V.handoff(spark, d), P["t3_path"], ISO).agg(F.count("*").alias("n")), O.embeddings(P["t3_path"], "v1", select="count(*) as n"))
-for _k in ("triangle", "rectangle"):
+for _k in ("triangle", "rectangle", "clique4", "dual_triangle"):
     add(f"wco_{_k}_v1", lambda spark, d, k=_k: _named(B.delta_wco(V.handoff(spark, d), P[k]), P[k]), O.embeddings(P[_k], "v1", False))
 
 
 def _wco_delta(spark: SparkSession, d: str) -> DataFrame:
-    top = V.read(spark, d, "events").agg(F.max("event_id")).first()[0]
-    return _named(B.delta_wco(V.handoff(spark, d), P["triangle"], F.col("edge_id") >= int(top * 0.9)), P["triangle"])
+    return _named(B.delta_wco(V.handoff(spark, d), P["triangle"], _fresh(spark, d)), P["triangle"])
 
 
 add("wco_delta_triangle_v1", _wco_delta, _last_sql("triangle", False))
 add("static_recompute_v2", lambda spark, d: _named(B.static_recompute(V.access(spark, d), compile_plan(_sr), Semantics(within=DAY)), _sr), O.embeddings(_sr, "v2", True, (), DAY))
-add("match_store_timed_t3_v1", lambda spark, d: _named(B.match_store(V.handoff(spark, d), _timed, DAY)[-1], _timed), O.embeddings(_timed, "v1", True, temporal_pairs(_timed), DAY))
 add("candidate_list_t6_v3", lambda spark, d: _named(B.enumerate_from_list(V.commerce(spark, d), compile_plan(P["t6_trade"]), ISO), P["t6_trade"]), O.embeddings(P["t6_trade"], "v3"))
 add("match_matrix_v3", lambda spark, d: B.match_matrix(V.commerce(spark, d), compile_plan(P["trade2"])), f"""{_FULL}, m as (select o as vid, 'o' as q from o union select src, 'c' from g where {_PA} union select dst, 'a' from g where {_HA} union select dst, 's' from g where {_FA})
   select vid, bool_or(q = 'c') as is_c, bool_or(q = 'o') as is_o, bool_or(q = 'a') as is_a, bool_or(q = 's') as is_s from m group by vid""")
 
 
-def _pairs(spark: SparkSession, d: str) -> DataFrame:
-    top = V.read(spark, d, "events").agg(F.max("event_id")).first()[0]
-    return B.pair_state(V.handoff(spark, d), compile_plan(P["triangle"], profile="existence"), F.col("edge_id") >= int(top * 0.9), HOMO, keep=stored).select("v_a", "v_b", "v_c", F.col("pair_multiplicity").cast("long").alias("pair_multiplicity"))
+def _pair_sql(key: str, injective: bool = False, fresh: str = "edge_id >= " + _cut) -> str:
+    p = P[key]
+    prefix = f"with g as materialized ({O.SQL['v1']}), p as materialized (select src, dst, label, min(ts) as ts, min(edge_id) as edge_id, count(*) as m, min({fresh}) as fresh from g group by all)"
+    at = O.columns(p).split(", ")[: len(p.vertices)]
+    return O.embeddings(p, "v1", injective, source="p", prefix=prefix, select=", ".join(at) + ", (" + " * ".join(f"{e.name}.m" for e in p.edges) + ")::bigint as pair_multiplicity", extra=" and (" + " or ".join(f"{e.name}.fresh" for e in p.edges) + ")")
 
 
-_tri_pairs = f"""with g as materialized ({O.SQL['v1']}), p as (select src, dst, label, count(*) as m, min(edge_id) >= {_cut} as fresh from g group by all)
- select x.src as v_a, y.src as v_b, z.src as v_c, (x.m * y.m * z.m)::bigint as pair_multiplicity from p x, p y, p z where x.dst = y.src and y.dst = z.src and z.dst = x.src and x.label = 'purchase' and y.label = 'click' and z.label = 'view' and (x.fresh or y.fresh or z.fresh)"""
-add("pair_state_triangle_v1", _pairs, _tri_pairs)
+for _k in ("triangle", "rectangle", "clique4", "dual_triangle"):
+    add(
+        f"pair_state_{_k}_v1",
+        lambda spark, d, k=_k: B.pair_state(V.handoff(spark, d), compile_plan(P[k], profile="existence"), _fresh(spark, d), HOMO).select(*[f"v_{v.name}" for v in P[k].vertices], F.col("pair_multiplicity").cast("long").alias("pair_multiplicity")),
+        _pair_sql(_k),
+    )
 add(
     "context_false_positive_v2",
     lambda spark, d: B.audit_context(enumerate_all(parallel_collapsed(V.access(spark, d)), _sr, ISO), enumerate_all(V.access(spark, d), _sr, temporal(_sr.timed(1, 2, 3), DAY)), ["x", "r", "y", "q"]).agg(F.count("*").alias("n")),
@@ -283,7 +305,7 @@ def _slots(spark: SparkSession, d: str, reclaim: bool) -> DataFrame:
 
 
 def _slots_3days(spark: SparkSession, d: str, reclaim: bool) -> DataFrame:
-    first = V.access(spark, d).agg(F.min(_slide.born())).first()[0]
+    first = V.access(spark, d).agg(F.min(_slide.born())).first()[0] or 0
     return _slots(spark, d, reclaim).where(F.col("snapshot_id") <= first + 432).agg(F.coalesce(F.max("slots"), F.lit(0)).alias("slots"))
 
 
@@ -310,7 +332,11 @@ add(
     f"""with g as materialized (select *, edge_id // {BATCH} as b from ({O.SQL['v1']}) where label in ('purchase', 'click')), seeds as (select distinct b, src from g)
       select s.b as batch, count(*) as visited from seeds s join g on g.src = s.src and g.b <= s.b group by s.b""",
 )
-add("needs_t3_star", lambda spark, d: spark.createDataFrame([(r.vertex, r.out, r.edges, r.neighbours) for r in degree_requirements(P["t3_star"])], "vertex string, outgoing boolean, edges int, neighbours int"), None)
+add("needs_t3_star", lambda spark, d: spark.createDataFrame([(r.vertex, r.out, r.edges, r.neighbours) for r in degree_requirements(P["t3_star"])], "vertex string, outgoing boolean, edges int, neighbours int"),
+    "select * from (values ('a', true, 1, 1), ('a', true, 1, 1), ('a', true, 1, 1), ('a', true, 3, 3), ('b', false, 1, 1), ('c', false, 1, 1), ('d', false, 1, 1)) t(vertex, outgoing, edges, neighbours)")
+
+
+from flowmatch import surface, workload_queries  # noqa: E402,F401  they register theirs
 
 
 def queries() -> dict[str, Query]:

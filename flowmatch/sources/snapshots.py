@@ -100,16 +100,53 @@ def resolve_deletes(graph: DataFrame, deletes: DataFrame, policy: str = "oldest"
 
 
 class BatchSource:
-    """Snapshots (id, inserts, deletes) of a table with columns snapshot_id and op."""
+    """Snapshots (id, inserts, deletes) of a table with columns snapshot_id and op; snapshots without rows of a kind have None for it.
 
-    def __init__(self, events: DataFrame):
-        self.events = events
+    ``initial``: the rows before the first snapshot.
+    """
+
+    def __init__(self, events: DataFrame, first: int = 1):
+        self.events, self.first = events, first
+
+    def initial(self) -> DataFrame:
+        return self.events.where(F.col("snapshot_id") < self.first)
+
+    def __iter__(self) -> Iterator[tuple[int, DataFrame | None, DataFrame | None]]:
+        kinds = self.events.where(F.col("snapshot_id") >= self.first).groupBy("snapshot_id").agg(F.max(F.col("op") >= 0).alias("i"), F.max(F.col("op") < 0).alias("d"))
+        for r in kinds.orderBy("snapshot_id").collect():  # a row per snapshot
+            own = self.events.where(F.col("snapshot_id") == r.snapshot_id)  # prunes partitions where the table is partitioned by it
+            yield r.snapshot_id, own.where("op >= 0") if r.i else None, own.where("op < 0") if r.d else None
 
-    def __iter__(self) -> Iterator[tuple[int, DataFrame, DataFrame]]:
-        low, high = self.events.agg(F.min("snapshot_id"), F.max("snapshot_id")).first()
-        for k in range(low, high + 1) if low is not None else ():
-            own = self.events.where(F.col("snapshot_id") == k)  # prunes partitions where the table is partitioned by it
-            yield k, own.where("op >= 0"), own.where("op < 0")
+
+def open_stream(edges: DataFrame, config: StreamConfig, keep=stored) -> BatchSource:
+    """The batches of a stream over a table of edges, by the kind of ``config``.
+
+    Insert-only: in the order of (ts, edge_id), ``batch_size`` edges a batch after ``initial`` ones.  Insert-and-delete: the
+    same over rows that have ``seq`` and ``op`` (0 for the initial graph).  Sliding and tumbling: an edge is inserted in the
+    first snapshot that sees it and deleted in the first that no longer does.
+    """
+    if config.kind == "insert_only":
+        rows = numbered(edges).withColumn("seq", F.col("seq") - 1)
+        return BatchSource(keep(rows.withColumn("snapshot_id", config.batch()).withColumn("op", F.lit(1)).drop("seq")))
+    if config.kind == "insert_delete":
+        later = F.floor((F.col("seq") - 1 - config.initial) / config.batch_size) + 1
+        return BatchSource(keep(edges.withColumn("snapshot_id", F.when(F.col("op") == 0, 0).otherwise(later).cast("bigint")).drop("seq")))
+    born, dies = config.born(), config.dies()
+    moves = F.explode(F.array(F.struct(born.alias("snapshot_id"), F.lit(1).alias("op")), F.struct(dies.alias("snapshot_id"), F.lit(-1).alias("op"))))
+    rows = edges.where(born < dies).select("*", moves.alias("move")).select(*edges.columns, "move.snapshot_id", "move.op")
+    low = rows.agg(F.min("snapshot_id")).first()[0]
+    return BatchSource(keep(rows), low if low is not None else 0)
+
+
+def late_rows(arrivals: DataFrame, allowed: int, batch: str = "batch", ts: str = "ts") -> DataFrame:
+    """The arrivals whose time lies over ``allowed`` behind the latest of earlier batches, with ``behind``: by how much.
+
+    Latest times are taken per batch and then over batches, one row each, so no window runs over the arrivals.
+    """
+    tops = arrivals.groupBy(batch).agg(F.max(ts).alias("top"))
+    bound = tops.select(F.col(batch).alias("b"), F.max("top").over(Window.orderBy(batch).rowsBetween(Window.unboundedPreceding, -1)).alias("bound"))
+    rows = arrivals.join(bound, F.col(batch) == F.col("b")).withColumn("behind", F.col("bound") - F.col(ts))
+    return rows.where(F.col("behind") > allowed).drop("b", "bound")
 
 
 def sliding_deltas(edges: DataFrame, pattern: Pattern, config: StreamConfig, semantics: Semantics = Semantics(), plan: Plan | None = None) -> DataFrame:

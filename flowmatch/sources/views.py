@@ -8,6 +8,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, SparkSession, Window, functions as F
 
 T = 1 << 40
+PASSAGE_WORDS = 5  # words by which a text and a passage meet
 EDGE = ["edge_id", "src", "dst", "src_type", "dst_type", "label", "ts", "weight"]
 
 
@@ -30,18 +31,19 @@ def edge(df: DataFrame, edge_id, src, dst, types: tuple[str, str], label, ts=Non
 def handoff(spark: SparkSession, sf_dir: str) -> DataFrame:
     """User to the next event's user, self-loops left out.
 
-    The next event is found without one global window: events are numbered by (id range, place), each meets the first of
-    a later one only at a range's end.
+    The next event is found without one global window, whatever the order of ids: events meet their successors within
+    blocks of time; a block's last event meets the first of the next block that has any, which is found among the blocks
+    of a day, and for a day's last block among the days.
     """
     e = read(spark, sf_dir, "events").select("event_id", "ts", "user_id", "event_type", "value")
-    span = 4096
-    block = F.floor(F.col("event_id") / span)
-    inner = Window.partitionBy("block").orderBy("ts", "event_id")
-    rows = e.withColumn("block", block).withColumn("next", F.lead("user_id").over(inner)).withColumn("last", F.row_number().over(Window.partitionBy("block").orderBy(F.desc("ts"), F.desc("event_id"))) == 1)
-    # Ids rise with time, so the successor of a block's last event is the first of the next block that has any.
-    heads = e.withColumn("block", block).groupBy("block").agg(F.min_by("user_id", F.struct("ts", "event_id")).alias("head"))
-    heads = heads.select((F.lag("block").over(Window.orderBy("block"))).alias("of"), "head")  # one row per block of events
-    rows = rows.join(heads, rows["block"] == heads["of"], "left").withColumn("dst", F.when(F.col("last"), F.col("head")).otherwise(F.col("next")))
+    e = e.withColumn("at", micros("ts")).withColumn("block", F.floor(F.col("at") / 600_000_000)).withColumn("day", F.floor(F.col("at") / 86_400_000_000))
+    inner = Window.partitionBy("day", "block").orderBy("at", "event_id")
+    rows = e.withColumn("next", F.lead("user_id").over(inner))
+    heads = e.groupBy("day", "block").agg(F.min_by("user_id", F.struct("at", "event_id")).alias("head"))
+    days = heads.groupBy("day").agg(F.min_by("head", "block").alias("first"))
+    days = days.select("day", F.lead("first").over(Window.orderBy("day")).alias("next_day"))  # a row per day
+    after = heads.withColumn("next_block", F.lead("head").over(Window.partitionBy("day").orderBy("block"))).drop("head").join(days, "day")
+    rows = rows.join(after, ["day", "block"]).withColumn("dst", F.coalesce("next", "next_block", "next_day"))
     return edge(rows.where("dst is not null and dst <> user_id"), "event_id", "user_id", "dst", ("user", "user"), "event_type", micros("ts"), "value")
 
 
@@ -86,12 +88,17 @@ def flow(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def neighbours(spark: SparkSession, sf_dir: str, k: int = 10, block: int = 2048) -> DataFrame:
-    """Vector to its k nearest by cosine (rounded to 4 places, id breaks ties), block by block.
+    """Vector to its k nearest by cosine (rounded to 4 places, id breaks ties), block by block; ``k`` up to 15.
 
-    Every row is a query here, so the work is square by definition; blocks of vectors meet in tasks of bounded memory
-    that keep the best k each, and the best of those are the answer.
+    Exact, so every row is a query and the work is square by definition; blocks of vectors meet in tasks of bounded memory
+    that keep the best k each, and the best of those are the answer.  Vectors that are null, zero or hold a null or a
+    component that is not finite have no neighbours.
     """
+    if not 0 < k < 16:
+        raise ValueError("k is 1 to 15: an edge id holds four bits of rank")
     v = read(spark, sf_dir, "embeddings").select("vec_id", F.col("embedding").cast("array<double>").alias("v"), F.col("label").cast("string").alias("label"))
+    usable = F.forall("v", lambda x: x.isNotNull() & ~F.isnan(x) & (F.abs(x) < float("inf"))) & F.exists("v", lambda x: x != 0)
+    v = v.where(F.col("v").isNotNull() & F.coalesce(usable, F.lit(False)))
     n = max(1, -(-v.count() // block))
     part = F.pmod(F.xxhash64("vec_id"), F.lit(n))
     left = v.select(part.alias("a"), F.explode(F.sequence(F.lit(0).cast("bigint"), F.lit(n - 1).cast("bigint"))).alias("b"), F.col("vec_id").alias("src"), F.col("v").alias("x"))
@@ -137,11 +144,18 @@ def turns(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def corpus(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Document to source, to language, and to the benchmark passages it contains; string vertex ids."""
+    """Document to source, to language, and to the benchmark passages of over ``PASSAGE_WORDS`` words that it contains; string vertex ids."""
     docs = read(spark, sf_dir, "documents")
     doc = F.concat(F.lit("doc:"), "doc_id").alias("src")
-    items = read(spark, sf_dir, "benchmark")  # a fixed set of passages, far below any broadcast bound
-    held = docs.select("doc_id", "text").join(F.broadcast(items.select("item_id", F.col("text").alias("passage"))), F.col("text").contains(F.col("passage")))
+    # A passage is looked for in the texts that hold its second to sixth word: texts and passages meet by hashed runs of words.
+    items = read(spark, sf_dir, "benchmark").select("item_id", F.col("text").alias("passage"))
+    runs = F.transform(F.sequence(F.lit(1), F.greatest(F.size("w") - PASSAGE_WORDS + 1, F.lit(1))), lambda k: F.xxhash64(F.concat_ws(" ", F.slice("w", k, PASSAGE_WORDS))))
+    words = lambda c: F.filter(F.split(c, r"\s+"), lambda x: x != "")
+    inner = items.withColumn("w", words("passage")).where(F.size("w") > PASSAGE_WORDS).withColumn("key", F.xxhash64(F.concat_ws(" ", F.slice("w", 2, PASSAGE_WORDS)))).drop("w")
+    texts = docs.select("doc_id", words("text").alias("w"))
+    keys = texts.select("doc_id", F.explode(F.array_distinct(runs)).alias("key"))
+    asked = keys.join(inner.select("key", "item_id"), "key").select("doc_id", "item_id").distinct()
+    held = asked.join(docs.select("doc_id", "text"), "doc_id").join(inner.select("item_id", "passage"), "item_id").where(F.col("text").contains(F.col("passage")))
     return (
         docs.select(doc, F.concat(F.lit("source:"), "source").alias("dst"), F.lit("from").alias("label"))
         .unionByName(docs.select(doc, F.concat(F.lit("lang:"), "lang").alias("dst"), F.lit("in").alias("label")))
@@ -149,6 +163,16 @@ def corpus(spark: SparkSession, sf_dir: str) -> DataFrame:
     )
 
 
+def passages(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The passages that documents contain, as edges with the documents' labels as attributes (null where there are none); item ids are under 2^20."""
+    held = corpus(spark, sf_dir).where("label = 'contains'").select(F.split("src", ":")[1].cast("long").alias("doc"), F.split("dst", ":")[1].cast("long").alias("item"))
+    rows = held.join(read(spark, sf_dir, "labels").select(F.col("doc_id").alias("doc"), "quality", "toxic"), "doc", "left")
+    return rows.select(
+        (F.col("doc") * (1 << 20) + F.col("item")).alias("edge_id"), F.col("doc").alias("src"), (F.lit(T) + F.col("item")).alias("dst"), F.lit("doc").alias("src_type"), F.lit("item").alias("dst_type"),
+        F.lit("contains").alias("label"), F.lit(None).cast("long").alias("ts"), F.lit(None).cast("double").alias("weight"), "quality", "toxic",
+    )
+
+
 def with_hub(edges: DataFrame, every: int = 7, hub: int = 0) -> DataFrame:
     """Every ``every``-th edge goes to one vertex: a power law's worst case."""
     return edges.withColumn("dst", F.when(F.col("edge_id") % every == 0, F.lit(hub).cast("long")).otherwise(F.col("dst"))).where("src <> dst")

@@ -1,50 +1,28 @@
-"""The live engine: Structured Streaming micro-batches through the same delta plans as batch mode.
+"""The live engine: Structured Streaming micro-batches through the same engine as batch mode.
 
-A micro-batch of edge events (columns of EDGE and ``op``: 1 insert, -1 delete) first loses what its deletes destroy, by
-the graph before them, then gains by its inserts; results are written under the batch id.  The graph is a versioned
-table, its commit marker written last, so a replayed batch changes nothing.
+A micro-batch of edge events (columns of EDGE and ``op``: 1 insert, -1 delete) is one snapshot: its inserts come before
+its deletes, so an edge of both is born and dies in it.  The engine's commit is written last, under the batch id, so a
+replayed batch changes nothing, and a query started again on the same path goes on.
 """
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, SparkSession, functions as F
+from pyspark.sql import DataFrame, functions as F
 
-from flowmatch.functions.rules import Rule, label_rule, local_masks
-from flowmatch.operators.enumeration import Semantics, emit, live_delta
-from flowmatch.plans.planner import Plan
-from flowmatch.sources.storage import StateStore
-from flowmatch.sources.views import EDGE
+from flowmatch.engine import MatchEngine
+from flowmatch.sources.storage import keeper
 
 EVENT_SCHEMA = "edge_id long, src long, dst long, src_type string, dst_type string, label string, ts long, weight double, op tinyint"
 
 
-class LiveMatcher:
-    def __init__(self, spark: SparkSession, plan: Plan, semantics: Semantics, path: str, rule: Rule = label_rule):
-        self.spark, self.plan, self.semantics, self.rule = spark, plan, semantics, rule
-        self.store, self.path = StateStore(spark, path), path.rstrip("/")
-
-    def apply(self, events: DataFrame, batch_id: int) -> None:
-        """One batch; inserts come before deletes, so an edge of both is born and dies in it."""
-        if batch_id in self.store.committed():
+class LiveMatcher(MatchEngine):
+    def batch(self, events: DataFrame, batch_id: int) -> None:
+        if batch_id in self.commits.ids():
             return
-        graph = self.store.read("graph")
-        events = events.persist()
-        fresh = local_masks(events.where("op > 0"), self.plan.pattern, self.rule).where("local_mask <> 0").select(*EDGE, "local_mask").withColumn("fresh", F.lit(True))
-        every = fresh if graph is None else graph.withColumn("fresh", F.lit(False)).unionByName(fresh)
-        gained = live_delta(every, F.col("fresh"), self.plan, self.semantics)
-        gone = events.where("op < 0").select("edge_id", F.lit(True).alias("dies"))
-        dying = every.join(gone, "edge_id", "left").withColumn("dies", F.coalesce("dies", F.lit(False)))
-        lost = live_delta(dying, F.col("dies"), self.plan, self.semantics)
-        rows = emit(gained, batch_id, 1).unionByName(emit(lost, batch_id, -1))
-        rest = dying.where(~F.col("dies")).select(*EDGE, "local_mask")
-        self.store.write(batch_id, {"graph": rest, "embeddings": rows})
-        events.unpersist()
-
-    def run(self, stream: DataFrame, checkpoint: str):
-        """A query over a stream of events, one pass over what is there; use ``trigger`` on one's own for a lasting one."""
-        return stream.writeStream.foreachBatch(self.apply).option("checkpointLocation", checkpoint).trigger(availableNow=True).start()
-
-    def embeddings(self) -> DataFrame | None:
-        """All gains and losses so far."""
-        done = self.store.committed()
-        return self.spark.read.parquet(*[f"{self.path}/embeddings/{b}" for b in done]) if done else None
+        events = keeper(f"{self.path}/tables")(events)  # read once, however many plans follow
+        kinds = events.agg(F.coalesce(F.bool_or(F.col("op") < 0), F.lit(False)).alias("deletes")).first()
+        self.apply(batch_id, events.where("op > 0"), events.where("op < 0") if kinds.deletes else None)
+
+    def start(self, stream: DataFrame, checkpoint: str, **trigger):
+        """A streaming query over events; one pass over what is there unless a trigger is given."""
+        return stream.writeStream.foreachBatch(self.batch).option("checkpointLocation", checkpoint).trigger(**(trigger or {"availableNow": True})).start()

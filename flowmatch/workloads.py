@@ -2,8 +2,6 @@
 
 from __future__ import annotations
 
-from collections import Counter
-
 from pyspark.sql import DataFrame, functions as F
 
 from flowmatch.plans.pattern import Pattern, QueryEdge, parse_pattern
@@ -31,8 +29,26 @@ PATTERNS: dict[str, Pattern] = {
         "g4_nation": "(c:customer)-[p:PLACED_1-URGENT_F]->(o:order)-[f:FROM_R*]->(s:supplier)-[b:BASED]->(n:nation)<-[l:LIVES_BUILDING]-(c)",
         "trade2": "(c:customer)-[p:PLACED_1-URGENT_F]->(o:order)-[h:HAS_RF]->(a:part),(o)-[f:FROM_AF]->(s:supplier)",
         "triangle_nn": "(a)-[x]->(b)-[y]->(c)-[z]->(a)",
+        "rising_path": "(a)-[x:purchase]->(b)-[y:click]->(c)",
+        "reply_path": "(a)-[x:user>assistant]->(b)-[y:assistant>user]->(c)-[z:user>assistant]->(d)",
     }.items()
 }
+# The classes of the experiments on the commerce view: trees of 3, 6, 9 and 12 edges, graphs with cycles of 6, 9 and 12.
+_T9 = "(c)-[p:PLACED_1-URGENT_F]->(o)-[h:HAS_RF]->(a),(o)-[f:FROM_AF]->(s)-[b:BASED]->(n)-[r:IN_REGION]->(g),(c)-[l:LIVES_BUILDING]->(m),(o)-[h2:HAS_AF]->(a2),(c)-[p2:PLACED_2-HIGH_F]->(o2)-[h3:HAS_RF]->(a3)"
+_G6 = "(c)-[p:PLACED_1-URGENT*]->(o)-[f:FROM_R*]->(s)-[b:BASED]->(n)-[r:IN_REGION]->(g),(c)-[l:LIVES_BUILDING]->(n),(o)-[h:HAS_A*]->(a)"
+_G9 = f"{_G6},(c)-[p2:PLACED_2-HIGH*]->(o2)-[f2:FROM_R*]->(s2)-[b2:BASED]->(n2)"
+for _name, _text in (
+    ("T_3_trade", "(c)-[p:PLACED_1-URGENT_F]->(o)-[h:HAS_RF]->(a),(o)-[f:FROM_AF]->(s)"),
+    ("T_6_trade", _T9.split(",(o)-[h2")[0]),
+    ("T_9_trade", _T9),
+    ("T_12_trade", f"{_T9},(o2)-[f2:FROM_AF]->(s2)-[b2:BASED]->(n2)-[r2:IN_REGION]->(g2)"),
+    ("G_6_nation", _G6),
+    ("G_9_nation", _G9),
+    ("G_12_nation", f"{_G9},(o2)-[h2:HAS_R*]->(a2),(o)-[h3:HAS_R*]->(a3),(n2)-[r2:IN_REGION]->(g)"),
+):
+    PATTERNS[_name] = parse_pattern(_text, _name)
+CLASSES = [n for n in PATTERNS if n[:2] in ("T_", "G_")]
+
 _heavy = [QueryEdge(n, s, d, (x,), "weight > 40") for n, s, d, x in (("a", "c1", "s1", "RF"), ("b", "c1", "s2", "RO"), ("c", "c2", "s1", "AF"), ("d", "c2", "s2", "AO"))]
 PATTERNS["rect_flow"] = Pattern.of(*_heavy, name="rect_flow")
 PATTERNS["rect_missing"] = Pattern.of(
@@ -71,17 +87,22 @@ def generate(edges: DataFrame, kind: str, size: int, n: int = 3, seed: int = 1,
     return out
 
 
-def label_counts(patterns: list[Pattern]) -> Counter:
-    return Counter(x for p in patterns for e in p.edges for x in e.labels)
-
-
-def union_of(edges: DataFrame, patterns: list[Pattern], answer) -> DataFrame:
-    """Several patterns over one graph; ``answer(edges, pattern)`` gives each one's rows, of which the count by pattern is returned."""
+def answer_all(edges: DataFrame, patterns: list[Pattern], semantics) -> DataFrame:
+    """Several patterns over one graph: (pattern, n) of each.  One pass marks every edge with the matches of all patterns, a mask a
+    pattern; each pattern then reads its own."""
     from functools import reduce
 
-    parts = [answer(edges, p).agg(F.count("*").alias("n")).select(F.lit(p.name).alias("pattern"), "n") for p in patterns]
-    return reduce(lambda a, b: a.unionByName(b), parts)
-
+    from flowmatch.functions.rules import bit, local_masks
+    from flowmatch.operators.enumeration import enumerate_all
+    from flowmatch.plans.planner import compile_plan
+    from flowmatch.sources.storage import stored
 
-#: End types by label in the commerce view, for SQL without type columns.
-TYPED = {"customer": 1, "order": 2, "part": 3, "supplier": 4, "nation": 5, "region": 6}
+    marked = edges
+    for k, p in enumerate(patterns):
+        marked = local_masks(marked, p).withColumnRenamed("local_mask", f"mask_{k}")
+    shared = stored(marked.where(" or ".join(f"mask_{k} <> 0" for k in range(len(patterns)))).select("edge_id", "src", "dst", "ts", *[f"mask_{k}" for k in range(len(patterns))]), "shared-masks")
+    parts = []
+    for k, p in enumerate(patterns):
+        of = {e.name: shared.where(bit(f"mask_{k}", i)).select("edge_id", "src", "dst", "ts") for i, e in enumerate(p.edges)}
+        parts.append(enumerate_all(shared, p, semantics, compile_plan(p, profile=semantics.profile), of=of).agg(F.count("*").alias("n")).select(F.lit(p.name).alias("pattern"), "n"))
+    return reduce(lambda a, b: a.unionByName(b), parts)
