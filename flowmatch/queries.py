@@ -43,7 +43,7 @@ for _name, _key in (("homo_triangle_v1", "triangle"), ("homo_clique4_v1", "cliqu
 # The fifth vertex joins the four-cliques edge by edge: written out, as a join reorderer picks the wildcards first.
 add(
     "homo_clique5_count_v1",
-    lambda spark, d: enumerate_all(V.handoff(spark, d), P["clique5"], HOMO).agg(F.count("*").alias("n")),
+    lambda spark, d: enumerate_all(V.VIEWS["v1"](spark, d), P["clique5"], HOMO).agg(F.count("*").alias("n")),
     f"""with k4 as materialized ({O.embeddings(P['clique4'], 'v1', False)}), g5 as materialized ({O.SQL['v1']}), a5 as materialized (select v_b, v_c, v_d, dst as v_e from k4 join g5 on src = v_a),
       b5 as materialized (select v_c, v_d, v_e from a5 join g5 on src = v_b and dst = v_e), c5 as materialized (select v_d, v_e from b5 join g5 on src = v_c and dst = v_e) select count(*) as n from c5 join g5 on src = v_d and dst = v_e""",
 )
