@@ -180,8 +180,3 @@ def cpu_trace(work: Callable[[], object], every_s: float = 0.5) -> tuple[list[li
 def tier_overhead(in_memory_s: float, with_tier_s: float) -> float:
     """Percent that the cold tier adds to a run."""
     return 100.0 * (with_tier_s - in_memory_s) / in_memory_s
-
-
-def storage_bytes(spark: SparkSession, path: str) -> int:
-    p = spark._jvm.org.apache.hadoop.fs.Path(path)
-    return p.getFileSystem(spark._jsc.hadoopConfiguration()).getContentSummary(p).getLength()

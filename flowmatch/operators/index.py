@@ -182,10 +182,6 @@ def edge_masks(edges: DataFrame, vertices: DataFrame, tree: QueryTree, passes: s
     return rows.withColumn("reach_mask", _bits(reach + others)).withColumn("live_mask", _bits(live + others)).drop("src_state", "dst_state")
 
 
-def root_vertices(index: Index) -> DataFrame:
-    return index.roots()
-
-
 def index_bits(n_edges: int, n_vertices: int, n_query: int) -> int:
     """Bits of the index: a bit per data edge and tree edge, and a bit per vertex for the roots."""
     return n_edges * (n_query - 1) + n_vertices

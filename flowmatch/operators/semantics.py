@@ -120,11 +120,6 @@ def relation_changes(relation: DataFrame) -> DataFrame:
     return plus.unionByName(minus)
 
 
-def relation_delta(before: DataFrame, after: DataFrame) -> DataFrame:
-    """Changed pairs with sign."""
-    return after.exceptAll(before).withColumn("sign", F.lit(1)).unionByName(before.exceptAll(after).withColumn("sign", F.lit(-1)))
-
-
 def parallel_collapsed(edges: DataFrame) -> DataFrame:
     """One edge for each (src, dst, label), the oldest: what indexes over vertex pairs see."""
     return edges.groupBy("src", "dst", "label").agg(*[F.min_by(c, "edge_id").alias(c) for c in ("src_type", "dst_type", "ts", "weight")], F.count("*").alias("multiplicity"), F.min("edge_id").alias("edge_id"))

@@ -3,8 +3,6 @@
 from __future__ import annotations
 
 
-from itertools import combinations
-
 from flowmatch.plans.pattern import Pattern
 from flowmatch.sources.views import SQL
 
@@ -39,11 +37,23 @@ def _places(pattern: Pattern) -> dict[str, str]:
     return at
 
 
-def distinct_ends(pattern: Pattern, view: str) -> str:
-    """Isomorphisms as those homomorphisms whose vertices, and parallel edges, differ: for large patterns."""
-    tests = [f"v_{a.name} <> v_{b.name}" for a, b in combinations(pattern.vertices, 2)]
-    tests += [f"e_{a.name} <> e_{b.name}" for a, b in combinations(pattern.edges, 2) if a.ends() == b.ends()]
-    return f"with h as materialized ({embeddings(pattern, view, False)}) select * from h where {' and '.join(tests)}"
+def stepwise(pattern: Pattern, view: str, injective: bool = True) -> str:
+    """All embeddings, one materialized join after another in pattern order: for patterns too large for a join reorderer."""
+    ctes, have, done, last = [], [], [], None
+    for k, e in enumerate(_joined(pattern)):
+        fresh = [v for v in dict.fromkeys((e.src, e.dst)) if v not in have]
+        end = lambda v: "c.src" if v == e.src else "c.dst"  # noqa: E731, B023
+        tests = [_labels("c", e.labels)] if e.labels else []
+        tests += [f"{end(v)} = p.v_{v}" for v in dict.fromkeys((e.src, e.dst)) if v in have]
+        if injective:
+            tests += [f"{end(v)} <> p.v_{w}" for v in fresh for w in have] + (["c.src <> c.dst"] if len(fresh) == 2 else [])
+            tests += [f"c.edge_id <> p.e_{d}" for d in done if pattern.edge(d).ends() == e.ends()]
+        new = ", ".join([*[f"{end(v)} as v_{v}" for v in fresh], f"c.edge_id as e_{e.name}"])
+        source = f"p.*, {new} from step{k - 1} p join g c" if last is not None else f"{new} from g c"
+        ctes.append(f"step{k} as materialized (select {source} {'on' if last is not None else 'where'} {' and '.join(tests) or 'true'})")
+        last, have, done = k, [*have, *fresh], [*done, e.name]
+    names = ", ".join([f"v_{v.name}" for v in pattern.vertices] + [f"e_{e.name}" for e in pattern.edges])
+    return f"with g as materialized ({SQL[view]}), {', '.join(ctes)} select {names} from step{last}"
 
 
 def embeddings(pattern: Pattern, view: str, injective: bool = True, pairs=(), within: int | None = None, symmetry=(), select: str | None = None, extra: str = "", source: str | None = None, prefix: str | None = None) -> str:

@@ -8,16 +8,17 @@ from pyspark.sql import Column, DataFrame, SparkSession, functions as F
 
 from flowmatch import metrics as M, oracle as O
 from flowmatch.engine import EngineConfig, MatchEngine
-from flowmatch.functions.rules import label_rule, local_masks, python_rule, subset_rule
+from flowmatch.functions.rules import attribute_rule, local_masks, python_rule, subset_rule
 from flowmatch.operators import baselines as B, graph as G
 from flowmatch.operators.enumeration import Expander, Semantics, delta, enumerate_all, existing, find_hubs, homomorphism, isomorphism, mislabelled, temporal
 from flowmatch.operators.maintain import seed_frontier
-from flowmatch.operators.semantics import dual_simulation, dual_simulation_windows, relation_changes, strong_simulation
+from flowmatch.operators.index import build_index
+from flowmatch.operators.semantics import dual_simulation_windows, relation_changes, strong_simulation
 from flowmatch.plans.pattern import Pattern, QueryEdge, automorphisms, diameter, parse_pattern, symmetry_breaking
 from flowmatch.plans.planner import batch_masks, build_tree, choose_root, compile_plan, explain_pattern, order_from, statistics, temporal_pairs
 from flowmatch.registry import FOUND, add
 from flowmatch.sources import views as V
-from flowmatch.sources.snapshots import DAY, HOUR, MINUTE, StreamConfig, insert_delete_events, late_rows, open_stream
+from flowmatch.sources.snapshots import DAY, HOUR, MINUTE, StreamConfig, insert_delete_events, late_rows, open_stream, resolve_deletes
 from flowmatch.sources.storage import TieredStore, shared_dir, stored
 from flowmatch.sqlfront import match
 from flowmatch.workloads import CLASSES, PATTERNS as P, answer_all, generate
@@ -125,6 +126,24 @@ add(
 )
 
 
+def _resolved(spark: SparkSession, d: str) -> DataFrame:
+    edges = V.handoff(spark, d)
+    return resolve_deletes(edges, edges.where(F.col("edge_id") % 10 == 0)).select("edge_id")
+
+
+add("resolve_deletes_v1", _resolved, f"with g as materialized ({O.SQL['v1']}), n as (select src, dst, label, count(*) as n from g where edge_id % 10 = 0 group by all) select edge_id from (select *, row_number() over (partition by src, dst, label order by edge_id) as k from g) join n using (src, dst, label) where k <= n")
+
+
+def _agree(spark: SparkSession, d: str) -> DataFrame:
+    """Rows in which the deltas of both mask orders and of plain distinct differ: none."""
+    edges, p = stored(V.handoff(spark, d)), P["triangle"]
+    found = [stored(delta(edges, F.col("edge_id") % 3 == 0, compile_plan(p, profile="existence"), HOMO, orientation=o, dedup=how).select(*named(p))) for o, how in (("earlier_old", "mask"), ("later_old", "mask"), ("earlier_old", "distinct"))]
+    return spark.createDataFrame([(M.check_equivalence(found[0], x),) for x in found[1:]], "differing long")
+
+
+add("masks_agree_v1", _agree, "select unnest([0, 0])::bigint as differing")
+
+
 def _windows(spark: SparkSession, d: str) -> DataFrame:
     source = open_stream(stored(V.access(spark, d)), StreamConfig.sliding(32 * DAY, 16 * DAY))
     return results(engine(spark, source, P["shared_resource"], Semantics(within=DAY)), P["shared_resource"])
@@ -168,6 +187,11 @@ add(
     lambda spark, d: enumerate_all(V.handoff(spark, d), _rp, ISO, rule=python_rule(lambda edge, label, weight: label in edge.labels and weight is not None and weight > 50, ["label", "weight"])).select(*named(_rp)),
     O.embeddings(_rp, "v1", extra=" and x.weight > 50 and y.weight > 50"),
 )
+add(
+    "attribute_rule_t2_v1",
+    lambda spark, d: enumerate_all(V.handoff(spark, d), _rp, ISO, rule=attribute_rule({"x": F.col("weight") > 50, "y": F.col("edge_id") % 2 == 0})).select(*named(_rp)),
+    O.embeddings(_rp, "v1", extra=" and x.weight > 50 and y.edge_id % 2 = 0"),
+)
 _sub = parse_pattern("(c:customer)-[p:PLACED_1-URGENT_F]->(o:order)-[h:HAS_RF]->(a)", "subset")
 
 
@@ -231,7 +255,7 @@ add("grown_trees_v3", _grown)
 # --- the experiments' classes ----------------------------------------------------------------------------------------
 for _c in CLASSES:
     _short = "".join(_c.lower().split("_")[:2])
-    add(f"class_iso_{_short}_v3", lambda spark, d, c=_c: enumerate_all(V.commerce(spark, d), P[c], ISO).select(*named(P[c])), O.distinct_ends(P[_c], "v3"))
+    add(f"class_iso_{_short}_v3", lambda spark, d, c=_c: enumerate_all(V.commerce(spark, d), P[c], ISO).select(*named(P[c])), O.stepwise(P[_c], "v3"))
     add(f"class_homo_{_short}_v3", lambda spark, d, c=_c: enumerate_all(V.commerce(spark, d), P[c], HOMO).agg(F.count("*").alias("n")), O.embeddings(P[_c], "v3", False, select="count(*) as n"))
 for _c in ("T_9_trade", "T_12_trade", "G_9_nation", "G_12_nation"):
     _short = "".join(_c.lower().split("_")[:2])
@@ -284,7 +308,6 @@ def _pairs_one_by_one(spark: SparkSession, d: str) -> DataFrame:
 
 # Each update reports the pairs that it brings, weighed by what is there at that moment.
 add("pair_edge_at_a_time_v1", _pairs_one_by_one, None)
-_collapsed = f"select distinct src, dst, label from g where"
 add(
     "pair_states_v3",
     lambda spark, d: B.PairIndex(V.commerce(spark, d), compile_plan(P["trade2"], root="o"), ISO).states().groupBy("qedge", "state").agg(F.count("*").alias("n")),
@@ -419,8 +442,6 @@ add(
 
 def _false_candidates(spark: SparkSession, d: str) -> DataFrame:
     """Live edges that are in no embedding, per query edge."""
-    from flowmatch.operators.index import build_index
-
     p = P["T_6_trade"]
     edges = stored(local_masks(V.commerce(spark, d), p).where("local_mask <> 0"))
     index = build_index(edges, compile_plan(p, root="o"), keep=stored)
@@ -433,6 +454,16 @@ def _false_candidates(spark: SparkSession, d: str) -> DataFrame:
     return out
 
 
+def _update_cost(spark: SparkSession, d: str) -> DataFrame:
+    """Entries to touch when one part is no candidate any more: in the bitmap, and in the lists of a query-centric store."""
+    p, edges = P["trade2"], stored(V.commerce(spark, d))
+    plan = compile_plan(p, root="o")
+    vertex = edges.where("label = 'HAS_RF'").agg(F.min("dst")).first()[0]
+    index = build_index(stored(local_masks(edges, p).where("local_mask <> 0")), plan, keep=stored)
+    return spark.createDataFrame([M.update_cost(index, B.candidate_store(edges, plan), vertex)], "bitmap long, lists long")
+
+
+add("update_cost_v3", _update_cost, f"with g as materialized ({O.SQL['v3']}), v as (select min(dst) as v from g where label = 'HAS_RF') select count(*) as bitmap, count(distinct src) as lists from g, v where label = 'HAS_RF' and dst = v")
 # The index of a tree is the full reducer, so only embeddings that are no isomorphism leave false candidates.
 _e6 = P["T_6_trade"].edges
 add("false_candidates_t6_v3", _false_candidates, f"with h as materialized ({O.embeddings(P['T_6_trade'], 'v3', False)}), i as materialized ({O.embeddings(P['T_6_trade'], 'v3')}) " + " union all ".join(f"select '{e.name}' as qedge, count(*) as false_candidates from (select e_{e.name} from h except select e_{e.name} from i)" for e in _e6))
