@@ -47,6 +47,12 @@ def handoff(spark: SparkSession, sf_dir: str) -> DataFrame:
     return edge(rows.where("dst is not null and dst <> user_id"), "event_id", "user_id", "dst", ("user", "user"), "event_type", micros("ts"), "value")
 
 
+def copies(edges: DataFrame, k: int, parts: int = 32) -> DataFrame:
+    """``k`` disjoint copies of a graph whose ids are below 2^32: as dense as the graph itself, for runs at larger sizes."""
+    spread = edges.repartition(parts, "edge_id").select("*", F.explode(F.sequence(F.lit(0), F.lit(k - 1))).alias("copy"))
+    return spread.withColumns({c: F.col(c) + F.shiftleft(F.col("copy").cast("long"), 32) for c in ("edge_id", "src", "dst")}).drop("copy")
+
+
 def access(spark: SparkSession, sf_dir: str) -> DataFrame:
     """User to the resource named in the event's properties."""
     e = read(spark, sf_dir, "events").select("event_id", "ts", "user_id", "event_type", "value", "props")

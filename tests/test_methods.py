@@ -15,6 +15,7 @@ from flowmatch.plans.planner import compile_plan, temporal_pairs
 from flowmatch.queries import queries
 from flowmatch.sources.snapshots import MINUTE, StreamConfig, open_stream
 from flowmatch.sources.storage import stored
+from flowmatch.sources.views import copies
 from flowmatch.sqlfront import match, parse
 from flowmatch.streaming.stars import star_batch, star_matches
 from flowmatch.workloads import generate
@@ -137,6 +138,13 @@ def test_grown_patterns_have_embeddings(spark):
         assert grown and all(len(p.edges) == size and R.brute(rows, p) for p in grown)
 
 
+def test_copies_are_disjoint(spark):
+    rows = graph(11, 30)
+    one, three = (enumerate_all(e, CYCLE, homomorphism()) for e in (frame(spark, rows), copies(frame(spark, rows), 3, 2)))
+    assert three.count() == 3 * one.count() > 0
+    assert three.where("v_a >> 32 <> v_d >> 32 or v_a >> 32 <> e_w >> 32").isEmpty()
+
+
 def test_batches_of_a_stream(spark):
     rows = graph(10, 20)
     source = open_stream(frame(spark, rows), StreamConfig.insert_only(6, 5))
