@@ -1,7 +1,8 @@
 """Runs of the experiments: query sets by method, with timeouts; sweeps over batch size and cores; a report.
 
 ``python -m flowmatch.suite SF_DIR`` runs the set of :data:`flowmatch.workloads.CLASSES` and prints a table;
-``python -m flowmatch.suite SF_DIR cores K`` times one class on ``local[K]`` and prints seconds, for :func:`sweep_cores`.
+``python -m flowmatch.suite SF_DIR cores K`` times one class on ``local[K]`` and prints seconds, for :func:`sweep_cores`;
+with ``static`` for ``cores``, three patterns without a stream on ten disjoint copies of the handoff view.
 """
 
 from __future__ import annotations
@@ -17,7 +18,7 @@ from pyspark.sql import DataFrame, SparkSession, functions as F
 from flowmatch import metrics as M
 from flowmatch.engine import EngineConfig, MatchEngine
 from flowmatch.operators.baselines import PairIndex
-from flowmatch.operators.enumeration import Expander, homomorphism, isomorphism
+from flowmatch.operators.enumeration import Expander, enumerate_all, homomorphism, isomorphism
 from flowmatch.plans.pattern import Pattern
 from flowmatch.plans.planner import compile_plan
 from flowmatch.sources import views as V
@@ -90,11 +91,11 @@ def sweep_batch_size(edges: DataFrame, pattern: Pattern, semantics: Expander, in
     return out
 
 
-def sweep_cores(sf_dir: str, cores: list[int]) -> list[tuple[int, float]]:
-    """(cores, seconds) of one class, each in a session of its own."""
+def sweep_cores(sf_dir: str, cores: list[int], kind: str = "cores") -> list[tuple[int, float]]:
+    """(cores, seconds) of one class, or with ``kind`` "static" of patterns without a stream, each in a session of its own."""
     out = []
     for k in cores:
-        ran = subprocess.run([sys.executable, "-m", "flowmatch.suite", sf_dir, "cores", str(k)], capture_output=True, text=True, check=True)
+        ran = subprocess.run([sys.executable, "-m", "flowmatch.suite", sf_dir, kind, str(k)], capture_output=True, text=True, check=True)
         out.append((k, float(ran.stdout.strip().splitlines()[-1])))
     return out
 
@@ -118,6 +119,15 @@ def main(args: list[str]) -> None:
         engine_run(edges, PATTERNS["t6_prefix"], isomorphism(), StreamConfig.insert_only(16_384, int(edges.count() * 0.892)))
         print(time.time() - began)
         return
+    if args[1:2] == ["static"]:
+        spark = session(args[2])
+        edges = stored(V.copies(V.handoff(spark, sf_dir), 10))
+        work = lambda: [enumerate_all(edges, PATTERNS[p], homomorphism()).count() for p in ("triangle", "clique4", "dual_triangle")]
+        work()  # compiles
+        began = time.time()
+        work()
+        print(time.time() - began)
+        return
     spark = session()
     edges = stored(V.commerce(spark, sf_dir))
     n = edges.count()
