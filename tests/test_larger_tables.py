@@ -42,3 +42,19 @@ def test_customers_and_suppliers_of_a_nation_do_not_meet_before_an_order_binds_t
     assert max(order.index("b"), order.index("l")) > min(order.index("p"), order.index("f"))
     want = brute(prefixed(rows, pattern), pattern, injective=False)
     assert Q.queries()["class_homo_g6_v3"](spark, "").first().n == len(want) > 0
+
+
+def test_only_lines_of_matching_orders_are_numbered(spark, sf, monkeypatch):
+    """Both kinds of rows are the same, ids included, though the lines of few orders are numbered."""
+    asked, pattern = [], PATTERNS["G_6_nation"]
+    whole = V.line_ids
+
+    def counted(spark, d, orders=None):
+        asked.append(None if orders is None else orders.count())
+        return whole(spark, d, orders)
+
+    monkeypatch.setattr(V, "line_ids", counted)
+    few = "/root/testdata/sf0.01"
+    got = sorted(map(tuple, Q.queries()["class_iso_g6_v3"](spark, few).collect()))
+    want = sorted(map(tuple, W.enumerate_all(V.commerce(spark, few), pattern, W.ISO).select(*W.named(pattern)).collect()))
+    assert got == want and len(got) > 0 and 0 < asked[1] <= len(got)
