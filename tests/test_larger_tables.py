@@ -1,5 +1,7 @@
 """Queries that did not end on larger tables: the ways they take now, and their results on small fixtures."""
 
+from random import Random
+
 from flowmatch import queries as Q, workload_queries as W
 from flowmatch.operators.counting import count_embeddings
 from flowmatch.operators.enumeration import Semantics
@@ -81,3 +83,20 @@ def test_counts_without_rows_equal_the_rows(spark, monkeypatch):
         got = count_embeddings(spark.createDataFrame(rows, EDGE_SCHEMA), PATTERNS[key], Semantics(injective=injective))
         assert got.first().n == len(brute(rows, PATTERNS[key], injective=injective))
     assert count_embeddings(spark.createDataFrame([], EDGE_SCHEMA), PATTERNS["two_users"]).first().n == 0
+
+
+def test_lost_context_is_counted_as_listed(spark, monkeypatch):
+    """Against the listed tuples; users have several spans of time at a resource, some of which overlap, touch or lie apart."""
+    pattern, several = PATTERNS["shared_resource"], 0
+    for seed in (3, 4):
+        pick = Random(seed)
+        rows = [(k, pick.randrange(4), 100 + pick.randrange(3), "user", "resource", pick.choice(("error", "purchase", "click")), pick.randrange(50) * (DAY // 12), 1.0) for k in range(100)]
+        monkeypatch.setattr(V, "access", lambda spark, d: spark.createDataFrame(rows, EDGE_SCHEMA))  # noqa: B023
+        ends = {r[0]: (r[1], r[2]) for r in rows}
+        tuples = lambda found: {(*ends[a], *ends[b], ends[c][1]) for a, b, c in found}  # noqa: E731, B023
+        every = tuples(brute(rows, pattern))
+        timed = brute(rows, pattern, pairs=(("e", "p"), ("p", "c")), within=DAY)
+        several += len(timed) - len(tuples(timed))
+        got = Q.queries()["context_false_positive_v2"](spark, "")
+        assert got.first().n == len(every - tuples(timed)) and 0 < len(tuples(timed)) < len(every)
+    assert several > 0
