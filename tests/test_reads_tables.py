@@ -5,6 +5,7 @@ import pytest
 from flowmatch import queries as Q
 
 NAMES = [
+    "start_orders_worked",
     "pattern_facts",
     "needs_t3_star",
     "batch_masks_worked",
