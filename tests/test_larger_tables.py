@@ -5,6 +5,7 @@ from random import Random
 from flowmatch import queries as Q, workload_queries as W
 from flowmatch.operators.counting import count_embeddings
 from flowmatch.operators.enumeration import Semantics
+from flowmatch.operators.semantics import strong_simulation
 from flowmatch.sources import views as V
 from flowmatch.sources.snapshots import DAY
 from flowmatch.workloads import PATTERNS
@@ -100,3 +101,21 @@ def test_lost_context_is_counted_as_listed(spark, monkeypatch):
         got = Q.queries()["context_false_positive_v2"](spark, "")
         assert got.first().n == len(every - tuples(timed)) and 0 < len(tuples(timed)) < len(every)
     assert several > 0
+
+
+def test_balls_do_not_hold_what_only_a_hub_connects(spark):
+    kinds, ends, k = {"c": "customer", "o": "order", "a": "part", "s": "supplier"}, [], 40
+    for i in range(k):
+        c, o, a, s = (("c", i), ("o", i), ("a", i), ("s", i))
+        ends += [(c, o, "PLACED_1-URGENT_F"), (o, a, "HAS_RF"), (o, s, "FROM_AF"), (c, ("n", 0), "LIVES_BUILDING")]
+    number = {v: n for n, v in enumerate(dict.fromkeys(v for a, b, _ in ends for v in (a, b)))}
+    rows = [(i, number[a], number[b], kinds.get(a[0], "nation"), kinds.get(b[0], "nation"), x, i, 1.0) for i, (a, b, x) in enumerate(ends)]
+    sizes = []
+
+    def keep(df):
+        df = df.localCheckpoint()
+        sizes.append(df.count())
+        return df
+
+    got = strong_simulation(spark.createDataFrame(rows, EDGE_SCHEMA), PATTERNS["trade2"], keep=keep).count()
+    assert got == 4 * 4 * k and max(sizes) < k * k
