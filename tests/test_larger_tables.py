@@ -3,6 +3,7 @@
 from random import Random
 
 from flowmatch import queries as Q, workload_queries as W
+from flowmatch.operators import balls
 from flowmatch.operators.counting import count_embeddings
 from flowmatch.operators.enumeration import Semantics
 from flowmatch.operators.semantics import strong_simulation
@@ -10,6 +11,7 @@ from flowmatch.sources import views as V
 from flowmatch.sources.snapshots import DAY
 from flowmatch.workloads import PATTERNS
 from tests.running import EDGE_SCHEMA, brute
+from tests.test_whole_graph_queries import strong
 
 
 def nation_rows():
@@ -119,3 +121,36 @@ def test_balls_do_not_hold_what_only_a_hub_connects(spark):
 
     got = strong_simulation(spark.createDataFrame(rows, EDGE_SCHEMA), PATTERNS["trade2"], keep=keep).count()
     assert got == 4 * 4 * k and max(sizes) < k * k
+
+
+def test_balls_that_share_their_vertices_are_not_listed(spark):
+    """Eighty users at one resource: each is in the ball of each, and so is what the result holds."""
+    ends = [(k, 100, "error") for k in range(40)] + [(k, 100, "purchase") for k in range(40, 80)] + [(k, 101 + k % 3, "click") for k in range(40, 80)]
+    rows = [(i, a, b, "user", "resource", x, i, 1.0) for i, (a, b, x) in enumerate(ends)]
+    sizes = []
+
+    def keep(df):
+        df = df.localCheckpoint()
+        sizes.append(df.count())
+        return df
+
+    got = [tuple(r) for r in strong_simulation(spark.createDataFrame(rows, EDGE_SCHEMA), PATTERNS["shared_resource"], keep=keep).collect()]
+    assert len(got) == len(set(got)) and set(got) == strong(rows, PATTERNS["shared_resource"]) and max(sizes) <= len(rows) < 80 * 80 < len(got)
+
+
+def test_words_of_centers_agree_with_listed_balls(spark, monkeypatch):
+    """Views and signups shorten ways and match nothing; borders of balls lose pairs; several words and blocks; both ways against brute force."""
+    pattern, cut = PATTERNS["shared_resource"], 0
+    for seed, users, blocks in ((5, 80, 3), (6, 30, 1)):
+        pick = Random(seed)
+        rows = [(k, pick.randrange(users), 100 + pick.randrange(users // 3), "user", "resource", pick.choice(("error", "purchase", "click", "view", "signup")), k, 1.0) for k in range(3 * users)]
+        edges = spark.createDataFrame([*rows, (900, 1, None, "user", "resource", "error", 1, 1.0)], EDGE_SCHEMA)
+        monkeypatch.setattr("flowmatch.operators.semantics.blocks_of", lambda n: blocks)  # noqa: B023
+        want = strong(rows, pattern)
+        keep = lambda df: df.localCheckpoint()
+        for most in (2_000_000, 0):
+            got = [tuple(r) for r in strong_simulation(edges, pattern, keep=keep, at_once=most).collect()]
+            assert len(got) == len(set(got)) and set(got) == want
+        whole = {(q, v) for _, q, v in want}
+        cut += sum((c, q, v) not in want for c in {c for c, _, _ in want} for q, v in whole)
+    assert cut > 0 and balls.blocks_of(0) == 1 and balls.blocks_of(1025) == 2
