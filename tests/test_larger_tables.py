@@ -2,13 +2,14 @@
 
 from random import Random
 
-from flowmatch import queries as Q, workload_queries as W
+from flowmatch import engine as N, queries as Q, workload_queries as W
 from flowmatch.operators import balls
 from flowmatch.operators.counting import count_embeddings
-from flowmatch.operators.enumeration import Semantics
+from flowmatch.operators.enumeration import Semantics, enumerate_all, sized_order
+from flowmatch.operators.maintain import maintain
 from flowmatch.operators.semantics import strong_simulation
 from flowmatch.sources import views as V
-from flowmatch.sources.snapshots import DAY
+from flowmatch.sources.snapshots import DAY, StreamConfig, open_stream
 from flowmatch.workloads import PATTERNS
 from tests.running import EDGE_SCHEMA, brute
 from tests.test_whole_graph_queries import strong
@@ -154,3 +155,46 @@ def test_words_of_centers_agree_with_listed_balls(spark, monkeypatch):
         whole = {(q, v) for _, q, v in want}
         cut += sum((c, q, v) not in want for c in {c for c, _, _ in want} for q, v in whole)
     assert cut > 0 and balls.blocks_of(0) == 1 and balls.blocks_of(1025) == 2
+
+
+def test_edges_meet_only_within_their_time(spark):
+    """Times on both sides of 1970, at the ends of slots, as far apart as allowed and one further, and null."""
+    pattern, pick = PATTERNS["shared_resource"], Random(7)
+    at = [k * DAY + x for k in range(-3, 3) for x in (-1, 0, 1)]
+    rows = [(k, pick.randrange(4), 100 + pick.randrange(3), "user", "resource", pick.choice(("error", "purchase", "click")), pick.choice(at), 1.0) for k in range(70)]
+    edges = spark.createDataFrame([*rows, (900, 1, 100, "user", "resource", "error", None, 1.0)], EDGE_SCHEMA)
+    for within in (0, 1, DAY - 1, DAY):
+        found = enumerate_all(edges, pattern, Semantics(within=within))
+        assert sorted((r.e_e, r.e_p, r.e_c) for r in found.collect()) == brute(rows, pattern, within=within)
+        assert "slot" in found._jdf.queryExecution().optimizedPlan().toString()
+    assert len(brute(rows, pattern, within=DAY)) > len(brute(rows, pattern, within=DAY - 1)) > 0
+
+
+def test_large_batches_are_joined_late_and_small_ones_first():
+    sizes = {"e": (1_200_000, 90_000, 100), "p": (1_200_000, 90_000, 100), "c": (1_200_000, 90_000, 100)}
+    pattern = PATTERNS["shared_resource"]
+    for start in "epc":
+        assert sized_order(pattern, start, sizes)[-1] == "e"
+        assert sized_order(pattern, start, sizes | {start: (1, 90_000, 100)})[0] == start
+
+
+def test_large_batches_build_the_index_anew_and_write_what_they_find_once(spark, tmp_path, monkeypatch):
+    pattern, pick, within, config = PATTERNS["shared_resource"], Random(8), DAY // 2, StreamConfig.sliding(2 * DAY, 2 * DAY)
+    rows = [(k, pick.randrange(5), 100 + pick.randrange(3), "user", "resource", pick.choice(("error", "purchase", "click")), pick.randrange(36) * (DAY // 12), 1.0) for k in range(90)]
+    ts = {r[0]: r[6] for r in rows}
+    want = set()
+    for ids in brute(rows, pattern, within=within):
+        born, dies = -(-max(ts[i] for i in ids) // (2 * DAY)), -(-(min(ts[i] for i in ids) + 2 * DAY) // (2 * DAY))
+        assert born <= dies  # inserts come before deletes, so what is born as it dies is gained and lost
+        want |= {(born, 1, *ids), (dies, -1, *ids)}
+    anew = []
+    monkeypatch.setattr(N, "maintain", lambda index, **given: anew.append(maintain(index, few=0, **given)) or anew[-1])
+    found = N.MatchEngine(spark, pattern, Semantics(within=within), str(tmp_path))
+    seen, put = [], found.keep
+    found.keep = lambda df: seen.append("sign" in df.columns) or put(df)
+    edges = spark.createDataFrame(rows, EDGE_SCHEMA)
+    source = open_stream(edges, config, keep=lambda df: df.localCheckpoint())
+    found.load_initial(source.initial())
+    got = [(r.snapshot_id, r.sign, r.e_e, r.e_p, r.e_c) for r in found.run(source).collect()]
+    assert len(got) == len(set(got)) and set(got) == want and len({s for s, *_ in want}) > 2
+    assert any(x.edges.over is None and x.work["touched"] for x in anew) and not any(seen)
